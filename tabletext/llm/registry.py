@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from ..shipping import ship
-from . import decontamination, language, sharding, token_counts
+from . import decontamination, language, near_duplicates, sharding, substring_dedup, suffix_dedup, token_counts
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -24,6 +24,18 @@ def op5_partial_matching(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language.op5(_table(spark, sf_dir, "documents"))
 
 
+def op6_common_prefix_intervals(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.op6(_table(spark, sf_dir, "documents"))
+
+
+def op7_fm_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dedup.op7(_table(spark, sf_dir, "documents"))
+
+
+def op8_minhash_star_components(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicates.op8(_table(spark, sf_dir, "documents"))
+
+
 def op9_digest_cache(spark: SparkSession, sf_dir: str) -> DataFrame:
     # a cache for each input folder: another run over the same folder encodes nothing
     return token_counts.token_counts(_table(spark, sf_dir, "documents"), token_counts.cache_path(spark, hashlib.md5(sf_dir.encode()).hexdigest()))
@@ -34,7 +46,7 @@ def op10_training_suffix_arrays(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_histogram_sort, op5_partial_matching, op9_digest_cache, op10_training_suffix_arrays)}
+    return {f.__name__: f for f in (op1_histogram_sort, op5_partial_matching, op6_common_prefix_intervals, op7_fm_index, op8_minhash_star_components, op9_digest_cache, op10_training_suffix_arrays)}
 
 
 def oracle_sql() -> dict[str, str]:
