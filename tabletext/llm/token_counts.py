@@ -57,16 +57,6 @@ def digest(text) -> F.Column:
     return F.unhex(F.sha2(F.coalesce(text, F.lit("")), 256))
 
 
-def missing_texts(docs: DataFrame, known: DataFrame, text: str = "text") -> DataFrame:
-    """Each distinct text whose digest the cache has no count for.
-
-    Digests of all rows are compared with the cache before any text moves; of rows with equal digests
-    each task hands on one.
-    """
-    texts = docs.select(digest(F.col(text)).alias("digest"), F.coalesce(F.col(text), F.lit("")).alias("text"))
-    return texts.join(known.select("digest"), "digest", "left_anti")
-
-
 def _distinct_in_task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Drops repetitions inside a batch, so that a hot text leaves a task a few times at most."""
     for batch in batches:
@@ -78,14 +68,22 @@ def _distinct_in_task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBa
         yield batch.take(pa.array(keep, pa.int64()))
 
 
+def missing_texts(docs: DataFrame, known: DataFrame, text: str = "text") -> DataFrame:
+    """Each distinct text whose digest the cache has no count for.
+
+    Texts move once, dealt by digest; the comparison with the cache and the choice of one row for each
+    digest both happen where they arrive.
+    """
+    texts = docs.select(digest(F.col(text)).alias("digest"), F.coalesce(F.col(text), F.lit("")).alias("text"))
+    texts = texts.mapInArrow(_distinct_in_task, texts.schema)
+    return texts.join(known.select("digest"), "digest", "left_anti").dropDuplicates(["digest"])
+
+
 def update_cache(docs: DataFrame, path: str, vocabulary: str, text: str = "text") -> None:
     spark = docs.sparkSession
     tokenizer = version(vocabulary)
     known = read_cache(spark, path).where(F.col("tokenizer") == tokenizer)
-    misses = missing_texts(docs, known, text)
-    misses = misses.mapInArrow(_distinct_in_task, misses.schema)
-    # a text is encoded where its digest is dealt to: each once
-    misses = misses.dropDuplicates(["digest"]).mapInArrow(_encode(vocabulary), "digest binary, n_tokens long")
+    misses = missing_texts(docs, known, text).mapInArrow(_encode(vocabulary), "digest binary, n_tokens long")
     misses.select("digest", F.lit(tokenizer).alias("tokenizer"), "n_tokens").write.mode("append").parquet(path)
 
 
