@@ -193,7 +193,7 @@ def shard_spans(found: DataFrame, index: Callable[[pa.Table], dict[str, np.ndarr
 
 
 def repeat_spans(docs: DataFrame, units: Units, keys: list[str], index, ordered: bool, hot: int | None = None) -> DataFrame:
-    """keys, spans: for each document with repeated windows where they lie, as start and stop of units."""
+    """keys, __starts, __stops: for each document with repeated windows where they lie, as start and stop of units."""
     hot = HOT if hot is None else hot
     rows = written(repeated(anchor_table(docs, units, keys), keys, ordered), "anchors")
     found = written(regions(rows.where("several and chosen"), docs, units, keys), "regions")
@@ -207,7 +207,7 @@ def repeat_spans(docs: DataFrame, units: Units, keys: list[str], index, ordered:
     whole = rows.where("covered").select(*keys, F.greatest(F.col("place") + F.lit(units.gram - units.length), F.lit(0)).alias("start"), (F.col("place") + F.lit(units.length)).alias("stop"))
     open_ = rows.where("several and not covered").join(parts, ["gram", "region"])
     open_ = open_.select(*keys, (F.col("place") + F.col("start")).alias("start"), (F.col("place") + F.col("stop")).alias("stop"))
-    return whole.union(open_).groupBy(*keys).agg(F.collect_list("start").alias("starts"), F.collect_list("stop").alias("stops"))
+    return whole.union(open_).groupBy(*keys).agg(F.collect_list("start").alias("__starts"), F.collect_list("stop").alias("__stops"))
 
 
 def covered_units(n: int, starts: np.ndarray, stops: np.ndarray) -> np.ndarray:
@@ -231,9 +231,9 @@ def apply_spans(docs: DataFrame, spans: DataFrame, keys: list[str], units: Units
                 words = Words(block, PLAIN_WORDS, hashes=False) if units.words else None
                 for i in range(len(block)):
                     at = block.first + i
-                    starts = batch.column("starts")[at]
+                    starts = batch.column("__starts")[at]
                     n = int(words.counts()[i]) if words else int(block.offsets[i + 1] - block.offsets[i])
-                    gone = covered_units(n, starts.values.to_numpy(), batch.column("stops")[at].values.to_numpy()) if starts.is_valid else np.zeros(n, bool)
+                    gone = covered_units(n, starts.values.to_numpy(), batch.column("__stops")[at].values.to_numpy()) if starts.is_valid else np.zeros(n, bool)
                     if words:
                         own = range(words.offsets[i], words.offsets[i + 1])
                         left = b" ".join(block.data[words.starts[w] : words.ends[w]].tobytes() for w, g in zip(own, gone.tolist(), strict=True) if not g)
@@ -257,5 +257,5 @@ def apply_spans(docs: DataFrame, spans: DataFrame, keys: list[str], units: Units
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(out[c], k) for c, k in zip(counted, kinds, strict=True))], names=["doc_id", *counted])
 
     if keep_text:
-        return joined.select(*names, "starts", "stops").mapInArrow(run, docs.select(*names).schema)
-    return joined.select("doc_id", "text", "starts", "stops").mapInArrow(run, f"doc_id {dict(docs.dtypes)['doc_id']}, __units long, __removed long, __runs long, __sha256 string")
+        return joined.select(*names, "__starts", "__stops").mapInArrow(run, docs.select(*names).schema)
+    return joined.select("doc_id", "text", "__starts", "__stops").mapInArrow(run, f"doc_id {dict(docs.dtypes)['doc_id']}, __units long, __removed long, __runs long, __sha256 string")

@@ -32,6 +32,9 @@ from .textblocks import blocks
 
 ORDER = 3
 TRAIN_BYTES = 600_000
+#: Code length in bits a byte beyond which a text is in none of the languages; noise needs 8 and more,
+#: texts of a known language under 4.
+MAX_BITS = 6.5
 UNKNOWN = "und"
 
 
@@ -180,9 +183,9 @@ def train(rows: DataFrame, language: str = "lang", text: str = "text", train_byt
     return Model(languages, [ContextTree.learn(texts[x]) for x in languages])
 
 
-def identify(docs: DataFrame, model: Model, id: str = "doc_id", text: str = "text", extra: tuple[str, ...] = ()) -> DataFrame:
+def identify(docs: DataFrame, model: Model, id: str = "doc_id", text: str = "text") -> DataFrame:
     """id, lang_pred, score, bits_per_byte (in the language predicted) of each document."""
-    source = docs.select(F.col(id).alias("id"), F.col(text).alias("text"), F.coalesce(F.col(text).rlike(r"\p{L}"), F.lit(False)).alias("letters"), *extra)
+    source = docs.select(F.col(id).alias("id"), F.col(text).alias("text"), F.coalesce(F.col(text).rlike(r"\p{L}"), F.lit(False)).alias("letters"))
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -200,13 +203,29 @@ def identify(docs: DataFrame, model: Model, id: str = "doc_id", text: str = "tex
                 rate[at] = bits.min(axis=1) / np.maximum(1, np.diff(block.offsets))
             best[~letters], score[~letters] = len(names) - 1, 0.0
             out = [batch.column("id"), pa.array(np.array(names, dtype=object)[best].tolist(), pa.string()), pa.array(score), pa.array(rate)]
-            yield pa.RecordBatch.from_arrays(out + [batch.column(x) for x in extra], names=["id", "lang_pred", "score", "bits_per_byte", *extra])
+            yield pa.RecordBatch.from_arrays(out, names=["id", "lang_pred", "score", "bits_per_byte"])
 
     kinds = dict(source.dtypes)
-    schema = f"id {kinds['id']}, lang_pred string, score double, bits_per_byte double" + "".join(f", `{x}` {kinds[x]}" for x in extra)
+    schema = f"id {kinds['id']}, lang_pred string, score double, bits_per_byte double"
     return source.mapInArrow(run, schema).withColumnRenamed("id", id)
 
 
+def keep_identified(docs: DataFrame, model: Model, max_bits: float = MAX_BITS, text: str = "text") -> DataFrame:
+    """Documents with a letter whose best language needs at most ``max_bits`` a byte; columns as they were."""
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        scorer = Scorer(shared.value) if shared.value.languages else None
+        for batch in batches:
+            keep = np.zeros(len(batch), bool)
+            for block in blocks(batch.column(text)) if scorer else ():
+                rate = scorer.block(block).min(axis=1) / np.maximum(1, np.diff(block.offsets))
+                keep[block.first : block.first + len(block)] = rate <= max_bits
+            yield batch.filter(pa.array(keep))
+
+    return docs.where(F.col(text).rlike(r"\p{L}")).mapInArrow(run, docs.schema)
+
+
 def remainder(id):
     """The checksum of the id, written as text, modulo 4."""
     return F.pmod(F.crc32(id.cast("string").cast("binary")), F.lit(4))

@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from ..shipping import ship
-from . import decontamination, language, near_duplicates, sharding, substring_dedup, suffix_dedup, token_counts
+from . import decontamination, language, near_duplicates, packing, search, sharding, substring_dedup, suffix_dedup, token_counts, url_filter
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -20,6 +20,18 @@ def op1_histogram_sort(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.op1(_table(spark, sf_dir, "documents"))
 
 
+def op2_lexical_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.op2(_table(spark, sf_dir, "documents"))
+
+
+def op3_temporal_url_lists(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return url_filter.op3(_table(spark, sf_dir, "pages"))
+
+
+def op4_block_max_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return search.op4(_table(spark, sf_dir, "documents"))
+
+
 def op5_partial_matching(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language.op5(_table(spark, sf_dir, "documents"))
 
@@ -46,8 +58,8 @@ def op10_training_suffix_arrays(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_histogram_sort, op5_partial_matching, op6_common_prefix_intervals, op7_fm_index, op8_minhash_star_components, op9_digest_cache, op10_training_suffix_arrays)}
+    return {f.__name__: f for f in (op1_histogram_sort, op2_lexical_packing, op3_temporal_url_lists, op4_block_max_search, op5_partial_matching, op6_common_prefix_intervals, op7_fm_index, op8_minhash_star_components, op9_digest_cache, op10_training_suffix_arrays)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op3_temporal_url_lists": url_filter.SQL}

@@ -18,6 +18,7 @@ from functools import partial
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .anchors import Units, apply_spans, keys_of, repeat_spans
@@ -135,11 +136,9 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
 def repeat_groups(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     """doc_id, start, stop of every maximal removed run."""
     marked, keys, _, spans = _spans(docs.select("doc_id", "text"), length)
-    pieces = marked.select("doc_id", *keys).join(spans, keys).select("doc_id", *keys, F.explode(F.arrays_zip("starts", "stops")).alias("s"))
-    from pyspark.sql import Window as W
-
+    pieces = marked.select("doc_id", *keys).join(spans, keys).select("doc_id", *keys, F.explode(F.arrays_zip("__starts", "__stops")).alias("s"))
     own = W.partitionBy(*keys).orderBy("start", "stop")
-    pieces = pieces.select("doc_id", *keys, F.col("s.starts").alias("start"), F.col("s.stops").alias("stop"))
+    pieces = pieces.select("doc_id", *keys, F.col("s.__starts").alias("start"), F.col("s.__stops").alias("stop"))
     pieces = pieces.withColumn("reach", F.max("stop").over(own.rowsBetween(W.unboundedPreceding, -1)))
     pieces = pieces.withColumn("run", F.count_if((F.col("start") > F.col("reach")) | F.col("reach").isNull()).over(own))
     return pieces.groupBy("doc_id", *keys, "run").agg(F.min("start").alias("start"), F.max("stop").alias("stop")).select("doc_id", "start", "stop")
