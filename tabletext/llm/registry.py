@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from ..shipping import ship
-from . import decontamination, language, near_duplicates, packing, search, sharding, substring_dedup, suffix_dedup, token_counts, url_filter
+from . import decontamination, language, near_duplicates, oracles, packing, search, sharding, substring_dedup, suffix_dedup, token_counts, url_filter
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -62,4 +62,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_temporal_url_lists": url_filter.SQL}
+    return dict(oracles.SQL)
