@@ -3,12 +3,15 @@
 1. A pass over the texts gives each document its shingle count, a digest of its shingle set, the
    minima of ``BANDS * ROWS`` universal hashes and a hash of each band of them.
 2. Documents with equal sets are one class; only classes go on, so groups of copies cost one row.
-3. In each bucket (classes with one band in common) all classes are paired with the least one.
+3. In each bucket (classes with one band in common) all classes are paired with its centre: the one
+   whose buckets hold most classes.  In a family of near copies that is the text they come from.
    Pairs are tested on their signatures, then on their full sets.
 4. Components of the links found so far come from alternating large-star and small-star.
 5. A bucket whose classes are all in one component is settled: links inside it change nothing.
-   In the others, every pair from different components that step 3 has not tried is tested now, in
-   blocks of bounded size, so no link that a bucket can show is lost.
+   In the others, classes of different components meet in blocks of bounded size, which hold the full
+   sets.  A block tests a pair in the first band that both share, skips pairs that are joined already,
+   and reports a link only where it joins components; so no link that a bucket can show is lost, and
+   no block reports more links than it has classes.
 
 A pair at similarity 0.8 shares no bucket with a probability of (1 - 0.8 ** 4) ** 32, about 5e-8.
 The signature test drops a pair below ``threshold - SLACK``, over five standard deviations off.
@@ -97,9 +100,8 @@ def _sketch(k: int):
                 if full:
                     rows = signatures([sets[i] for i in full])
                     keys = bands(rows).view(np.int64)
-                    small = rows.astype(np.uint16)
                     for n, i in enumerate(full):
-                        nodes[i], codes[i], minima[i] = _node(sets[i]), keys[n], small[n].tobytes()
+                        nodes[i], codes[i], minima[i] = _node(sets[i]), keys[n], rows[n].tobytes()
                 ids = batch.column("doc_id").slice(block.first, len(block))
                 yield pa.RecordBatch.from_arrays(
                     [ids, pa.array([len(s) for s in sets], pa.int64()), pa.array(nodes, pa.int64()), pa.array(codes, pa.list_(pa.int64())), pa.array(minima, pa.binary())],
@@ -153,24 +155,26 @@ def _similar(least: int):
         for batch in batches:
             if not len(batch):
                 continue
-            x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint16).reshape(len(batch), -1) for c in ("sa", "sb"))
+            x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint32).reshape(len(batch), -1) for c in ("sa", "sb"))
             keep = (x == y).sum(axis=1) >= least
             yield pa.RecordBatch.from_arrays([batch.column(c).filter(pa.array(keep)) for c in ("a", "b")], names=["a", "b"])
 
     return run
 
 
+def _similar_sets(x: np.ndarray, y: np.ndarray, percent: int) -> bool:
+    if 100 * min(len(x), len(y)) < percent * max(len(x), len(y)):
+        return False
+    both = np.sort(np.concatenate([x, y]))
+    common = int((both[1:] == both[:-1]).sum())
+    return 100 * common >= percent * (len(x) + len(y) - common)
+
+
 def _linked(percent: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            keep = []
-            for x, y in zip(batch.column("xa"), batch.column("xb"), strict=True):
-                x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
-                common = 0
-                if 100 * min(len(x), len(y)) >= percent * max(len(x), len(y)):
-                    both = np.sort(np.concatenate([x, y]))
-                    common = int((both[1:] == both[:-1]).sum())
-                keep.append(100 * common >= percent * (len(x) + len(y) - common))
+            pairs = zip(batch.column("xa"), batch.column("xb"), strict=True)
+            keep = [_similar_sets(np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64), percent) for x, y in pairs]
             yield pa.RecordBatch.from_arrays([batch.column(c).filter(pa.array(keep, pa.bool_())) for c in ("a", "b")], names=["a", "b"])
 
     return run
@@ -187,82 +191,137 @@ def _full_sets(k: int):
     return run
 
 
-def confirmed(pairs: DataFrame, classes: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFrame:
-    """The pairs whose full sets have the similarity asked for."""
-    nodes = pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct()
+def full_sets(nodes: DataFrame, classes: DataFrame, docs: DataFrame, k: int) -> DataFrame:
+    """node, shingles of the classes asked for, from the text of one document each."""
     wanted = classes.select("node", F.col("first_id").alias("doc_id")).join(nodes, "node", "left_semi")
     texts = docs.select(F.col("doc_id").alias("id"), "text").join(wanted, F.col("id").eqNullSafe(F.col("doc_id"))).select("node", "text")
-    sets = written(texts.mapInArrow(_full_sets(k), "node long, shingles binary").dropDuplicates(["node"]), "shingles")
+    return written(texts.mapInArrow(_full_sets(k), "node long, shingles binary").dropDuplicates(["node"]), "shingles")
+
+
+def confirmed(pairs: DataFrame, classes: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFrame:
+    """The pairs whose full sets have the similarity asked for."""
+    sets = full_sets(pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct(), classes, docs, k)
     joined = pairs.join(sets.toDF("a", "xa"), "a").join(sets.toDF("b", "xb"), "b")
     return joined.mapInArrow(_linked(percent), "a long, b long")
 
 
-def _blockwise(least: int):
-    """Pairs of classes from different components whose signatures agree enough, in one pair of blocks."""
+class Forest:
+    """Components of the classes of a block, by their labels."""
+
+    def __init__(self):
+        self.up: dict[int, int] = {}
+
+    def root(self, x: int) -> int:
+        while (y := self.up.get(x, x)) != x:
+            self.up[x] = self.up.get(y, y)
+            x = y
+        return x
+
 
+def _candidates(pdf: pd.DataFrame, least: int):
+    """Pairs (rows of the left, rows of the right side) to test in a pair of blocks: signatures near
+    enough, components different, this band the first they share, and neither is the bucket's centre."""
+    left, right = pdf[pdf["side"] == 0].reset_index(drop=True), pdf[pdf["side"] == 1].reset_index(drop=True)
+    if not len(left) or not len(right):
+        return left, right, []
+    x, y = (np.frombuffer(b"".join(s["signature"]), np.uint32).reshape(len(s), BANDS * ROWS) for s in (left, right))
+    band, centre = int(pdf["band"].iloc[0]), int(pdf["centre"].iloc[0])
+    b, lb = right["node"].to_numpy(), right["label"].to_numpy()
+    out = []
+    for i, (node, label) in enumerate(zip(left["node"], left["label"], strict=True)):
+        if node == centre:
+            continue
+        same = y == x[i]
+        hit = np.flatnonzero((same.sum(axis=1) >= least) & (lb != label) & (b != centre))
+        if len(hit):
+            first = same[hit].reshape(len(hit), BANDS, ROWS).all(axis=2).argmax(axis=1)
+            out.append((i, hit[first == band]))
+    return left, right, out
+
+
+def _nodes_to_test(least: int):
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        left, right = pdf[pdf["side"] == 0], pdf[pdf["side"] == 1]
-        out = []
-        if len(left) and len(right):
-            x, y = (np.frombuffer(b"".join(s["signature"]), np.uint16).reshape(len(s), -1) for s in (left, right))
-            b, lb = right["node"].to_numpy(), right["label"].to_numpy()
-            for node, label, own in zip(left["node"], left["label"], x, strict=True):
-                hit = ((y == own).sum(axis=1) >= least) & (lb != label)
-                out.append(pd.DataFrame({"a": np.minimum(node, b[hit]), "b": np.maximum(node, b[hit])}))
-        return pd.concat(out) if out else pd.DataFrame({"a": pd.Series(dtype="int64"), "b": pd.Series(dtype="int64")})
+        left, right, found = _candidates(pdf, least)
+        nodes = {int(left["node"][i]) for i, hit in found if len(hit)} | {int(n) for _, hit in found for n in right["node"].to_numpy()[hit]}
+        return pd.DataFrame({"node": pd.Series(sorted(nodes), dtype="int64")})
 
     return run
 
 
-def unsettled_pairs(buckets: DataFrame, labels: DataFrame, classes: DataFrame, least: int) -> DataFrame:
-    """Pairs to test in buckets of more than one component.
+def _joining_links(least: int, percent: int):
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        left, right, found = _candidates(pdf, least)
+        forest, links = Forest(), []
+        sets = [[np.frombuffer(s, np.uint64) for s in side["shingles"]] for side in (left, right)]
+        for i, hit in found:
+            for j in hit.tolist():
+                a, b = forest.root(int(left["label"][i])), forest.root(int(right["label"][j]))
+                if a != b and _similar_sets(sets[0][i], sets[1][j], percent):
+                    forest.up[max(a, b)] = min(a, b)
+                    links.append((int(left["node"][i]), int(right["node"][j])))
+        return pd.DataFrame(links, columns=["a", "b"], dtype="int64")
 
-    The classes outside a bucket's largest component are cut into blocks; each block meets all blocks
-    of the bucket.  The largest component is not compared with itself.
-    """
-    tagged = buckets.join(labels, "node", "left").select("bucket", "node", F.coalesce("label", "node").alias("label"))
-    mixed = tagged.groupBy("bucket").agg(F.count("*").alias("size"), F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y and size > 2")
-    members = written(tagged.join(mixed.select("bucket"), "bucket", "left_semi"), "mixed-buckets")
+    return run
+
+
+def _blocks(members: DataFrame, *content: str) -> DataFrame:
+    """Members of mixed buckets, dealt to pairs of blocks: those outside a bucket's largest component
+    (side 0) meet all others (side 1).  The largest component is not compared with itself."""
     by_label = members.groupBy("bucket", "label").agg(F.count("*").alias("n"))
     shape = by_label.groupBy("bucket").agg(F.max(F.struct("n", "label")).alias("top"), F.sum("n").alias("size"))
     shape = shape.select("bucket", F.col("top.label").alias("main"), F.ceil((F.col("size") - F.col("top.n")) / F.lit(BLOCK)).cast("int").alias("minor"), F.ceil(F.col("size") / F.lit(BLOCK)).cast("int").alias("all"))
-    members = members.join(shape, "bucket").join(classes.select("node", "signature"), "node")
+    members = members.join(shape, "bucket")
     spot = F.xxhash64("node", "bucket")
     minor, every = F.pmod(spot, F.col("minor")).cast("int"), F.pmod(spot, F.col("all")).cast("int")
-    left = members.where("label <> main").select("bucket", minor.alias("i"), F.explode(F.sequence(F.lit(0), F.col("all") - 1)).alias("j"), F.lit(0).alias("side"), "node", "label", "signature")
-    right = members.select("bucket", F.explode(F.sequence(F.lit(0), F.col("minor") - 1)).alias("i"), every.alias("j"), F.lit(1).alias("side"), "node", "label", "signature")
-    return left.union(right).groupBy("bucket", "i", "j").applyInPandas(_blockwise(least), "a long, b long").distinct()
+    same = ["band", "centre", "node", "label", *content]
+    left = members.where("label <> main").select("bucket", minor.alias("i"), F.explode(F.sequence(F.lit(0), F.col("all") - 1)).alias("j"), F.lit(0).alias("side"), *same)
+    right = members.select("bucket", F.explode(F.sequence(F.lit(0), F.col("minor") - 1)).alias("i"), every.alias("j"), F.lit(1).alias("side"), *same)
+    return left.union(right)
+
+
+def joining_links(buckets: DataFrame, labels: DataFrame, classes: DataFrame, docs: DataFrame, k: int, least: int, percent: int) -> DataFrame | None:
+    """Links that join components in buckets of more than one; None if there are no such buckets."""
+    tagged = buckets.join(labels, "node", "left").select("bucket", "band", "centre", "node", F.coalesce("label", "node").alias("label"))
+    mixed = tagged.groupBy("bucket").agg(F.count("*").alias("size"), F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y and size > 2")
+    members = tagged.join(mixed.select("bucket"), "bucket", "left_semi")
+    members = written(members.join(classes.select("node", "signature"), "node"), "mixed-buckets")
+    nodes = _blocks(members, "signature").groupBy("bucket", "i", "j").applyInPandas(_nodes_to_test(least), "node long")
+    nodes = written(nodes.distinct(), "nodes-to-test")
+    if not nodes.limit(1).count():
+        return None
+    sets = full_sets(nodes, classes, docs, k)
+    return _blocks(members.join(sets, "node"), "signature", "shingles").groupBy("bucket", "i", "j").applyInPandas(_joining_links(least, percent), "a long, b long")
 
 
 def near_duplicate_classes(docs: DataFrame, words: int = 5, threshold: float = 0.8, id: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc_id, n_shingles, node (class of equal sets), n_links (to other classes), component_id."""
+    """doc_id, n_shingles, node (class of equal sets), component_id: a row for each document."""
     percent, least = round(100 * threshold), int((threshold - SLACK) * BANDS * ROWS)
     docs = docs.select(F.col(id).alias("doc_id"), F.col(text).alias("text"))
     sketch = written(sketches(docs, words), "sketches")
     classes = written(sketch.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("first_id"), F.first("bands").alias("bands"), F.first("signature").alias("signature")), "classes")
-    buckets = classes.select(F.explode("bands").alias("bucket"), "node")
-    shared = buckets.groupBy("bucket").agg(F.min("node").alias("a"), F.max("node").alias("z")).where("a <> z").select("bucket", "a")
-    buckets = written(buckets.join(shared, "bucket").select("bucket", "a", "node"), "buckets")
-    stars = written(buckets.where("a <> node").select("a", F.col("node").alias("b")).distinct(), "stars")
+    buckets = classes.select(F.posexplode("bands").alias("band", "bucket"), "node")
+    shared = buckets.groupBy("bucket").agg(F.count("*").alias("size")).where("size > 1")
+    buckets = written(buckets.join(shared, "bucket"), "buckets")
+    weight = buckets.groupBy("node").agg(F.sum("size").alias("weight"))
+    centre = buckets.join(weight, "node").groupBy("bucket").agg(F.max_by("node", F.struct("weight", "node")).alias("centre"))
+    buckets = written(buckets.select("bucket", "band", "node").join(centre, "bucket"), "buckets")
+    stars = written(buckets.where("centre <> node").select(F.col("centre").alias("a"), F.col("node").alias("b")).distinct(), "stars")
 
     signed = classes.select("node", "signature")
     near = stars.join(signed.toDF("a", "sa"), "a").join(signed.toDF("b", "sb"), "b").mapInArrow(_similar(least), "a long, b long")
     links = written(confirmed(written(near, "candidates"), classes, docs, words, percent), "links")
     labels = components(links)
 
-    more = unsettled_pairs(buckets.select("bucket", "node"), labels, classes, least)
-    more = written(more.join(stars, ["a", "b"], "left_anti"), "candidates")
-    if more.limit(1).count():
-        links = written(links.union(confirmed(more, classes, docs, words, percent)), "links")
-        labels = components(links)
+    more = joining_links(buckets, labels, classes, docs, words, least, percent)
+    if more is not None:
+        labels = components(written(links.union(more), "links"))
     labels = written(labels, "labels")
 
-    degree = links.select(F.col("a").alias("node")).union(links.select("b")).groupBy("node").agg(F.count("*").alias("n_links"))
     least_id = classes.select("node", "first_id").join(labels, "node").groupBy("label").agg(F.min("first_id").alias("component_id"))
-    of = labels.join(least_id, "label").join(degree, "node", "left").select("node", "component_id", "n_links")
-    ids = classes.select("node", "first_id").join(of, "node", "left").select("node", F.coalesce("component_id", "first_id").alias("component_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    of = labels.join(least_id, "label").select("node", "component_id")
+    ids = classes.select("node", "first_id").join(of, "node", "left").select("node", F.coalesce("component_id", "first_id").alias("component_id"))
     return sketch.select("doc_id", "n_shingles", "node").join(ids, "node", "left").select(
-        F.col("doc_id").alias(id), "n_shingles", "node", F.coalesce("n_links", F.lit(0)).alias("n_links"), F.coalesce("component_id", "doc_id").alias("component_id")
+        F.col("doc_id").alias(id), "n_shingles", "node", F.coalesce("component_id", "doc_id").alias("component_id")
     )
 
 
