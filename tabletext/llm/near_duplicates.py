@@ -37,6 +37,8 @@ from .textblocks import PLAIN_WORDS, WORD_BASE, Block, Rolling, Words, blocks, m
 
 BANDS, ROWS = 32, 4
 SLACK = 0.2
+#: Ids of copies that may be sent to all tasks; with more of them both sides are dealt by id.
+BROADCAST_IDS = 1_000_000
 #: Classes of a bucket that are compared with as many others in one task.
 BLOCK = 512
 
@@ -331,7 +333,9 @@ def drop_near_duplicates(docs: DataFrame, words: int = 5, threshold: float = 0.8
     Rows that repeat an id with other content stay if one of them is kept; a row with a null id stays.
     """
     found = near_duplicate_classes(docs, words, threshold, id, text)
-    gone = found.where(F.col(id) != F.col("component_id")).select(F.col(id).alias("__gone")).distinct()
+    gone = written(found.where(F.col(id) != F.col("component_id")).select(F.col(id).alias("__gone")).distinct(), "copies")
+    if gone.count() <= BROADCAST_IDS:  # then the texts stay where they are
+        gone = F.broadcast(gone)
     return docs.join(gone, F.col(id) == F.col("__gone"), "left_anti")
 
 
