@@ -7,7 +7,8 @@ be compared only around anchors whose gram occurs more than once, and there they
 1. ``anchor_table``: a pass over the texts; for each anchor the hash of its gram, the digest of its
    region (all windows that hold it) and its place.
 2. ``repeated``: one exchange by gram; anchors that occur once go.  Where whole regions are equal,
-   nothing needs comparing: copies collapse here, however many there are.
+   nothing needs comparing: copies collapse here, however many there are.  Heavy grams (``skew.py``)
+   are counted by partial sums instead.
 3. ``regions``: one representative of each distinct region whose gram also has other regions; its
    content is fetched from the texts.
 4. An index of each shard of regions (suffix array or FM-index, see the modules that call this) tells
@@ -30,6 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from .skew import SHARES, heavy_keys
 from .storage import partitions_for, written
 from .textblocks import BYTE_BASE, PLAIN_WORDS, WORD_BASE, Block, Rolling, Words, blocks, mix, owners, window_minima
 
@@ -114,7 +116,20 @@ def repeated(table: DataFrame, keys: list[str], ordered: bool) -> DataFrame:
 
     ``covered``: the whole region is repeated (``ordered``: in a row of a smaller id).  ``several``: the
     gram has other regions too.  ``chosen``: this row stands for its region.
+
+    Heavy grams are counted with partial sums in each task; what is known of them comes back by broadcast.
     """
+    total = table.count()
+    heavy = written(heavy_keys(table, "gram", total), "heavy-grams")
+    if not heavy.limit(1).count():
+        return _repeated_here(table, keys, ordered)
+    rest = table.join(F.broadcast(heavy), "gram", "left_anti")
+    often = table.join(F.broadcast(heavy), "gram", "left_semi")
+    return _repeated_here(rest, keys, ordered).union(_repeated_often(often, keys, ordered, total))
+
+
+def _repeated_here(table: DataFrame, keys: list[str], ordered: bool) -> DataFrame:
+    """``repeated`` by one exchange: all anchors of a gram meet in one task."""
     same = W.partitionBy("gram", "region")
     rows = table.withColumn("of_gram", F.count("*").over(W.partitionBy("gram"))).where("of_gram > 1")
     rows = rows.withColumn("of_region", F.count("*").over(same)).withColumn("least", F.min("__id").over(same))
@@ -123,6 +138,29 @@ def repeated(table: DataFrame, keys: list[str], ordered: bool) -> DataFrame:
     return rows.select(*keys, "place", "gram", "region", covered.alias("covered"), (F.col("of_gram") > F.col("of_region")).alias("several"), "chosen")
 
 
+def _repeated_often(table: DataFrame, keys: list[str], ordered: bool, total: int) -> DataFrame:
+    """``repeated`` for the few heavy grams: regions are counted with partial sums and joined back.
+
+    Regions with many rows are few as well and are broadcast; the others meet by region.  The row that
+    stands for a region comes once more, from the counts, as the only chosen one.
+    """
+    by_region = table.groupBy("gram", "region").agg(F.count("*").alias("of_region"), F.min(F.struct(*keys, "place")).alias("first"))
+    by_region = written(by_region, "heavy-regions")
+    by_gram = by_region.groupBy("gram").agg(F.sum("of_region").alias("of_gram"))
+    by_region = by_region.join(F.broadcast(by_gram), "gram").withColumn("least", F.col("first.__id"))
+    big = F.col("of_region") > max(1, total // SHARES)
+    known = by_region.drop("first")
+    few = known.where(big)
+    rows = table.join(F.broadcast(few), ["gram", "region"]).unionByName(table.join(F.broadcast(few.select("gram", "region")), ["gram", "region"], "left_anti").join(known.where(~big), ["gram", "region"]))
+    covered = F.col("__id") > F.col("least") if ordered else F.col("of_region") > 1
+    several = F.col("of_gram") > F.col("of_region")
+
+    def shaped(df: DataFrame, chosen: bool) -> DataFrame:
+        return df.where("of_gram > 1").select(*keys, "place", "gram", "region", covered.alias("covered"), several.alias("several"), F.lit(chosen).alias("chosen"))
+
+    return shaped(rows, False).union(shaped(by_region.select("gram", "region", "of_region", "of_gram", "least", "first.*"), True))
+
+
 def regions(chosen: DataFrame, docs: DataFrame, units: Units, keys: list[str]) -> DataFrame:
     """Content of regions, to the left and to the right of the anchor's start."""
     wanted = chosen.groupBy(*keys).agg(F.collect_list("gram").alias("grams"), F.collect_list("region").alias("regions"), F.collect_list("place").alias("places"), F.collect_list("covered").alias("covered"))
@@ -195,7 +233,8 @@ def shard_spans(found: DataFrame, index: Callable[[pa.Table], dict[str, np.ndarr
 def repeat_spans(docs: DataFrame, units: Units, keys: list[str], index, ordered: bool, hot: int | None = None) -> DataFrame:
     """keys, __starts, __stops: for each document with repeated windows where they lie, as start and stop of units."""
     hot = HOT if hot is None else hot
-    rows = written(repeated(anchor_table(docs, units, keys), keys, ordered), "anchors")
+    table = written(anchor_table(docs, units, keys), "all-anchors")
+    rows = written(repeated(table, keys, ordered), "anchors")
     found = written(regions(rows.where("several and chosen"), docs, units, keys), "regions")
     many = found.groupBy("gram").agg(F.count("*").alias("n")).where(F.col("n") > hot).select("gram")
     hot_grams = written(many, "hot-grams")
