@@ -4,6 +4,8 @@ A text's key is the digest of its UTF-8 bytes (a null is an empty text: no other
 token counts as they are) together with the digest of the vocabulary file.  Known keys are joined to
 stored counts; each distinct key that is not known is encoded once and appended to the cache.
 
+Digests with a large share of the rows (``skew.py``) get their counts by broadcast, all others by a join.
+
 The cache is a Parquet table that only grows.  Appending the same key twice (two runs at once, a task
 that ran twice) does no harm: equal keys have equal counts and reads take one of them.
 
@@ -21,7 +23,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .storage import shared_folder
+from .skew import heavy_keys
+from .storage import shared_folder, written
 from .tokens import DEFAULT, encoder, version, vocabulary_path
 
 CACHE_SCHEMA = "digest binary, tokenizer string, n_tokens long"
@@ -95,4 +98,9 @@ def token_counts(docs: DataFrame, path: str | None = None, vocabulary: str | Non
     update_cache(docs, path, vocabulary, text)
     counts = read_cache(spark, path).where(F.col("tokenizer") == version(vocabulary)).groupBy("digest").agg(F.first("n_tokens").alias("n_tokens"))
     keyed = docs.select(F.col(id), digest(F.col(text)).alias("digest"), F.coalesce(F.octet_length(F.col(text)), F.lit(0)).cast("long").alias("n_bytes"))
-    return keyed.join(counts, "digest", "left").select(id, "n_bytes", "n_tokens", (F.col("n_tokens") > limit).alias("over_limit"))
+    keyed = written(keyed, "digests")
+    heavy = written(heavy_keys(keyed, "digest", keyed.count()), "heavy-digests")
+    few = counts.join(F.broadcast(heavy), "digest", "left_semi")
+    rest = keyed.join(F.broadcast(heavy), "digest", "left_anti").join(counts, "digest", "left")
+    both = keyed.join(F.broadcast(few), "digest").unionByName(rest)
+    return both.select(id, "n_bytes", "n_tokens", (F.col("n_tokens") > limit).alias("over_limit"))
