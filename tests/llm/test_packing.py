@@ -57,5 +57,55 @@ def test_neighbours_share_words():
     assert sum(len(t) == 1 for t in topics.values()) >= len(topics) - 2
 
 
+def by_brute_force(documents, window, chains=1):
+    """Chains take turns; each takes the unused document of the highest BM25 score to its window's seed, over all documents."""
+    n, mean = len(documents), np.mean([len(d) for d in documents])
+    sets = [dict(zip(*np.unique(d, return_counts=True), strict=True)) for d in documents]
+    df = {t: sum(t in s for s in sets) for t in {t for s in sets for t in s}}
+    weights = [{t: np.rint(2**20 * np.log1p((n - df[t] + 0.5) / (df[t] + 0.5)) * tf * 2.2 / (tf + 1.2 * (0.25 + 0.75 * len(d) / mean))) for t, tf in s.items()} for s, d in zip(sets, documents, strict=True)]
+    unused, order, fill, seed = set(range(n)), [[] for _ in range(chains)], [0] * chains, [None] * chains
+    while unused:
+        for c in range(chains):
+            if not unused:
+                break
+            asked = weights[seed[c]] if fill[c] else []
+            own = {d: sum(weights[d].get(t, 0) for t in asked) for d in unused}
+            best = max(own, key=lambda d: (own[d], -((d - (seed[c] or 0)) % packing._turn(n))))
+            best = best if own[best] > 0 else min(unused)
+            unused.remove(best)
+            order[c].append(best)
+            if not fill[c] or fill[c] + len(documents[best]) >= window:
+                seed[c] = best
+            fill[c] = (fill[c] + len(documents[best])) % window
+    return order
+
+
+def test_nearest_of_all_documents():
+    """Lists that are too short are made anew: no document is out of reach."""
+    r = np.random.default_rng(1)
+    documents = [r.choice(40, r.integers(1, 15)).astype(np.uint32) for _ in range(60)]
+    (want,) = by_brute_force(documents, 30)
+    for k in (1, 3, 64):
+        order = [doc for doc, start, *_ in packing.pack_shard(documents, 30, k) if start == 0]
+        assert order == want
+
+
+def test_chains_search_the_whole_corpus(frame):
+    """Every chain finds the nearest document of the corpus, and statistics are those of the corpus."""
+    r = np.random.default_rng(2)
+    words = ["kappa", "sigma", "theta", "omega", "delta", "iota", "rho", "tau", "phi", "chi"]
+    texts = [" ".join(r.choice(words, r.integers(3, 11))) for _ in range(60)]
+    frame = frame(texts)
+    digest = {x[0]: x[1] for x in frame.selectExpr("doc_id", "xxhash64(doc_id, text)").collect()}
+    docs = sorted(digest, key=digest.get)
+    library = Tokenizer.from_file(tokens.vocabulary_path())
+    ids = [np.array([*library.encode(texts[i]).ids, 0]) for i in docs]
+    size = sum(len(t.encode()) + 64 for t in texts)
+    for chains in (1, 5):
+        rows = packing.pack(frame, window=40, shard_bytes=-(-size // chains)).where("start = 0").orderBy("sequence_id", "offset").collect()
+        got = [[docs.index(x["doc_id"]) for x in rows if x["sequence_id"] >> 32 == c] for c in range(chains)]
+        assert got == by_brute_force(ids, 40, chains)
+
+
 def test_empty(frame):
     assert packing.op2(frame([])).count() == 0
