@@ -13,7 +13,7 @@ list has only used documents left, but was cut, waits; when all wait, the lists
 of the unused documents are made anew over the unused documents.  So lists are short without a document
 being out of reach.
 
-A query is made of the seed's ``QUERY_TERMS`` weightiest tokens, taken from the whole document.
+A query has every distinct token of the seed, taken from the whole document, that another document has.
 Where no unused document shares any of them, the next one in the order of digests follows.  Weights are
 whole multiples of 1 / ``UNIT``, so sums are exact in any order; of equal scores the next in that order
 after the seed comes first.
@@ -37,7 +37,6 @@ from .tokens import DEFAULT, encoder, vocabulary_path
 
 WINDOW = 1024
 SHARD_BYTES = 8 << 20
-QUERY_TERMS = 24
 NEAREST = 64
 K1, B = 1.2, 0.75
 UNIT = float(1 << 20)
@@ -67,10 +66,8 @@ class Statistics:
         return terms.astype(np.int64), np.rint(UNIT * idf * tf * (K1 + 1) / (tf + K1 * (1 - B + B * len(document) / self.mean)))
 
     def query(self, document: np.ndarray) -> np.ndarray:
-        terms, weight = self.weights(document)
-        useful = self.df[terms] > 1
-        terms, weight = terms[useful], weight[useful]
-        return terms if len(terms) <= QUERY_TERMS else terms[np.argpartition(-weight, QUERY_TERMS)[:QUERY_TERMS]]
+        terms = np.unique(document).astype(np.int64)
+        return terms[self.df[terms] > 1]
 
 
 class Index:

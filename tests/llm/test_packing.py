@@ -107,5 +107,13 @@ def test_chains_search_the_whole_corpus(frame):
         assert got == by_brute_force(ids, 40, chains)
 
 
+def test_all_tokens_of_a_seed_count():
+    """Long documents: what is shared beyond the weightiest tokens decides too."""
+    r = np.random.default_rng(3)
+    documents = [r.choice(300, r.integers(80, 160)).astype(np.uint32) for _ in range(40)]
+    (want,) = by_brute_force(documents, 200)
+    assert [doc for doc, start, *_ in packing.pack_shard(documents, 200) if start == 0] == want
+
+
 def test_empty(frame):
     assert packing.op2(frame([])).count() == 0
