@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.fidelity import TOLERANCE, within
+from ..shipping import ship
 
 #: Bytes of the item side of a containment join that may be broadcast.
 MAX_ITEM_BYTES = 8 << 20
@@ -31,6 +34,50 @@ def tolerance_join(a: DataFrame, b: DataFrame, left: str, right: str, rel: str =
     return joined.where(within(F.col(left).cast("decimal(24,6)"), F.col(right).cast("decimal(24,6)"), rel)).drop("__a", "__b", "__at")
 
 
+def tolerance_counts(a: DataFrame, b: DataFrame, left: str, right: str, left_id: str, right_id: str, rel: str = TOLERANCE) -> DataFrame:
+    """left_id, n, least: how many numbers are within the tolerance of the left one, and the least id of them.
+
+    No pair is formed.  What is within the tolerance of a number is a range; ranges are cut at the
+    borders of logarithmic buckets, and in each bucket two binary searches give the count and a table
+    of minima over powers of two the least id.  Numbers are whole millionths; ids are whole numbers.
+    """
+    ship(a.sparkSession)
+    step = float(rel)
+    exact = lambda c: (F.col(c).cast("decimal(24,6)") * F.lit(1_000_000)).cast("long")
+
+    def bucket(c):
+        return (F.signum(c) * F.floor(F.log1p(F.abs(c)) / F.lit(step))).cast("long")
+
+    share = F.floor(F.abs(F.col("__x")).cast("decimal(38,6)") * F.lit(rel).cast("decimal(4,3)")).cast("long")
+    ranges = a.select(F.col(left_id).cast("long").alias("__id"), exact(left).alias("__x")).where("__x is not null")
+    ranges = ranges.select("__id", (F.col("__x") - share).alias("__low"), (F.col("__x") + share).alias("__high"))
+    ranges = ranges.withColumn("__at", F.explode(F.sequence(bucket(F.col("__low")), bucket(F.col("__high")))))
+    points = b.select(F.col(right_id).cast("long").alias("__id"), exact(right).alias("__y")).where("__y is not null")
+    points = points.withColumn("__at", bucket(F.col("__y")))
+    found = ranges.groupBy("__at").cogroup(points.groupBy("__at")).applyInArrow(_counted, "id long, n long, least long")
+    return found.groupBy(F.col("id").alias(left_id)).agg(F.sum("n").alias("n"), F.min("least").alias("least"))
+
+
+def _counted(ranges: pa.Table, points: pa.Table) -> pa.Table:
+    """Of the ranges that meet a point: id, number of points, least id of them."""
+    if not ranges.num_rows or not points.num_rows:
+        return pa.table({c: pa.array([], pa.int64()) for c in ("id", "n", "least")})
+    points = points.sort_by("__y")
+    y, minima = points["__y"].to_numpy(), [points["__id"].to_numpy()]
+    while len(y) >= 2 << len(minima) - 1:
+        half = 1 << len(minima) - 1
+        minima.append(np.minimum(minima[-1][:-half], minima[-1][half:]))
+    low, high = np.searchsorted(y, ranges["__low"].to_numpy(), "left"), np.searchsorted(y, ranges["__high"].to_numpy(), "right")
+    some = high > low
+    low, high, ids = low[some], high[some], ranges["__id"].to_numpy()[some]
+    level = np.frexp(high - low)[1] - 1
+    least = np.zeros(len(ids), np.int64)
+    for k in np.unique(level).tolist():
+        own = level == k
+        least[own] = np.minimum(minima[k][low[own]], minima[k][high[own] - (1 << k)])
+    return pa.table({"id": ids, "n": (high - low).astype(np.int64), "least": least})
+
+
 def contains_join(docs: DataFrame, items: DataFrame, max_bytes: int = MAX_ITEM_BYTES) -> DataFrame:
     """Documents that contain an item's text.  The items are small; their size is checked before they are sent to all tasks.
 

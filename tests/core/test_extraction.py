@@ -87,6 +87,32 @@ def test_tolerance_join_is_exact(spark):
     assert near(joins.tolerance_join(a, b, "x", "y")) == near(brute)
 
 
+def test_tolerance_counts_by_brute_force(spark):
+    import random
+
+    r = random.Random(5)
+    near = lambda: r.choice([0.0, -1.0, 1.0, 1.0]) * round(r.choice([1000, 1001, 5, 0.002]) * r.uniform(0.998, 1.002), 6)
+    x, y = [(i, near()) for i in range(120)], [(i, near()) for i in range(150)]
+    a, b = spark.createDataFrame(x, "a long, x double"), spark.createDataFrame(y, "b long, y double")
+    pairs = joins.tolerance_join(a, b, "x", "y").groupBy("a").agg(F.count("*").alias("n"), F.min("b").alias("least"))
+    got = sorted(map(tuple, joins.tolerance_counts(a, b, "x", "y", "a", "b").collect()))
+    assert got == sorted(map(tuple, pairs.collect()))
+    whole = lambda v: round(v * 10**6)
+    brute = {i: [j for j, w in y if 1000 * abs(whole(v) - whole(w)) <= abs(whole(v))] for i, v in x}
+    assert got == sorted((i, len(own), min(own)) for i, own in brute.items() if own)
+
+
+def test_tolerance_join_query_takes_all_orders(spark, sf):
+    from tabletext import queries
+
+    o = [(r[0], round(float(r[1]) * 10**6)) for r in tables.load_table(spark, sf, "orders").select("o_orderkey", "o_totalprice").collect()]
+    li = tables.load_table(spark, sf, "lineitem").groupBy("l_orderkey").agg(F.max("l_extendedprice"))
+    p = [(r[0], round(float(r[1]) * 10**6)) for r in li.collect()]
+    brute = {i: [j for j, w in p if 1000 * abs(v - w) <= abs(v)] for i, v in o}
+    got = sorted((r["a"], r["n"], r["least"]) for r in queries.queries()["tolerance_join"](spark, sf).collect())
+    assert got == sorted((i, len(own), min(own)) for i, own in brute.items() if own)
+
+
 def test_containment_by_both_ways(spark):
     docs = spark.createDataFrame([(1, "so one two three four five end"), (2, "two three"), (3, "x one two three four five")], "doc_id int, text string")
     items = spark.createDataFrame([(9, "one two three four five"), (8, "two three")], "item_id int, item_text string")
