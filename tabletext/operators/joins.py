@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -81,15 +83,13 @@ def _counted(ranges: pa.Table, points: pa.Table) -> pa.Table:
 def contains_join(docs: DataFrame, items: DataFrame, max_bytes: int = MAX_ITEM_BYTES) -> DataFrame:
     """Documents that contain an item's text.  The items are small; their size is checked before they are sent to all tasks.
 
-    Beyond the bound the items' leading words become an equality key instead.
+    Beyond the bound they are sent in parts of about that size, one pass over the documents each, with the same test.
     """
-    size = items.agg(F.coalesce(F.sum(F.octet_length("item_text")), F.lit(0))).first()[0]
-    if size <= max_bytes:
-        return docs.join(F.broadcast(items), F.col("text").contains(F.col("item_text")))
-    words = lambda c: F.split(c, " ")
-    head = F.array_join(F.slice(words(F.col("item_text")), 1, 4), " ")
-    grams = docs.withColumn("__w", words(F.col("text"))).withColumn("__head", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("__w")), lambda i: F.array_join(F.slice("__w", i, 4), " "))))).drop("__w")
-    return grams.join(items.withColumn("__key", head), F.col("__head") == F.col("__key")).where(F.col("text").contains(F.col("item_text"))).drop("__head", "__key").dropDuplicates()
+    size, count = items.agg(F.coalesce(F.sum(F.octet_length("item_text")), F.lit(0)), F.count("*")).first()
+    n = max(1, min(-(-size // max_bytes), count))
+    part = F.pmod(F.xxhash64(*items.columns), F.lit(n))
+    parts = [items if n == 1 else items.where(part == i) for i in range(n)]
+    return reduce(DataFrame.union, [docs.join(F.broadcast(p), F.col("text").contains(F.col("item_text"))) for p in parts])
 
 
 def to_long(wide: DataFrame, keys: list[str], columns: list[str]) -> DataFrame:

@@ -120,6 +120,14 @@ def test_containment_by_both_ways(spark):
     assert got[0] == got[1] == [(1, 9), (3, 9)]
 
 
+def test_containment_is_the_same_beyond_the_bound(spark):
+    texts = ["\none two three four, five", "(one two three four five)", "xone two three four.", "two three, and", "two three", "two three", None, ""]
+    docs = spark.createDataFrame([(i // 2, t) for i, t in enumerate(texts)] + [(9, "two three")] * 2, "doc_id int, text string")
+    items = spark.createDataFrame([(1, "one two three four"), (2, "one two three four five"), (3, "two three"), (4, "four"), (4, "four"), (5, None)], "item_id int, item_text string")
+    small, parts = (sorted((r["doc_id"], r["item_id"]) for r in joins.contains_join(docs, items, m).collect()) for m in (1000, 20))
+    assert parts == small and len(small) == len(docs.crossJoin(items).where("contains(text, item_text)").collect())
+
+
 def test_any_table_end_to_end(spark, sf, tmp_path):
     df = tables.load_table(spark, sf, "supplier").select("s_suppkey", "s_name", F.col("s_acctbal").cast("decimal(24,6)").alias("s_acctbal_amount"))
     b = pipeline.benchmark_table(spark, df, "supplier", path=str(tmp_path))
