@@ -8,7 +8,7 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .functions import numeric, similarity, temporal
+from .functions import numeric, temporal
 from .operators import extraction, filtering, generation, joins, judging, matching, scoring
 from .operators.validation import validate, with_mentions
 from .plans import planning
@@ -178,14 +178,9 @@ def wl_claim_support(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("item_id", "doc_id")
 
 
-def wl_embedding_match(spark: SparkSession, sf_dir: str, each: int = 8) -> DataFrame:
-    """Greedy token matching between labels; a label's tokens are its first vectors."""
-    from pyspark.sql import Window as W
-
-    e = tables.load_table(spark, sf_dir, "embeddings").withColumn("turn", F.row_number().over(W.partitionBy("label").orderBy("vec_id"))).where(F.col("turn") <= each)
-    bags = e.groupBy("label").agg(F.array_sort(F.collect_list(F.struct("vec_id", similarity.unit(F.col("embedding")).alias("v")))).alias("b")).select("label", F.transform("b", lambda x: x["v"]).alias("bag"))
-    a, b = bags.toDF("label_a", "bag_a"), bags.toDF("label_b", "bag_b")
-    return a.join(b, F.col("label_a") < F.col("label_b")).select("label_a", "label_b", similarity.greedy_token_match(F.col("bag_a"), F.col("bag_b")).alias("score"))
+def wl_embedding_match(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Greedy token matching between labels; a label's tokens are all its vectors."""
+    return matching.match_bags(tables.load_table(spark, sf_dir, "embeddings"), "label", "embedding")
 
 
 def wl_text_as_table(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -128,6 +128,25 @@ def test_containment_is_the_same_beyond_the_bound(spark):
     assert parts == small and len(small) == len(docs.crossJoin(items).where("contains(text, item_text)").collect())
 
 
+def test_bags_hold_all_vectors_of_a_label(spark, sf):
+    import numpy as np
+
+    from tabletext import queries
+
+    bags = {}
+    for r in tables.load_table(spark, sf, "embeddings").collect():
+        v = np.array(r["embedding"], float)
+        bags.setdefault(r["label"], []).append(v / np.linalg.norm(v))
+    want = {}
+    for a, b in ((a, b) for a in bags for b in bags if a < b):
+        c = np.array(bags[a]) @ np.array(bags[b]).T
+        p, q = c.max(axis=1).mean(), c.max(axis=0).mean()
+        want[a, b] = 2 * p * q / (p + q)
+    for got in (queries.queries()["embedding_token_match"](spark, sf).collect(), matching.match_bags(tables.load_table(spark, sf, "embeddings"), "label", "embedding", 7).collect()):
+        assert {(r["label_a"], r["label_b"]) for r in got} == set(want)
+        assert all(abs(float(r["score"]) - want[r["label_a"], r["label_b"]]) < 1e-4 for r in got)
+
+
 def test_any_table_end_to_end(spark, sf, tmp_path):
     df = tables.load_table(spark, sf, "supplier").select("s_suppkey", "s_name", F.col("s_acctbal").cast("decimal(24,6)").alias("s_acctbal_amount"))
     b = pipeline.benchmark_table(spark, df, "supplier", path=str(tmp_path))
