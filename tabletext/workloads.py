@@ -68,7 +68,7 @@ def validated(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = tuple(S
 
 
 def wl_judge_table(spark: SparkSession, sf_dir: str) -> DataFrame:
-    v = validated(spark, sf_dir, ("order_facts", "part_catalog", "company_facts_wide"), judges=True).withColumn("domain", domain())
+    v = validated(spark, sf_dir, judges=True).withColumn("domain", domain())
     return scoring.judge_table(v, ["domain"])
 
 
@@ -109,17 +109,14 @@ def extracted(spark: SparkSession, sf_dir: str, names: tuple[str, ...], oracle:
     return extraction.extract(reports, schema), truth_columns(reports), schema
 
 
-FOR_EXTRACTION = ("order_facts", "part_catalog", "customer_place", "supplier_place")
-
-
 def wl_column_table(spark: SparkSession, sf_dir: str, sim: str = "edit", solver: str = "exact") -> DataFrame:
-    _, truth, pred = extracted(spark, sf_dir, FOR_EXTRACTION)
+    _, truth, pred = extracted(spark, sf_dir, tuple(SOURCES))
     mapping = matching.match_columns(matching.name_matrix(truth, pred, sim), solver)
     return scoring.score_columns(mapping, truth, pred)
 
 
 def wl_value_table(spark: SparkSession, sf_dir: str, weighting: str = "value", oracle: bool = False) -> DataFrame:
-    found, truth, pred = extracted(spark, sf_dir, FOR_EXTRACTION, oracle)
+    found, truth, pred = extracted(spark, sf_dir, tuple(SOURCES), oracle)
     mapping = matching.match_columns(matching.name_matrix(truth, pred))
     return scoring.extraction_table(scoring.score_values(found, mapping, weighting), ["dataset", "report_type"])
 
@@ -131,7 +128,7 @@ def wl_weighted(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def wl_final_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Text quality and information fidelity by dataset."""
-    names = ("order_facts", "part_catalog")
+    names = tuple(SOURCES)
     v = validated(spark, sf_dir, names, judges=True).groupBy("dataset").agg(F.avg("judge.overall").alias("text_quality"))
     found, truth, pred = extracted(spark, sf_dir, names)
     mapping = matching.match_columns(matching.name_matrix(truth, pred))

@@ -147,6 +147,20 @@ def test_bags_hold_all_vectors_of_a_label(spark, sf):
         assert all(abs(float(r["score"]) - want[r["label_a"], r["label_b"]]) < 1e-4 for r in got)
 
 
+def test_experiments_take_all_tables(spark, monkeypatch):
+    class Taken(Exception):
+        pass
+
+    def taken(spark, sf_dir, names=tuple(workloads.SOURCES), *_):
+        raise Taken(*names)
+
+    monkeypatch.setattr(workloads, "wl_reports", taken)
+    for f in (workloads.wl_column_table, workloads.wl_value_table, workloads.wl_final_scores, workloads.wl_judge_table):
+        with pytest.raises(Taken) as e:
+            f(None, "")
+        assert set(e.value.args) == set(workloads.SOURCES)
+
+
 def test_any_table_end_to_end(spark, sf, tmp_path):
     df = tables.load_table(spark, sf, "supplier").select("s_suppkey", "s_name", F.col("s_acctbal").cast("decimal(24,6)").alias("s_acctbal_amount"))
     b = pipeline.benchmark_table(spark, df, "supplier", path=str(tmp_path))
