@@ -159,12 +159,27 @@ def rule_plan(table: str, profile: list[dict], mode: str = "grouped") -> Plan:
         others = [x for x in numeric if x != g and x in groups]
         if others:
             groups[others[0]] = sorted(groups[others[0]] + groups.pop(g), key=order.index)
-    split: list[tuple[str, list[str]]] = []
-    for g, members in groups.items():
-        parts = [members[i : i + LARGEST] for i in range(0, len(members), LARGEST)] or [[]]
-        split += [(g if len(parts) == 1 else f"{g}_{i + 1}", p) for i, p in enumerate(parts)]
-    best = sorted(split, key=lambda x: (-len(x[1]), x[0]))[:MOST]
-    return Plan(table, tuple(type_of(n, m) for n, m in split if (n, m) in best))
+
+    def types(most: int) -> list[ReportType]:
+        """Groups in parts of one size, the least that leaves at most ``most`` parts."""
+        size = LARGEST
+        while sum(max(1, -(-len(x) // size)) for x in groups.values()) > most:
+            size += 1
+        out = []
+        for g, members in groups.items():
+            parts = [members[i : i + size] for i in range(0, len(members), size)] or [[]]
+            out += [type_of(g if len(parts) == 1 else f"{g}_{i + 1}", p) for i, p in enumerate(parts)]
+        return out
+
+    def without(found: list[ReportType]) -> list[str]:
+        return [c for c in temporal if not any(c in t.names() for t in found)]
+
+    found = types(MOST)
+    if without(found) and len(found) == MOST:
+        found = types(MOST - 1)
+    if dates := without(found):  # dates that no report of metrics has
+        found.append(type_of("dates", dates))
+    return Plan(table, tuple(found))
 
 
 def plan_reports(profile: DataFrame, sample: DataFrame | None = None, backend=None, mode: str = "grouped") -> Plan:

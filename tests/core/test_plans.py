@@ -79,3 +79,15 @@ def test_a_model_may_plan(spark, sf, tmp_path):
     sample = planning.sample_rows(tables.order_facts(spark, sf))
     plan = planning.plan_reports(planning.profile_columns(sample, "order_facts", exact=True), sample, model)
     assert plan.types[0].names() == ["order_key", "total_price"]
+
+
+def test_rules_leave_no_column_out():
+    column = lambda name, kind: {"column": name, "kind": kind, "min": 0, "max": 100}
+    text = lambda n: [column(f"label{i}", "categorical") for i in range(n)]
+    dates = lambda n: [column(f"day{i}", "temporal") for i in range(n)]
+    metrics = [{**column(f"{x}{i}", "numeric"), "max": 1 if x == "rate" else 100} for x in ("price", "n", "rate") for i in range(2)]
+    for own in (metrics + text(17), text(45), metrics + dates(3), text(3) + dates(1), metrics + text(40) + dates(20), dates(2)):
+        plan = planning.rule_plan("t", [column("key", "identifier"), *own])
+        assert 1 <= len(plan.types) <= planning.MOST
+        assert {c["column"] for c in own} <= {n for t in plan.types for n in t.names()}
+        planning.validate_plan(plan, [c["column"] for c in own] + ["key"])
