@@ -122,7 +122,7 @@ class TrainingSuffixes:
 
 
 def search_block(block: Block, tests: TestWindows) -> tuple[np.ndarray, np.ndarray, np.ndarray, list[np.ndarray]]:
-    """Word offsets, a hit flag for each word, the longest run of hit words and the places of items found, by text."""
+    """Word offsets, a hit flag for each word, the text of each word, and the places of items found, by text."""
     words = Words(block, ALNUM_WORDS, lower=True)
     array = TrainingSuffixes(words, tests)
     low, high = array.search(tests)
