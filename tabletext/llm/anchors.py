@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 
 from .skew import SHARES, heavy_keys
 from .storage import partitions_for, written
-from .textblocks import BYTE_BASE, PLAIN_WORDS, WORD_BASE, Block, Rolling, Words, blocks, mix, owners, window_minima
+from .textblocks import BYTE_SEED, PLAIN_WORDS, WORD_SEED, Block, Words, blocks, digests, grams, mix, owners, window_minima
 
 #: Distinct regions of one gram beyond which they are compared by window digests, not in one shard.
 HOT = 20_000
@@ -55,10 +55,6 @@ class Units:
         words = Words(block, PLAIN_WORDS)
         return words.hashes, words.offsets
 
-    @property
-    def base(self) -> int:
-        return WORD_BASE if self.words else BYTE_BASE
-
     @property
     def item(self) -> np.dtype:
         return np.dtype(np.uint64 if self.words else np.uint8)
@@ -68,13 +64,12 @@ def anchors(block: Block, units: Units) -> tuple[np.ndarray, np.ndarray, np.ndar
     """Text, place (from the text's start), gram hash and region digest of each anchor."""
     values, offsets = units.sequence(block)
     width = units.length - units.gram + 1
-    rolling = Rolling(values, units.base)
-    grams = rolling.grams(units.gram)
+    hashed = grams(values, units.gram)
     none = np.zeros(0, np.int64)
-    if len(grams) < width:
+    if len(hashed) < width:
         return none, none, none, none
-    low = (1 << max(24, len(grams).bit_length())) - 1
-    packed = (grams & np.uint64(~low & 0xFFFFFFFFFFFFFFFF)) | np.arange(len(grams), dtype=np.uint64)
+    low = (1 << max(24, len(hashed).bit_length())) - 1
+    packed = (hashed & np.uint64(~low & 0xFFFFFFFFFFFFFFFF)) | np.arange(len(hashed), dtype=np.uint64)
     least = window_minima(packed, width)
     text = owners(offsets)
     starts = np.arange(len(least))
@@ -86,8 +81,8 @@ def anchors(block: Block, units: Units) -> tuple[np.ndarray, np.ndarray, np.ndar
     text = text[places]
     left = np.maximum(offsets[text], places + units.gram - units.length)
     right = np.minimum(offsets[text + 1], places + units.length)
-    digest = mix(rolling.slices(left, right) + (places - left).astype(np.uint64) * np.uint64(WORD_BASE))
-    return text, places - offsets[text], grams[places].view(np.int64), digest.view(np.int64)
+    digest = mix(digests(values, left, right) + (places - left).astype(np.uint64) * np.uint64(WORD_SEED))
+    return text, places - offsets[text], hashed[places].view(np.int64), digest.view(np.int64)
 
 
 def keys_of(docs: DataFrame) -> tuple[DataFrame, list[str]]:
@@ -195,7 +190,7 @@ def _window_digests(units: Units):
                 before = np.frombuffer(batch.column("before")[i].as_py(), units.item)
                 whole = np.concatenate([before, np.frombuffer(batch.column("after")[i].as_py(), units.item)])
                 n = len(whole) - units.length + 1
-                one, two = Rolling(whole, BYTE_BASE).grams(units.length), Rolling(whole, WORD_BASE).grams(units.length)
+                one, two = grams(whole, units.length, BYTE_SEED), grams(whole, units.length, WORD_SEED)
                 start = (np.arange(n) - len(before)).astype(np.int32)
                 same = [pa.array(np.full(n, batch.column(c)[i].as_py(), np.int64)) for c in ("gram", "region", "id")]
                 yield pa.RecordBatch.from_arrays([*same, pa.array(start), pa.array(one.view(np.int64)), pa.array(two.view(np.int64))], names=["gram", "region", "id", "start", "one", "two"])

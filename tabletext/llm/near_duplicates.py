@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .storage import written
-from .textblocks import PLAIN_WORDS, WORD_BASE, Block, Rolling, Words, blocks, mix
+from .textblocks import PLAIN_WORDS, Block, Words, blocks, digests, grams, mix
 
 BANDS, ROWS = 32, 4
 SLACK = 0.2
@@ -43,37 +43,37 @@ BROADCAST_IDS = 1_000_000
 BLOCK = 512
 
 _random = np.random.default_rng(20240229)
-_FACTORS = _random.integers(0, 1 << 31, BANDS * ROWS, dtype=np.uint32) * np.uint32(2) + np.uint32(1)
-_TERMS = _random.integers(0, 1 << 32, BANDS * ROWS, dtype=np.uint32)
+#: Multiply-shift: the upper half of a * x + b modulo 2**64 over 32-bit x is strongly universal.
+_FACTORS = _random.integers(0, 1 << 64, BANDS * ROWS, dtype=np.uint64)
+_TERMS = _random.integers(0, 1 << 64, BANDS * ROWS, dtype=np.uint64)
 
 
 def shingle_sets(block: Block, k: int) -> list[np.ndarray]:
     """The sorted distinct shingles of each text: k words, or all words of a text with fewer."""
     words = Words(block, PLAIN_WORDS, lower=True)
-    rolling = Rolling(words.hashes, WORD_BASE)
-    grams = rolling.grams(k)
+    shingles = grams(words.hashes, k)
     out = []
     for a, b in zip(words.offsets[:-1].tolist(), words.offsets[1:].tolist(), strict=True):
         if b - a >= k:
-            own = np.sort(grams[a : b - k + 1])
+            own = np.sort(shingles[a : b - k + 1])
             out.append(own[np.append(True, own[1:] != own[:-1])])
         elif b > a:
-            out.append(rolling.slices(np.array([a]), np.array([b])))
+            out.append(digests(words.hashes, np.array([a]), np.array([b])))
         else:
-            out.append(grams[:0])
+            out.append(shingles[:0])
     return out
 
 
 def signatures(sets: list[np.ndarray]) -> np.ndarray:
     """The minima of all hashes over each set; none may be empty."""
-    values = (np.concatenate(sets) >> np.uint64(32)).astype(np.uint32)
+    values = np.concatenate(sets) >> np.uint64(32)
     starts = np.cumsum([0] + [len(s) for s in sets[:-1]])
     out = np.empty((len(sets), BANDS * ROWS), dtype=np.uint32)
     hashed = np.empty_like(values)
     for j in range(BANDS * ROWS):
         np.multiply(values, _FACTORS[j], out=hashed)
         hashed += _TERMS[j]
-        out[:, j] = np.minimum.reduceat(hashed, starts)
+        out[:, j] = np.minimum.reduceat(hashed, starts) >> np.uint64(32)
     return out
 
 

@@ -7,16 +7,18 @@ target size is a block of its own, so memory is bounded by the target plus the l
 from __future__ import annotations
 
 from collections.abc import Iterator
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from xxhash import xxh3_64_intdigest
 
 BLOCK_BYTES = 2 << 20
 
-BYTE_BASE = 0x9E3779B97F4A7C15
-WORD_BASE = 0xD6E8FEB86659FD93
+#: Seeds of two independent hashes, and the factor that tells first from second where hashes are joined.
+BYTE_SEED, WORD_SEED, JOIN = 0x9E3779B97F4A7C15, 0xD6E8FEB86659FD93, 0xA24BAED4963EE407
+#: Bytes of a slice beyond which it is hashed on its own.
+LONG = 512
 
 _SPACE = frozenset([0x20, *range(0x09, 0x0E)])
 #: byte -> is part of a word, for words that anything but ASCII white space makes
@@ -61,21 +63,6 @@ def blocks(column: pa.Array | pa.ChunkedArray, target: int = BLOCK_BYTES) -> Ite
         at = to
 
 
-@lru_cache(maxsize=4)
-def _powers(base: int, bits: int) -> tuple[np.ndarray, np.ndarray]:
-    out = []
-    for b in (base, pow(base, -1, 1 << 64)):
-        p = np.full(1 << bits, b, dtype=np.uint64)
-        p[0] = 1
-        out.append(np.cumprod(p, dtype=np.uint64))
-    return out[0], out[1]
-
-
-def powers(base: int, n: int) -> tuple[np.ndarray, np.ndarray]:
-    """base**i and base**-i modulo 2**64 for i up to n, at least."""
-    return _powers(base, max(16, int(n + 1).bit_length()))
-
-
 def mix(x: np.ndarray) -> np.ndarray:
     """A bijection of 64-bit numbers that spreads all bits; works in place."""
     x ^= x >> np.uint64(32)
@@ -86,29 +73,61 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
-class Rolling:
-    """Prefix sums of a sequence of numbers that give the hash of any of its slices."""
-
-    def __init__(self, values: np.ndarray, base: int = BYTE_BASE):
-        n = len(values)
-        up, self._down = powers(base, n)
-        self.sums = np.zeros(n + 1, dtype=np.uint64)
-        scaled = values.astype(np.uint64)
-        scaled += np.uint64(1)
-        scaled *= up[:n]
-        np.cumsum(scaled, out=self.sums[1:])
-
-    def grams(self, k: int) -> np.ndarray:
-        """The hash of each slice of k."""
-        n = len(self.sums) - k
-        if n <= 0:
-            return np.zeros(0, np.uint64)
-        return mix((self.sums[k:] - self.sums[:-k]) * self._down[:n])
-
-    def slices(self, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-        out = (self.sums[ends] - self.sums[starts]) * self._down[starts]
-        out += (ends - starts).astype(np.uint64) * np.uint64(0xA24BAED4963EE407)
-        return mix(out)
+def _eights(data: np.ndarray) -> np.ndarray:
+    """The eight bytes from each place on as one number, zeros beyond the end; a view of one byte a step."""
+    padded = np.zeros(len(data) + 8, np.uint8)
+    padded[: len(data)] = data
+    return np.ndarray(len(data) + 1, "<u8", buffer=padded, strides=(1,))
+
+
+#: n -> a mask of the n low bytes
+_LOW = np.array([(1 << (8 * n)) - 1 for n in range(9)], dtype=np.uint64)
+
+
+def digests(values: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """A hash of each slice of an array of bytes or of 64-bit numbers.
+
+    Eight bytes a step: each step adds them to what it has and spreads all bits, and the length is
+    where it begins; so slices of one length differ in their hash if they differ in one step alone,
+    and by chance otherwise.  Slices beyond ``LONG`` bytes are hashed one by one.
+    """
+    width = values.itemsize
+    data = values.view(np.uint8)
+    at, left = starts.astype(np.int64) * width, (ends - starts).astype(np.int64) * width
+    out = mix(left.astype(np.uint64) + np.uint64(BYTE_SEED))
+    for i in np.flatnonzero(left > LONG):
+        out[i] = xxh3_64_intdigest(data[at[i] : at[i] + left[i]].tobytes(), BYTE_SEED)
+    open_ = np.flatnonzero((left > 0) & (left <= LONG))
+    eights = _eights(data)
+    while len(open_):
+        here = eights[at[open_]]
+        here &= _LOW[np.minimum(left[open_], 8)]
+        here ^= out[open_]
+        out[open_] = mix(here)
+        at[open_] += 8
+        left[open_] -= 8
+        open_ = open_[left[open_] > 0]
+    return out
+
+
+def grams(values: np.ndarray, k: int, seed: int = BYTE_SEED) -> np.ndarray:
+    """The hash of each run of k neighbours, joined from the hashes of runs half as long."""
+    n = len(values) - k + 1
+    if n <= 0:
+        return np.zeros(0, np.uint64)
+    if values.dtype == np.uint8:
+        have = min(k, 8)
+        out = _eights(values)[: len(values) - have + 1] & _LOW[have]
+    else:
+        have, out = 1, values.astype(np.uint64)
+    out ^= np.uint64(seed)
+    mix(out)
+    while have < k:
+        step = min(have, k - have)
+        joined = out[: len(out) - step] * np.uint64(JOIN)
+        joined += out[step:]
+        out, have = mix(joined), have + step
+    return out
 
 
 class Words:
@@ -131,7 +150,7 @@ class Words:
         after[ends[ends >= 0]] = False
         self.ends = np.flatnonzero(inside & ~after) + 1
         self.offsets = np.searchsorted(self.starts, offsets)
-        self.hashes = Rolling(self.data).slices(self.starts, self.ends) if hashes else None
+        self.hashes = digests(self.data, self.starts, self.ends) if hashes else None
 
     def counts(self) -> np.ndarray:
         return np.diff(self.offsets)

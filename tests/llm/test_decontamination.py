@@ -54,3 +54,59 @@ def test_empty_sides(spark, frame):
     none = spark.createDataFrame([], "item_id long, text string")
     assert d.op10(frame([]), none).count() == 0
     assert not d.op10(frame(["some text"]), none).first()["contaminated"]
+
+
+def brute_matches(texts, items, least):
+    """Every maximal run of equal words, from all pairs of places."""
+    out = set()
+    for item, text in items:
+        a = words(text)
+        for doc, other in enumerate(texts):
+            b = words(other)
+            for i in range(len(a)):
+                for j in range(len(b)):
+                    if a[i] == b[j] and not (i and j and a[i - 1] == b[j - 1]):
+                        n = 0
+                        while i + n < len(a) and j + n < len(b) and a[i + n] == b[j + n]:
+                            n += 1
+                        if n >= least:
+                            out.add((str(item), i, doc, j, n))
+    return out
+
+
+@pytest.mark.parametrize("limit", [d.MAX_TEST_BYTES, 300])
+def test_matches_and_their_places(spark, frame, limit):
+    texts = ["a b c d e f g h i j k l m n", "x a b c d e q e f g h i j k", None, "", "to to to to to", "k l m n a b c d e f g h i j k l m n o p"]
+    items = [(1, "a b c d e f g h i j k l m n"), (2, "to to to"), (3, "zz e f g h i j k yy"), (4, None), (5, "n a b c")]
+    table = spark.createDataFrame(items, "item_id long, text string")
+    for least in (2, 4, 11):
+        got = [tuple(r) for r in d.verbatim_matches(frame(texts), table, least, max_test_bytes=limit).collect()]
+        want = brute_matches(texts, items, least)
+        assert len(got) == len(set(got)) and set(got) == want
+        longest = {}
+        for item, i, doc, j, n in want:
+            for by in range(n - least + 1):
+                key, own = (item, i + by), (-(n - by), doc, j + by)
+                longest[key] = min(longest.get(key, own), own)
+        found = {(r[0], r[1]): (-r[2], r[3], r[4]) for r in d.longest_matches(frame(texts), table, least, max_test_bytes=limit).collect()}
+        assert found == longest
+
+
+def test_odd_items_and_names(spark, frame):
+    """An item without an id marks words, and columns may have the names that the search uses."""
+    text = "one two three four five six seven eight nine ten eleven"
+    docs = frame([text, "clean words only"]).selectExpr("*", "1 as __hits", "'x' as __items", "2 as __n_words", "3 as text_")
+    table = spark.createDataFrame([(None, text), ("b", text)], "item_id string, text string")
+    found = {r["doc_id"]: r for r in d.op10(docs, table).collect()}
+    assert found[0]["n_items"] == 1 and found[0]["n_hit"] == 11 and found[0]["items_sha256"] == hashlib.sha256(b"b").hexdigest()
+    kept = d.decontaminate(docs, table)
+    assert kept.columns == docs.columns and [r["doc_id"] for r in kept.collect()] == [1]
+    assert [r["doc_id"] for r in d.decontaminate(docs, table.where("item_id is null")).collect()] == [1]
+
+
+def test_very_long_text(spark, frame):
+    """A text larger than a block of texts is one shard."""
+    item = "one two three four five six seven eight nine ten"
+    long = "filler words " * 250_000 + item + " end " + "b" * 300_000
+    found = {r["doc_id"]: r for r in d.op10(frame([long, "x"]), spark.createDataFrame([(1, item)], "item_id long, text string")).collect()}
+    assert found[0]["n_words"] == 500_012 and found[0]["n_hit"] == 10 and not found[1]["contaminated"]
