@@ -10,8 +10,9 @@ positions of a function of ``ORDER + 1`` bytes, and the language with the least
 That function is evaluated exactly, once for each distinct run of bytes that a worker meets, and
 then looked up: by the numbers of its two pairs of bytes in a square table.
 
-Training reads a sample of at most about ``TRAIN_BYTES`` of text a language; rows are chosen by a
-digest of text and id.  Everything else covers all rows and whole texts.
+Training reads a sample of at most ``TRAIN_BYTES`` of text a language: rows in the order of a digest of
+id and text until that many bytes are full, the last one cut, so every language has at least the
+beginning of one text.  Everything else covers all rows and whole texts.
 
 Odd input: null texts and texts without a letter are ``und`` with score 0; without any training row
 all others are ``und`` as well; ties go to the language first in the alphabet; repeated rows are each
@@ -26,6 +27,7 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .textblocks import blocks
@@ -36,6 +38,8 @@ TRAIN_BYTES = 600_000
 #: texts of a known language under 4.
 MAX_BITS = 6.5
 UNKNOWN = "und"
+#: Bytes of code lengths that a worker keeps.
+TABLE_BYTES = 128 << 20
 
 
 def _codes(data: np.ndarray, length: int) -> np.ndarray:
@@ -157,7 +161,7 @@ class Scorer:
         data = np.zeros(len(block.data) + ORDER * n, dtype=np.uint8)
         place = np.repeat(starts - block.offsets[:-1], lengths) + np.arange(len(block.data))
         data[place] = block.data
-        if self.used > 4_000_000:  # codes beyond the pairs that have numbers gather: start again
+        if self.used * self.costs.shape[1] * 8 > TABLE_BYTES:  # codes beyond the pairs that have numbers gather: start again
             self.__init__(self.model)
         rows = self._rows(_codes(data, ORDER + 1)[place - ORDER]) if len(place) else np.zeros(0, np.int64)
         costs = self.costs[rows]
@@ -168,17 +172,33 @@ class Scorer:
         return sums
 
 
-def train(rows: DataFrame, language: str = "lang", text: str = "text", train_bytes: int = TRAIN_BYTES) -> Model:
-    """A context tree for each language, from a sample of about ``train_bytes`` of its text."""
-    rows = rows.where(F.col(language).isNotNull() & F.col(text).isNotNull()).select(F.col(language).alias("lang"), F.col(text).alias("text"))
-    sizes = rows.groupBy("lang").agg(F.sum(F.octet_length("text")).alias("bytes")).where("bytes > 0")
-    chosen = rows.join(F.broadcast(sizes), "lang")
-    # a digest of the text as a number from 0 to 1: rows under the share that fills the sample
-    share = (F.conv(F.substring(F.md5("text"), 1, 12), 16, 10).cast("double")) / F.lit(float(1 << 48))
-    chosen = chosen.where(share < F.lit(float(train_bytes)) / F.col("bytes")).select("lang", "text")
+#: Rows that a language's sample is chosen from hold so many times its bytes, as expected.
+SPARE = 4
+
+
+def training_sample(rows: DataFrame, language: str = "lang", text: str = "text", id: str = "doc_id", train_bytes: int = TRAIN_BYTES) -> DataFrame:
+    """lang, place, text (bytes): the sample of each language, at most ``train_bytes`` each.
+
+    A share of the rows that is expected to hold ``SPARE`` times the sample is sorted, and so is the row of
+    the least digest, whatever its size: no language is lost, and no sort grows with the input.
+    """
+    known = rows.where(F.col(language).isNotNull() & F.col(text).isNotNull() & (F.octet_length(text) > 0))
+    known = known.select(F.col(language).cast("string").alias("lang"), F.col(text).cast("binary").alias("text"), F.md5(F.concat_ws(" ", F.col(id).cast("string"), F.md5(F.col(text).cast("binary")))).alias("key"))
+    sizes = known.groupBy("lang").agg(F.sum(F.octet_length("text")).alias("bytes"), F.min("key").alias("least"))
+    share = F.conv(F.substring("key", 1, 12), 16, 10).cast("double") / F.lit(float(1 << 48))
+    near = known.join(F.broadcast(sizes), "lang").where((F.col("key") == F.col("least")) | (share < F.lit(float(SPARE * train_bytes)) / F.col("bytes")))
+    cut = near.select("lang", "key", F.substring("text", 1, train_bytes).alias("text"))
+    own = W.partitionBy("lang").orderBy("key", "text")
+    placed = cut.withColumn("place", F.row_number().over(own)).withColumn("before", F.sum(F.octet_length("text")).over(own.rowsBetween(W.unboundedPreceding, -1)))
+    room = F.lit(train_bytes) - F.coalesce("before", F.lit(0))
+    return placed.where(room > 0).select("lang", "place", F.expr("text").substr(F.lit(1), room.cast("int")).alias("text"))
+
+
+def train(rows: DataFrame, language: str = "lang", text: str = "text", id: str = "doc_id", train_bytes: int = TRAIN_BYTES) -> Model:
+    """A context tree for each language; at most ``train_bytes`` a language come to the driver."""
     texts: dict[str, list[bytes]] = {}
-    for r in chosen.orderBy("lang", F.md5("text")).collect():
-        texts.setdefault(r["lang"], []).append(r["text"].encode())
+    for r in training_sample(rows, language, text, id, train_bytes).orderBy("lang", "place").collect():
+        texts.setdefault(r["lang"], []).append(bytes(r["text"]))
     languages = sorted(texts)
     return Model(languages, [ContextTree.learn(texts[x]) for x in languages])
 
