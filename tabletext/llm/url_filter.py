@@ -47,23 +47,28 @@ def patterns(host, folder):
     return F.when(folder != "", F.concat(names, F.transform(names, lambda n: F.concat(n, folder)))).otherwise(names)
 
 
-def filter_captures(captures: DataFrame, entries: DataFrame, id: str = "page_id", url: str = "url", at: str = "fetched") -> DataFrame:
-    """A row for each capture: id, host, fetched, blocked, n_matches, matches (list:pattern, sorted)."""
-    seen = captures.select(F.col(id).alias("id"), host(F.col(url)).alias("host"), folder(F.col(url)).alias("folder"), F.col(at).cast("date").alias("fetched"))
+def _with_matches(captures: DataFrame, entries: DataFrame, url: str, at: str) -> DataFrame:
+    """The captures as ``row``, with ``host``, ``fetched`` and ``matches`` (null where nothing matches)."""
+    seen = captures.select(F.struct("*").alias("row"), host(F.col(url)).alias("host"), folder(F.col(url)).alias("folder"), F.col(at).cast("date").alias("fetched"))
     distinct = seen.where("host is not null and fetched is not null").select("host", "folder", "fetched").distinct()
     asked = distinct.select("host", "folder", "fetched", F.explode(patterns(F.col("host"), F.col("folder"))).alias("pattern"))
     valid = intervals(entries)
     active = asked.join(valid, "pattern").where("fetched >= valid_from and (valid_to is null or fetched < valid_to)")
     found = active.groupBy("host", "folder", "fetched").agg(F.array_sort(F.collect_set(F.concat_ws(":", "list", "pattern"))).alias("matches"))
-    out = seen.join(found, ["host", "folder", "fetched"], "left")
+    return seen.join(found, ["host", "folder", "fetched"], "left")
+
+
+def filter_captures(captures: DataFrame, entries: DataFrame, id: str = "page_id", url: str = "url", at: str = "fetched") -> DataFrame:
+    """A row for each capture: id, host, fetched, blocked, n_matches, matches (list:pattern, sorted)."""
+    out = _with_matches(captures.select(id, url, at), entries, url, at)
     n = F.coalesce(F.size("matches"), F.lit(0))
-    return out.select(F.col("id").alias(id), "host", "fetched", (n > 0).alias("blocked"), n.cast("long").alias("n_matches"), F.coalesce(F.array_join("matches", ","), F.lit("")).alias("matches"))
+    return out.select(F.col("row").getField(id).alias(id), "host", "fetched", (n > 0).alias("blocked"), n.cast("long").alias("n_matches"), F.coalesce(F.array_join("matches", ","), F.lit("")).alias("matches"))
 
 
-def keep_allowed(captures: DataFrame, entries: DataFrame, id: str = "page_id", url: str = "url", at: str = "fetched") -> DataFrame:
-    """The captures that no entry of their time blocks; columns as they were."""
-    blocked = filter_captures(captures, entries, id, url, at).where("blocked").select(F.col(id).alias("__id")).distinct()
-    return captures.join(blocked, F.col(id) == F.col("__id"), "left_anti")
+def keep_allowed(captures: DataFrame, entries: DataFrame, url: str = "url", at: str = "fetched") -> DataFrame:
+    """The captures that no entry of their time blocks; columns as they were.  Each row is judged on its own,
+    so of one page some captures may stay and others go."""
+    return _with_matches(captures, entries, url, at).where("matches is null").select("row.*")
 
 
 # --- the given tables have neither fetch times nor lists: both follow from pages by these rules ---
