@@ -1,18 +1,19 @@
 """Histogram sort: splitters found by counting, rows exchanged once.
 
-The order is by a digest of the text, then by document id, so rows with equal texts are neighbours.
+The order is by a digest of the text, then by a digest of document id and row number, so rows with equal
+texts are neighbours and rows that are equal altogether still have an order.
 Each round counts the exact bytes below some candidate keys in every task, sums the counts and
 narrows the bracket of each splitter, until every splitter is within the tolerance of its target or
 its bracket has no key left between its ends.  While candidates are digests alone, a splitter falls
 between groups of equal texts; only where one group is heavier than the tolerance does its bracket
-close on a single digest, and ids inside that group become the candidates.  Then rows go to their
+close on a single digest, and the second digests inside that group become the candidates.  Then rows go to their
 place in one exchange.
 
 A shard is split further into parts of bounded size, by splitters of the same kind, so that no task
 sorts a whole shard; slots count on from part to part.
 
-Odd input: a null text sorts as the empty text, has no bytes and counts 1; a null id sorts first;
-repeated rows are placed each; an empty table gives an empty result.
+Odd input: a null text sorts as the empty text, has no bytes and counts 1; a null id is an id like any
+other; repeated rows are placed each, also in different shards; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -33,7 +34,7 @@ PART_ROWS = 1 << 20
 #: Candidate keys that one round counts, for all splitters together, and for one at least.
 PROBES, LEAST_PROBES = 4096, 16
 
-Key = tuple[int, int]  # digest, id: both as unsigned 64-bit numbers
+Key = tuple[int, int]  # both digests, as unsigned 64-bit numbers
 LAST = (1 << 64) - 1
 
 
@@ -45,6 +46,7 @@ def keyed(docs: DataFrame, id: str = "doc_id", text: str = "text") -> DataFrame:
         F.xxhash64(whole).alias("digest"),
         (F.octet_length(whole) + F.lit(1)).cast("long").alias("size"),
         F.crc32(whole.cast("binary")).alias("text_crc32"),
+        F.xxhash64(F.col(id).cast("long"), F.monotonically_increasing_id()).alias("tie"),
     )
 
 
@@ -55,16 +57,16 @@ def _ordered(column: pa.Array) -> np.ndarray:
     return column.to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64) ^ np.uint64(1 << 63)
 
 
-def below(digests: np.ndarray, ids: np.ndarray, probes: list[Key]) -> np.ndarray:
+def below(digests: np.ndarray, ties: np.ndarray, probes: list[Key]) -> np.ndarray:
     """For each row, the number of probes that are at or below its key."""
     p = np.array([x[0] for x in probes], dtype=np.uint64)
     q = np.array([x[1] for x in probes], dtype=np.uint64)
     low, high = np.searchsorted(p, digests, "left"), np.searchsorted(p, digests, "right")
     place = high.copy()
-    same = np.flatnonzero(high > low)  # rows whose digest is that of a probe: the id decides
+    same = np.flatnonzero(high > low)  # rows whose digest is that of a probe: the second one decides
     for a in np.unique(low[same]):
         own = same[low[same] == a]
-        place[own] = a + np.searchsorted(q[a : high[own[0]]], ids[own], "right")
+        place[own] = a + np.searchsorted(q[a : high[own[0]]], ties[own], "right")
     return place
 
 
@@ -72,7 +74,7 @@ def _histogram(probes: list[Key]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sizes, rows = np.zeros(len(probes) + 1, np.int64), np.zeros(len(probes) + 1, np.int64)
         for batch in batches:
-            at = below(_ordered(batch.column("digest")), _ordered(batch.column("doc_id")), probes)
+            at = below(_ordered(batch.column("digest")), _ordered(batch.column("tie")), probes)
             np.add.at(sizes, at, batch.column("size").to_numpy())
             rows += np.bincount(at, minlength=len(rows))
         full = np.flatnonzero(rows)
@@ -83,7 +85,7 @@ def _histogram(probes: list[Key]):
 
 def count_below(keys: DataFrame, probes: list[Key]) -> tuple[np.ndarray, np.ndarray]:
     """Exact bytes and rows below each probe, and in all.  At most a row a probe comes to the driver."""
-    counted = keys.select("doc_id", "digest", "size").mapInArrow(_histogram(probes), "place int, bytes long, rows long").groupBy("place").agg(F.sum("bytes").alias("bytes"), F.sum("rows").alias("rows"))
+    counted = keys.select("tie", "digest", "size").mapInArrow(_histogram(probes), "place int, bytes long, rows long").groupBy("place").agg(F.sum("bytes").alias("bytes"), F.sum("rows").alias("rows"))
     sizes = np.zeros((2, len(probes) + 1), np.int64)
     for r in counted.collect():
         sizes[:, r["place"]] = r["bytes"], r["rows"]
@@ -92,7 +94,7 @@ def count_below(keys: DataFrame, probes: list[Key]) -> tuple[np.ndarray, np.ndar
 
 
 def _between(low: Key, high: Key, n: int) -> list[Key]:
-    """Up to n keys strictly between two keys: digests as long as the bracket spans some, then ids."""
+    """Up to n keys strictly between two keys: first digests as long as the bracket spans some, then second ones."""
     if high[0] - low[0] > 1:
         span = high[0] - low[0]
         return sorted({(low[0] + span * i // (n + 1), 0) for i in range(1, n + 1)} - {low, high} - {(low[0], 0)})
@@ -140,7 +142,7 @@ def splitters(keys: DataFrame, shards: int, tolerance: float = 0.005) -> tuple[l
 def _place(borders: list[Key]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            at = below(_ordered(batch.column("digest")), _ordered(batch.column("doc_id")), borders)
+            at = below(_ordered(batch.column("digest")), _ordered(batch.column("tie")), borders)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(at, pa.int32())], names=[*batch.schema.names, "part"])
 
     return run
@@ -152,14 +154,14 @@ def histogram_sort(docs: DataFrame, shards: int = 8, tolerance: float = 0.005, i
     rows = keys.count()
     parts = max(1, -(-rows // (shards * part_rows)), -(-min(rows // 1000, partitions_for(docs.sparkSession, 0, 1)) // shards))
     borders, _, _ = splitters(keys, shards * parts, tolerance)
-    placed = keys.mapInArrow(_place(borders), "doc_id long, digest long, size long, text_crc32 long, part int")
+    placed = keys.mapInArrow(_place(borders), "doc_id long, digest long, size long, text_crc32 long, tie long, part int")
     placed = placed.repartition(partitions_for(docs.sparkSession, shards * parts, 1), "part")
     return slots(placed, parts)
 
 
 def slots(placed: DataFrame, parts: int) -> DataFrame:
     """Slots that count on from part to part.  The counts of parts are as few as there are parts."""
-    inside = F.row_number().over(W.partitionBy("part").orderBy("digest", "doc_id", "text_crc32")) - 1
+    inside = F.row_number().over(W.partitionBy("part").orderBy("digest", "tie", "doc_id", "text_crc32")) - 1
     numbered = written(placed.withColumn("inside", inside), "shard-parts")
     shard = F.floor(F.col("part") / F.lit(parts)).cast("int")
     counts = numbered.groupBy("part").agg(F.count("*").alias("rows")).select("part", shard.alias("shard"), "rows")

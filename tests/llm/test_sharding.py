@@ -38,3 +38,11 @@ def test_small_and_empty(frame):
     assert sharding.op1(frame([])).count() == 0
     assert {(r["shard"], r["slot"]) for r in sharding.op1(frame([None])).collect()} <= {(s, 0) for s in range(8)}
     assert sharding.op1(frame([(1, "a"), (1, "a"), (None, None)])).count() == 3
+
+
+def test_equal_rows_are_split_too(frame):
+    rows = sharding.op1(frame([(7, "the very same row")] * 400)).collect()
+    sizes = defaultdict(int)
+    for r in rows:
+        sizes[r["shard"]] += r["size"]
+    assert len(rows) == 400 and len(sizes) == 8 and max(sizes.values()) - min(sizes.values()) <= 2 * 18
