@@ -96,11 +96,14 @@ def token_counts(docs: DataFrame, path: str | None = None, vocabulary: str | Non
     vocabulary = vocabulary or vocabulary_path(DEFAULT)
     path = path or cache_path(spark, "default")
     update_cache(docs, path, vocabulary, text)
-    counts = read_cache(spark, path).where(F.col("tokenizer") == version(vocabulary)).groupBy("digest").agg(F.first("n_tokens").alias("n_tokens"))
     keyed = docs.select(F.col(id), digest(F.col(text)).alias("digest"), F.coalesce(F.octet_length(F.col(text)), F.lit(0)).cast("long").alias("n_bytes"))
     keyed = written(keyed, "digests")
     heavy = written(heavy_keys(keyed, "digest", keyed.count()), "heavy-digests")
-    few = counts.join(F.broadcast(heavy), "digest", "left_semi")
-    rest = keyed.join(F.broadcast(heavy), "digest", "left_anti").join(counts, "digest", "left")
+    # the cache has counts of all runs there were: only those asked for are grouped
+    cache = read_cache(spark, path).where(F.col("tokenizer") == version(vocabulary)).select("digest", "n_tokens")
+    one = lambda counts: counts.groupBy("digest").agg(F.first("n_tokens").alias("n_tokens"))
+    few = one(cache.join(F.broadcast(heavy), "digest", "left_semi"))
+    light = keyed.join(F.broadcast(heavy), "digest", "left_anti")
+    rest = light.join(one(cache.join(light.select("digest"), "digest", "left_semi")), "digest", "left")
     both = keyed.join(F.broadcast(few), "digest").unionByName(rest)
     return both.select(id, "n_bytes", "n_tokens", (F.col("n_tokens") > limit).alias("over_limit"))
