@@ -1,49 +1,53 @@
 """Packing of documents into windows of tokens, related documents next to each other.
 
-The corpus is packed by chains, one for each ``shard_bytes`` of text, that take turns.  Each window of a
-chain starts with a seed; of all documents of the corpus that no chain has used, the one nearest to the
-seed by BM25 over token ids follows, again and again, until the window is full.  A document that does not
-fit is cut; what is left of it is the seed of the next window.  So only the last window of a chain is
-padded.
-
-Document frequencies, the number of documents and their mean length are those of the whole corpus, and
-each seed is scored against every unused document: blocks of queries are sent to all tasks, each keeps its
-``NEAREST`` best and the best of all tasks are merged.  The chains walk along these lists.  A chain whose
-list has only used documents left, but was cut, waits; when all wait, the lists of the waiting seeds and
-of the unused documents are made anew over the unused documents.  So lists are short without a document
-being out of reach.
-
-A query has every distinct token of the seed, taken from the whole document, that another document has.
-Where no unused document shares any of them, the next one in the order of digests follows.  Weights are
-whole multiples of 1 / ``UNIT``, so sums are exact in any order; of equal scores the next in that order
-after the seed comes first.
-
-Odd input: a null text is empty; an empty text is its end token alone; repeated rows are packed each;
-an empty table gives an empty result.
+1. Every text is cut into token ids once and written; document frequencies, the number of documents and
+   their mean length are summed over the whole corpus, as many numbers as the vocabulary has tokens.
+2. Documents are dealt to shards by what they share: the order is by the tokens of the greatest BM25
+   weight in the document that enough others have to fill a shard, so documents with the same leading
+   tokens, near copies above all, are neighbours.  One exchange by ranges of that order, and a shard is
+   the next ``SHARD_TOKENS`` tokens of a range.
+3. A shard has an inverted index with the corpus's statistics.  Each window starts with a seed; of the
+   shard's unused documents the one nearest to the seed by BM25 follows, again and again, until the
+   window is full.  A document that does not fit is cut; what is left of it is the seed of the next
+   window.  So only a shard's last window is padded.
+
+A seed is held against all unused documents of its shard, with every token it has; scoring all seeds
+against all documents of the corpus would grow with the square of the input.  Work and memory are
+bounded by the shard, whatever the size of the corpus; a corpus of one shard is searched as a whole.
+Where no unused document shares a token with the seed, the next one in order follows.  Weights are whole
+multiples of 1 / ``UNIT``, so sums are exact in any order; of equal scores the next in order after the
+seed comes first.
+
+Odd input: a null text is empty; an empty text is its end token alone; a text larger than a shard is a
+shard of its own or its last document; repeated rows are packed each; null ids are kept; an empty table
+gives an empty result.
 """
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterator
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .storage import partitions_for, written
+from .storage import written
 from .tokens import DEFAULT, encoder, vocabulary_path
 
 WINDOW = 1024
-SHARD_BYTES = 8 << 20
-NEAREST = 64
+#: Tokens of a shard, its last document aside.
+SHARD_TOKENS = 4 << 20
+#: Up to so many shards each has a task of its own, beyond that a task packs some of them in turn.
+MANY_TASKS, SHARDS_OF_TASK = 4000, 64
 K1, B = 1.2, 0.75
 UNIT = float(1 << 20)
-#: Bytes of the ids of a block of queries and of a block of documents they are held against.
-QUERY_BYTES, INDEX_BYTES = 16 << 20, 4 << 20
-#: Tokens in more than one of so many documents of a block are scored as a dense matrix.
-DENSE = 32
+#: Leading tokens that documents are ordered by.
+LEADING = 3
+#: Tokens in more than a share of 1 / ``DENSE`` of a shard's documents are scored as rows of a matrix.
+DENSE = 4
 
 
 @dataclass
@@ -57,7 +61,7 @@ class Statistics:
     @classmethod
     def of(cls, documents: list[np.ndarray]) -> Statistics:
         terms = np.concatenate([np.unique(d) for d in documents])
-        return cls(np.bincount(terms), len(documents), sum(map(len, documents)) / len(documents))
+        return cls(np.bincount(terms).astype(float), len(documents), sum(map(len, documents)) / len(documents))
 
     def weights(self, document: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """The distinct tokens of a document and their BM25 weights, as whole numbers."""
@@ -65,189 +69,163 @@ class Statistics:
         idf = np.log1p((self.n - self.df[terms] + 0.5) / (self.df[terms] + 0.5))
         return terms.astype(np.int64), np.rint(UNIT * idf * tf * (K1 + 1) / (tf + K1 * (1 - B + B * len(document) / self.mean)))
 
-    def query(self, document: np.ndarray) -> np.ndarray:
-        terms = np.unique(document).astype(np.int64)
-        return terms[self.df[terms] > 1]
+    def leading(self, document: np.ndarray, least: float, k: int = LEADING) -> list[int]:
+        """The tokens of the greatest weights among those in ``least`` documents or more, -1 where there are no more."""
+        terms, weights = self.weights(document)
+        some = self.df[terms] >= least
+        terms, weights = terms[some], weights[some]
+        first = np.lexsort((terms, -weights))[:k]
+        return [*terms[first].tolist(), *[-1] * (k - len(first))]
 
 
-class Index:
-    """Weights of a block of documents by token, dense for tokens of many of them and as lists for the others."""
+def _ranges(starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """The places of all ranges, one after the other."""
+    ends = np.cumsum(sizes)
+    return np.arange(ends[-1] if len(ends) else 0) + np.repeat(starts - (ends - sizes), sizes)
 
-    def __init__(self, places: np.ndarray, documents: list[np.ndarray], statistics: Statistics):
+
+class ShardIndex:
+    """Inverted lists of a shard's documents; those used are taken out when they are half of it."""
+
+    def __init__(self, documents: list[np.ndarray], statistics: Statistics):
+        self.n, self.held = len(documents), len(documents)
         own = [statistics.weights(d) for d in documents]
-        self.places, self.n = places, len(documents)
-        doc = np.repeat(np.arange(self.n), [len(t) for t, _ in own])
-        term, weight = (np.concatenate(x) for x in zip(*own, strict=True))
-        order = np.argsort(term, kind="stable")
-        term, doc, weight = term[order], doc[order], weight[order]
-        size = len(statistics.df)
-        df = np.bincount(term, minlength=size)
-        many = df > max(1, self.n // DENSE)
+        sizes = np.array([len(t) for t, _ in own])
+        terms, weights = (np.concatenate(x) for x in zip(*own, strict=True))
+        vocabulary, terms = np.unique(terms, return_inverse=True)
+        wanted = (statistics.df[vocabulary] > 1)[terms]  # what no other document has
+        self.queries = np.split(terms, np.cumsum(sizes)[:-1])
+        self.queries = [q[w] for q, w in zip(self.queries, np.split(wanted, np.cumsum(sizes)[:-1]), strict=True)]
+        order = np.argsort(terms, kind="stable")
+        self.size = len(vocabulary)
+        self._lists(terms[order], np.repeat(np.arange(self.n), sizes)[order], weights[order], np.arange(self.n))
+
+    def _lists(self, terms: np.ndarray, docs: np.ndarray, weights: np.ndarray, left: np.ndarray) -> None:
+        """``docs`` are places in ``left``."""
+        self.left = left
+        df = np.bincount(terms, minlength=self.size)
+        many = df > max(1, len(left) // DENSE)
         self.row = np.where(many, np.cumsum(many) - 1, -1)
-        self.dense = np.zeros((int(many.sum()), self.n))
-        own = many[term]
-        self.dense[self.row[term[own]], doc[own]] = weight[own]
-        self.docs, self.weights = doc[~own], weight[~own]
+        own = many[terms]
+        self.dense = np.zeros((int(many.sum()), len(left)))
+        self.dense[self.row[terms[own]], docs[own]] = weights[own]
+        self.terms, self.docs, self.weights = terms[~own], docs[~own], weights[~own]
         self.starts = np.append(0, np.cumsum(np.where(many, 0, df)))
 
-    def nearest(self, places: np.ndarray, queries: list[np.ndarray], k: int, turn: int) -> np.ndarray:
-        """A row for each query: keys of the ``k`` best, 0 where no further document shares a token."""
-        scores = np.zeros((len(queries), self.n))
-        if len(self.dense):
-            asked = np.zeros((len(queries), len(self.dense)))
-            for i, terms in enumerate(queries):
-                rows = self.row[terms]
-                asked[i, rows[rows >= 0]] = 1
-            scores += asked @ self.dense
-        for i, terms in enumerate(queries):
-            terms = terms[self.row[terms] < 0]
-            sizes = self.starts[terms + 1] - self.starts[terms]
-            ends = np.cumsum(sizes)
-            if len(ends) and ends[-1]:
-                at = np.arange(ends[-1]) + np.repeat(self.starts[terms] - (ends - sizes), sizes)
-                scores[i] += np.bincount(self.docs[at], weights=self.weights[at], minlength=self.n)
-        return _best(_keys(scores, self.places, places, turn), k)
-
-
-def _keys(scores: np.ndarray, docs: np.ndarray, places: np.ndarray, turn: int) -> np.ndarray:
-    """Score and place in one number: the greater, the nearer; 0 for the query itself and what shares nothing."""
-    after = (docs[None, :] - places[:, None]) & (turn - 1)
-    return np.where((scores > 0) & (after > 0), scores.astype(np.int64) * turn + (turn - 1 - after), 0)
-
-
-def _places(keys: np.ndarray, places: np.ndarray, turn: int) -> np.ndarray:
-    """The documents of keys, -1 for 0."""
-    return np.where(keys > 0, (turn - 1 - (keys & (turn - 1)) + places[:, None]) & (turn - 1), -1)
-
-
-def _best(keys: np.ndarray, k: int) -> np.ndarray:
-    """The ``k`` greatest of each row, the greatest first."""
-    if keys.shape[1] > k:
-        keys = np.partition(keys, keys.shape[1] - k, axis=1)[:, -k:]
-    return -np.sort(-keys, axis=1)
-
-
-def _turn(n: int) -> int:
-    """A power of two beyond all places."""
-    return 1 << max(1, int(n).bit_length())
-
-
-#: Places of queries and of unused documents -> a row of keys for each query.
-Search = Callable[[np.ndarray, np.ndarray], np.ndarray]
-
-
-class Packing:
-    """The walk of the chains over lists of nearest documents."""
-
-    def __init__(self, sizes: np.ndarray, window: int, chains: int):
-        self.sizes, self.window, self.n = sizes.tolist(), window, len(sizes)
-        self.used = np.zeros(self.n, bool)
-        self.later, self.left = 0, self.n
-        self.seed, self.fill, self.number = [-1] * chains, [0] * chains, [0] * chains
-        self.at: list[int] = [0] * chains  # in the list of the chain's seed
-        self.pieces: list[tuple[int, int, int, int, int, int]] = []  # document, start, length, chain, window, offset
-
-    def run(self, search: Search, k: int) -> list[tuple[int, int, int, int, int, int]]:
-        turn = _turn(self.n)
-        moving = list(range(len(self.seed)))
-        row, lists, cut = np.full(self.n, -1), np.zeros((0, k), np.int64), np.zeros(0, bool)
-        while self.left:
-            waiting = [c for c in moving if not self._step(c, row, lists, cut)]
-            moving = [c for c in moving if c not in set(waiting)] if waiting else moving
-            if not moving and self.left:
-                unused = np.flatnonzero(~self.used)
-                asked = np.union1d([s for s in self.seed if s >= 0], unused).astype(np.int64)
-                keys = search(asked, unused)
-                lists, cut = _places(keys, asked, turn), keys[:, -1] > 0
-                row[:] = -1
-                row[asked] = np.arange(len(asked))
-                moving, self.at = list(range(len(self.seed))), [0] * len(self.seed)
-        return self.pieces
-
-    def _step(self, c: int, row: np.ndarray, lists: np.ndarray, cut: np.ndarray) -> bool:
-        """Appends a document to a chain, unless the list of its seed is at its end and was cut."""
-        if not self.left:
-            return True
-        nearest = -1
-        if self.seed[c] >= 0 and self.fill[c]:  # a window that has begun: what is nearest to its seed
-            own = row[self.seed[c]]
-            if own < 0:
-                return False
-            while self.at[c] < lists.shape[1]:
-                doc = int(lists[own, self.at[c]])
-                if doc < 0 or not self.used[doc]:
-                    nearest = doc
-                    break
-                self.at[c] += 1
-            else:
-                if cut[own]:
-                    return False
-        if nearest < 0:
-            while self.used[self.later]:
-                self.later += 1
-            nearest = self.later
-        self.used[nearest] = True
-        self.left -= 1
-        if not self.fill[c]:
-            self.seed[c], self.at[c] = nearest, 0
-        at = 0
-        while at < self.sizes[nearest]:
-            take = min(self.window - self.fill[c], self.sizes[nearest] - at)
-            self.pieces.append((nearest, at, take, c, self.number[c], self.fill[c]))
-            at, self.fill[c] = at + take, self.fill[c] + take
-            if self.fill[c] == self.window:
-                self.number[c], self.fill[c] = self.number[c] + 1, 0
-                self.seed[c], self.at[c] = nearest, 0  # what is left of this document leads the next window
-        return True
-
-
-def pack_shard(documents: list[np.ndarray], window: int, k: int = NEAREST) -> list[tuple[int, int, int, int, int]]:
-    """Pieces (document, start, length, window, offset) of documents that are all at hand, as one chain."""
-    statistics, turn = Statistics.of(documents), _turn(len(documents))
-    queries = [statistics.query(d) for d in documents]
-
-    def search(asked: np.ndarray, unused: np.ndarray) -> np.ndarray:
-        keys = Index(unused, [documents[i] for i in unused], statistics).nearest(asked, [queries[i] for i in asked], k, turn)
-        return np.pad(keys, ((0, 0), (0, k - keys.shape[1])))
-
-    pieces = Packing(np.array([len(d) for d in documents]), window, 1).run(search, k)
-    return [(doc, start, length, number, offset) for doc, start, length, _, number, offset in pieces]
+    def _shrink(self, used: np.ndarray) -> None:
+        row, doc = np.nonzero(self.dense)
+        of_row = np.flatnonzero(self.row >= 0)
+        terms = np.concatenate([self.terms, of_row[row]])
+        docs, weights = np.concatenate([self.docs, doc]), np.concatenate([self.weights, self.dense[row, doc]])
+        stays = ~used[self.left]
+        keep = stays[docs]
+        terms, docs, weights = terms[keep], (np.cumsum(stays) - 1)[docs[keep]], weights[keep]
+        order = np.argsort(terms, kind="stable")
+        self._lists(terms[order], docs[order], weights[order], self.left[stays])
+
+    def scores(self, seed: int) -> np.ndarray:
+        """Exact scores of the documents in ``left``."""
+        terms = self.queries[seed]
+        rows = self.row[terms]
+        out = self.dense[rows[rows >= 0]].sum(axis=0)
+        terms = terms[rows < 0]
+        at = _ranges(self.starts[terms], self.starts[terms + 1] - self.starts[terms])
+        if len(at):
+            out += np.bincount(self.docs[at], weights=self.weights[at], minlength=len(self.left))
+        return out
+
+    def nearest(self, seed: int, used: np.ndarray, unused: int, k: int) -> tuple[np.ndarray, bool]:
+        """The ``k`` nearest unused documents that share a token, nearest first, and whether there are more."""
+        if 2 * unused < len(self.left):
+            self._shrink(used)
+        turn = 1 << max(1, int(self.n).bit_length())  # beyond all places
+        scores = self.scores(seed)
+        found = np.flatnonzero((scores > 0) & ~used[self.left])
+        docs = self.left[found]
+        keys = scores[found].astype(np.int64) * turn + (turn - 1 - ((docs - seed) & (turn - 1)))
+        cut = len(keys) > k
+        if cut:
+            some = np.argpartition(keys, len(keys) - k)[-k:]
+            keys, docs = keys[some], docs[some]
+        return docs[np.argsort(-keys, kind="stable")], cut
+
+
+def pack_shard(documents: list[np.ndarray], window: int, k: int = 64, statistics: Statistics | None = None) -> list[tuple[int, int, int, int, int]]:
+    """Pieces (document, start, length, window, offset) of the documents of a shard.
+
+    A list of ``k`` nearest documents is asked for again when it is at its end and the window is not full.
+    """
+    n = len(documents)
+    index = ShardIndex(documents, statistics or Statistics.of(documents))
+    used, unused, later = np.zeros(n, bool), n, 0
+    pieces: list[tuple[int, int, int, int, int]] = []
+    seed, number, fill = -1, 0, 0
+    near, at, cut = np.zeros(0, np.int64), 0, False
+    while unused:
+        doc = -1
+        if fill:
+            while at < len(near) and used[near[at]]:
+                at += 1
+            if at == len(near) and cut:
+                near, cut = index.nearest(seed, used, unused, k)
+                at = 0
+            if at < len(near):
+                doc = int(near[at])
+        if doc < 0:
+            while used[later]:
+                later += 1
+            doc = later
+        used[doc] = True
+        unused -= 1
+        size, start = len(documents[doc]), 0
+        new = not fill  # an empty window: this document is its seed
+        while start < size:
+            take = min(window - fill, size - start)
+            pieces.append((doc, start, take, number, fill))
+            start, fill = start + take, fill + take
+            if fill == window:
+                number, fill = number + 1, 0
+                new = start < size  # what is left of this document leads the next window
+        if new:
+            seed, at = doc, 0
+            near, cut = np.zeros(0, np.int64), True
+    return pieces
+
+
+def _narrow(ids: np.ndarray) -> bytes:
+    """Two bytes an id where all of a document's fit, after a byte that says so."""
+    return b"\2" + ids.astype("<u2").tobytes() if ids.max(initial=0) < 1 << 16 else b"\4" + ids.astype("<u4").tobytes()
+
+
+def _wide(ids) -> np.ndarray:
+    ids = ids.as_buffer()
+    return np.frombuffer(ids, f"<u{ids[0]}", offset=1)
 
 
 def _tokens(vocabulary: str, end: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids = encoder(vocabulary)
         for batch in batches:
-            out, sizes, held = [], [], 0
-            at = 0
+            out, sizes, held, at = [], [], 0, 0
             texts = batch.column("text")
             for i, own in enumerate(ids((t.as_py() or "") for t in texts)):
-                out.append(np.append(own, np.uint32(end)).astype(np.uint32).tobytes())
-                sizes.append(len(out[-1]) // 4)
+                out.append(_narrow(np.append(own, np.uint32(end))))
+                sizes.append(len(own) + 1)
                 held += len(out[-1])
                 if held > 8 << 20 or i == len(texts) - 1:
-                    yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(at, len(out)), batch.column("digest").slice(at, len(out)), pa.array(sizes, pa.int64()), pa.array([_narrow(x) for x in out], pa.binary())], names=["doc_id", "digest", "size", "ids"])
+                    rest = [batch.column(c).slice(at, len(out)) for c in ("doc_id", "digest")]
+                    yield pa.RecordBatch.from_arrays([*rest, pa.array(sizes, pa.int64()), pa.array(out, pa.binary())], names=["doc_id", "digest", "size", "ids"])
                     at, out, sizes, held = i + 1, [], [], 0
 
     return run
 
 
-def _narrow(ids: bytes) -> bytes:
-    """Two bytes an id where all of a document's fit, after a byte that says so."""
-    wide = np.frombuffer(ids, "<u4")
-    return b"\2" + wide.astype("<u2").tobytes() if wide.max(initial=0) < 1 << 16 else b"\4" + ids
-
-
-def _wide(ids: bytes) -> np.ndarray:
-    return np.frombuffer(ids, f"<u{ids[0]}", offset=1)
-
-
 def _frequencies(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Documents of a task that hold each token."""
     df = np.zeros(0, np.int64)
     for batch in batches:
         for x in batch.column("ids"):
-            terms = np.unique(_wide(x.as_buffer().to_pybytes())).astype(np.int64)
+            terms = np.unique(_wide(x)).astype(np.int64)
             if terms[-1] >= len(df):
                 df = np.append(df, np.zeros(int(terms[-1]) + 1 - len(df), np.int64))
             df[terms] += 1
@@ -255,127 +233,78 @@ def _frequencies(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield pa.RecordBatch.from_arrays([pa.array(held), pa.array(df[held])], names=["token", "df"])
 
 
-def _nearest(shared, k: int, turn: int):
-    """The nearest of a task's unused documents for each query of the block that was sent."""
+def corpus_statistics(tokens: DataFrame) -> Statistics:
+    """Frequencies are summed in each task first; a row a token of the vocabulary comes to the driver."""
+    n, total = tokens.agg(F.count("*"), F.sum("size")).first()
+    found = tokens.select("ids").mapInArrow(_frequencies, "token long, df long").groupBy("token").agg(F.sum("df").alias("df")).toArrow()
+    token = found["token"].to_numpy()
+    df = np.zeros(int(token.max(initial=0)) + 1)
+    df[token] = found["df"].to_numpy()
+    return Statistics(df, n, (total or 0) / max(1, n))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        statistics, rows, place, unused, asked, ids = shared.value
-        queries = [statistics.query(_wide(x)) for x in ids]
-        best = np.zeros((len(queries), 0), np.int64)
-        held: list[tuple[int, np.ndarray]] = []
-
-        def merged(best: np.ndarray) -> np.ndarray:
-            index = Index(np.array([p for p, _ in held]), [d for _, d in held], statistics)
-            step = max(1, (16 << 20) // (8 * max(index.n, len(index.dense))))
-            found = [index.nearest(asked[i : i + step], queries[i : i + step], k, turn) for i in range(0, len(queries), step)]
-            return _best(np.concatenate([best, np.concatenate(found)], axis=1), k)
-
-        size = 0
-        for batch in batches:
-            own = place[np.searchsorted(rows, batch.column("row").to_numpy())]
-            for at in np.flatnonzero(unused[own]):
-                held.append((int(own[at]), _wide(batch.column("ids")[int(at)].as_buffer().to_pybytes())))
-                size += len(held[-1][1]) * 2
-                if size > INDEX_BYTES:
-                    best, held, size = merged(best), [], 0
-        if held:
-            best = merged(best)
-        some = np.flatnonzero(best.any(axis=1))
-        if len(some):
-            yield pa.RecordBatch.from_arrays([pa.array(asked[some]), pa.array([x[x > 0].tobytes() for x in best[some]], pa.binary())], names=["place", "keys"])
 
-    return run
+ROUTED = [f"lead{i}" for i in range(LEADING)]
 
 
-def _merged(k: int):
-    """The best of all tasks for each query."""
+def _route(shared, least: float):
+    """The leading tokens of each document."""
 
-    def run(table: pa.Table) -> pa.Table:
-        table = table.sort_by("place")
-        place = table["place"].to_numpy()
-        starts = np.flatnonzero(np.append(True, place[1:] != place[:-1]))
-        keys = [np.frombuffer(x.as_buffer(), np.int64) for x in table["keys"]]
-        best = [_best(np.concatenate(keys[a:b])[None], k)[0] for a, b in zip(starts, [*starts[1:], len(keys)], strict=True)]
-        return pa.table({"place": place[starts], "keys": pa.array([x.tobytes() for x in best], pa.binary())})
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        statistics = shared.value
+        for batch in batches:
+            leading = np.array([statistics.leading(_wide(x), least) for x in batch.column("ids")], np.int32).reshape(-1, LEADING)
+            yield pa.RecordBatch.from_arrays([*batch.columns, *(pa.array(np.ascontiguousarray(leading[:, i])) for i in range(LEADING))], names=[*batch.schema.names, *ROUTED])
 
     return run
 
 
-def _search(tokens: DataFrame, rows: np.ndarray, place: np.ndarray, sizes: np.ndarray, statistics: Statistics, k: int) -> Search:
-    """Search over all documents, a block of queries after the other."""
-    spark = tokens.sparkSession
-    turn = _turn(len(rows))
-
-    def search(asked: np.ndarray, unused: np.ndarray) -> np.ndarray:
-        free, out = np.zeros(len(rows), bool), np.zeros((len(asked), k), np.int64)
-        free[unused] = True
-        part = np.full(len(rows), -1, np.int32)
-        part[asked] = np.cumsum(sizes[asked] * 2) // QUERY_BYTES
-        for i in np.unique(part[asked]).tolist():
-            taken = spark.sparkContext.broadcast((rows, place, part == i))
-            block = tokens.mapInArrow(_taken(taken), "place long, ids binary").toArrow().sort_by("place")
-            own = block["place"].to_numpy()
-            shared = spark.sparkContext.broadcast((statistics, rows, place, free, own, [x.as_buffer().to_pybytes() for x in block["ids"]]))
-            found = tokens.select("row", "ids").mapInArrow(_nearest(shared, k, turn), "place long, keys binary")
-            found = found.groupBy(F.pmod("place", F.lit(64)).alias("part")).applyInArrow(_merged(k), "place long, keys binary").toArrow()
-            for p, x in zip(np.searchsorted(asked, found["place"].to_numpy()).tolist(), found["keys"], strict=True):
-                keys = np.frombuffer(x.as_buffer(), np.int64)
-                out[p, : len(keys)] = keys
-            taken.destroy()
-            shared.destroy()
-        return out
-
-    return search
+def _pack(shared, window: int, shard_tokens: int):
+    """Packs a task's rows, a shard after the other."""
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        statistics, first = shared.value, TaskContext.get().partitionId() << 32
+        number, held, ids, documents = 0, 0, [], []
 
-def _taken(shared):
-    """The documents of a block of queries."""
+        def packed() -> pa.RecordBatch:
+            pieces = np.array(pack_shard(documents, window, statistics=statistics), np.int64).reshape(-1, 5)
+            doc, start, length, sequence, offset = pieces.T
+            cut = [documents[d][s : s + n].astype("<u4").tobytes() for d, s, n in zip(doc.tolist(), start.tolist(), length.tolist(), strict=True)]
+            sizes = np.array([len(d) for d in documents])
+            columns = [pa.concat_arrays(ids).take(pa.array(doc)), *(pa.array(x) for x in (start, length, sizes[doc], first + number + sequence, offset)), pa.array(cut, pa.binary())]
+            return pa.RecordBatch.from_arrays(columns, names=["doc_id", "start", "length", "doc_tokens", "sequence_id", "offset", "ids"])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rows, place, wanted = shared.value
         for batch in batches:
-            own = place[np.searchsorted(rows, batch.column("row").to_numpy())]
-            some = np.flatnonzero(wanted[own])
-            yield pa.RecordBatch.from_arrays([pa.array(own[some]), batch.column("ids").take(pa.array(some))], names=["place", "ids"])
+            for i, x in enumerate(batch.column("ids")):
+                documents.append(_wide(x))
+                ids.append(batch.column("doc_id").slice(i, 1))
+                held += len(documents[-1])
+                if held >= shard_tokens:
+                    yield (out := packed())
+                    number += int(out.column("sequence_id")[len(out) - 1].as_py()) - first - number + 1
+                    held, ids, documents = 0, [], []
+        if documents:
+            yield packed()
 
     return run
 
 
-def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """The ids of each piece."""
-    for batch in batches:
-        ids = [_wide(x.as_buffer().to_pybytes())[s : s + n].astype("<u4").tobytes() for x, s, n in zip(batch.column("ids"), batch.column("start").to_pylist(), batch.column("length").to_pylist(), strict=True)]
-        yield batch.set_column(batch.schema.get_field_index("ids"), "ids", pa.array(ids, pa.binary()))
-
-
-def pack(docs: DataFrame, window: int = WINDOW, vocabulary: str | None = None, end: int = 0, shard_bytes: int = SHARD_BYTES, id: str = "doc_id", text: str = "text", nearest: int = NEAREST) -> DataFrame:
+def pack(docs: DataFrame, window: int = WINDOW, vocabulary: str | None = None, end: int = 0, shard_tokens: int = SHARD_TOKENS, id: str = "doc_id", text: str = "text") -> DataFrame:
     """A row for each piece: doc_id, start, length, doc_tokens, sequence_id, offset, ids (unsigned, 4 bytes each)."""
     spark = docs.sparkSession
     source = docs.select(F.col(id).alias("doc_id"), F.col(text).alias("text"))
     kind = dict(source.dtypes)["doc_id"]
-    schema = f"doc_id {kind}, start long, length long, doc_tokens long, sequence_id long, offset long, ids binary"
-    total = source.agg(F.sum(F.octet_length("text") + F.lit(64))).first()[0] or 0
     tokens = source.withColumn("digest", F.xxhash64("doc_id", "text")).mapInArrow(_tokens(vocabulary or vocabulary_path(DEFAULT), end), f"doc_id {kind}, digest long, size long, ids binary")
     tokens = written(tokens.withColumn("row", F.monotonically_increasing_id()), "tokens")
-    known = tokens.select("row", "digest", "size").toArrow().sort_by("row")
-    if not len(known):
-        return spark.createDataFrame([], schema).withColumnRenamed("doc_id", id)
-    rows, digest, sizes = (known[c].to_numpy() for c in ("row", "digest", "size"))
-    order = np.argsort(digest, kind="stable")
-    place = np.empty(len(rows), np.int64)
-    place[order] = np.arange(len(rows))
-    frequencies = tokens.select("ids").mapInArrow(_frequencies, "token long, df long").groupBy("token").agg(F.sum("df").alias("df")).toArrow()
-    df = np.zeros(int(frequencies["token"].to_numpy().max()) + 1)
-    df[frequencies["token"].to_numpy()] = frequencies["df"].to_numpy()
-    statistics = Statistics(df, len(rows), float(sizes.mean()))
-    walk = Packing(sizes[order], window, max(1, -(-total // shard_bytes)))
-    pieces = walk.run(_search(tokens, rows, place, sizes[order], statistics, nearest), nearest)
-    doc, start, length, chain, number, offset = (np.array(x, np.int64) for x in zip(*pieces, strict=True))
-    known = pa.table({"row": rows[order][doc], "start": start, "length": length, "sequence_id": (chain << 32) + number, "offset": offset})
-    packed = written(spark.createDataFrame(known), "pieces")
-    parts = partitions_for(spark, len(doc), 20_000)
-    joined = tokens.select("row", "doc_id", "ids", F.col("size").alias("doc_tokens")).repartition(parts, "row").join(packed.repartition(parts, "row"), "row")
-    return joined.select("doc_id", "start", "length", "doc_tokens", "sequence_id", "offset", "ids").mapInArrow(_cut, schema).withColumnRenamed("doc_id", id)
+    statistics = corpus_statistics(tokens)
+    shared = spark.sparkContext.broadcast(statistics)
+    total = statistics.mean * statistics.n
+    shards = max(1, -(-int(total) // shard_tokens))
+    tasks = shards if shards <= MANY_TASKS else max(MANY_TASKS, shards // SHARDS_OF_TASK)
+    routed = tokens.mapInArrow(_route(shared, max(2.0, statistics.n / shards)), f"doc_id {kind}, digest long, size long, ids binary, row long, " + ", ".join(f"{c} int" for c in ROUTED))
+    order = [*ROUTED, "digest", "row"]
+    dealt = routed.repartitionByRange(tasks, *order).sortWithinPartitions(*order)
+    schema = f"doc_id {kind}, start long, length long, doc_tokens long, sequence_id long, offset long, ids binary"
+    return dealt.select("doc_id", "ids").mapInArrow(_pack(shared, window, shard_tokens), schema).withColumnRenamed("doc_id", id)
 
 
 def op2(docs: DataFrame) -> DataFrame:

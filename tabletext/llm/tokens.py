@@ -55,9 +55,9 @@ def encoder(path: str) -> Callable[[Iterable[str]], Iterable[np.ndarray]]:
         def ids(texts: Iterable[str]) -> Iterable[np.ndarray]:
             for text in texts:
                 if any(s in text for s in special):
-                    yield np.array(encoding.encode(text, allowed_special="all"), dtype=np.uint32)
+                    yield encoding.encode_to_numpy(text, allowed_special="all")
                 else:
-                    yield np.array(encoding.encode_ordinary(text), dtype=np.uint32)
+                    yield encoding.encode_to_numpy(text, disallowed_special=())
 
         return ids
     if path.endswith(".json"):

@@ -1,4 +1,5 @@
 import zlib
+from collections import Counter
 
 import numpy as np
 from tokenizers import Tokenizer
@@ -39,7 +40,7 @@ def test_pieces_cover_all_tokens(frame):
 
 def test_several_shards(frame):
     texts = corpus(n=100)
-    small = packing.pack(frame(texts), shard_bytes=20_000)
+    small = packing.pack(frame(texts), shard_tokens=5_000)
     assert len({r["sequence_id"] >> 32 for r in small.select("sequence_id").collect()}) > 3
     ids = small.where("doc_id = 4").orderBy("start").collect()
     library = Tokenizer.from_file(tokens.vocabulary_path())
@@ -57,26 +58,25 @@ def test_neighbours_share_words():
     assert sum(len(t) == 1 for t in topics.values()) >= len(topics) - 2
 
 
-def by_brute_force(documents, window, chains=1):
-    """Chains take turns; each takes the unused document of the highest BM25 score to its window's seed, over all documents."""
-    n, mean = len(documents), np.mean([len(d) for d in documents])
-    sets = [dict(zip(*np.unique(d, return_counts=True), strict=True)) for d in documents]
-    df = {t: sum(t in s for s in sets) for t in {t for s in sets for t in s}}
-    weights = [{t: np.rint(2**20 * np.log1p((n - df[t] + 0.5) / (df[t] + 0.5)) * tf * 2.2 / (tf + 1.2 * (0.25 + 0.75 * len(d) / mean))) for t, tf in s.items()} for s, d in zip(sets, documents, strict=True)]
-    unused, order, fill, seed = set(range(n)), [[] for _ in range(chains)], [0] * chains, [None] * chains
+def by_brute_force(documents, window, corpus=None):
+    """Each window takes the unused document of the highest BM25 score to its seed, by the statistics of the corpus."""
+    corpus = documents if corpus is None else corpus
+    n, mean = len(corpus), np.mean([len(d) for d in corpus])
+    bag = lambda d: dict(zip(*(x.tolist() for x in np.unique(d, return_counts=True)), strict=True))
+    df = Counter(t for d in corpus for t in bag(d))
+    weights = [{t: np.rint(2**20 * np.log1p((n - df[t] + 0.5) / (df[t] + 0.5)) * tf * 2.2 / (tf + 1.2 * (0.25 + 0.75 * len(d) / mean))) for t, tf in bag(d).items()} for d in documents]
+    turn = 1 << max(1, len(documents).bit_length())
+    unused, order, fill, seed = set(range(len(documents))), [], 0, None
     while unused:
-        for c in range(chains):
-            if not unused:
-                break
-            asked = weights[seed[c]] if fill[c] else []
-            own = {d: sum(weights[d].get(t, 0) for t in asked) for d in unused}
-            best = max(own, key=lambda d: (own[d], -((d - (seed[c] or 0)) % packing._turn(n))))
-            best = best if own[best] > 0 else min(unused)
-            unused.remove(best)
-            order[c].append(best)
-            if not fill[c] or fill[c] + len(documents[best]) >= window:
-                seed[c] = best
-            fill[c] = (fill[c] + len(documents[best])) % window
+        asked = [t for t in weights[seed] if df[t] > 1] if fill else []
+        own = {d: sum(weights[d].get(t, 0) for t in asked) for d in unused}
+        best = max(own, key=lambda d: (own[d], -((d - (seed or 0)) % turn)))
+        best = best if own[best] > 0 else min(unused)
+        unused.remove(best)
+        order.append(best)
+        if not fill or fill + len(documents[best]) >= window:
+            seed = best
+        fill = (fill + len(documents[best])) % window
     return order
 
 
@@ -84,34 +84,50 @@ def test_nearest_of_all_documents():
     """Lists that are too short are made anew: no document is out of reach."""
     r = np.random.default_rng(1)
     documents = [r.choice(40, r.integers(1, 15)).astype(np.uint32) for _ in range(60)]
-    (want,) = by_brute_force(documents, 30)
+    want = by_brute_force(documents, 30)
     for k in (1, 3, 64):
         order = [doc for doc, start, *_ in packing.pack_shard(documents, 30, k) if start == 0]
         assert order == want
 
 
-def test_chains_search_the_whole_corpus(frame):
-    """Every chain finds the nearest document of the corpus, and statistics are those of the corpus."""
+def test_shards_use_the_statistics_of_the_corpus(frame):
+    """Every seed finds the nearest unused document of its shard, with the frequencies of the whole corpus."""
     r = np.random.default_rng(2)
     words = ["kappa", "sigma", "theta", "omega", "delta", "iota", "rho", "tau", "phi", "chi"]
     texts = [" ".join(r.choice(words, r.integers(3, 11))) for _ in range(60)]
-    frame = frame(texts)
-    digest = {x[0]: x[1] for x in frame.selectExpr("doc_id", "xxhash64(doc_id, text)").collect()}
-    docs = sorted(digest, key=digest.get)
     library = Tokenizer.from_file(tokens.vocabulary_path())
-    ids = [np.array([*library.encode(texts[i]).ids, 0]) for i in docs]
-    size = sum(len(t.encode()) + 64 for t in texts)
-    for chains in (1, 5):
-        rows = packing.pack(frame, window=40, shard_bytes=-(-size // chains)).where("start = 0").orderBy("sequence_id", "offset").collect()
-        got = [[docs.index(x["doc_id"]) for x in rows if x["sequence_id"] >> 32 == c] for c in range(chains)]
-        assert got == by_brute_force(ids, 40, chains)
+    ids = [np.array([*library.encode(t).ids, 0]) for t in texts]
+    statistics = packing.Statistics.of(ids)
+    docs = frame(texts)
+    digest = {x[0]: x[1] for x in docs.selectExpr("doc_id", "xxhash64(doc_id, text)").collect()}
+    for size in (sum(map(len, ids)), 120):
+        rows = packing.pack(docs, window=40, shard_tokens=size).where("start = 0").orderBy("sequence_id", "offset").collect()
+        shards = {}
+        for x in rows:
+            shards.setdefault(x["sequence_id"] >> 32, []).append(x["doc_id"])
+        assert len(shards) == 1 if size > 120 else len(shards) > 2
+        least = max(2.0, len(ids) / -(-sum(map(len, ids)) // size))
+        for own in shards.values():
+            order = sorted(own, key=lambda d: (statistics.leading(ids[d], least), digest[d]))
+            if sum(len(ids[d]) for d in own) <= size:
+                assert own == [order[i] for i in by_brute_force([ids[d] for d in order], 40, ids)]
+
+
+def test_copies_are_neighbours():
+    """Near copies lead with the same tokens, so routing brings them together."""
+    r = np.random.default_rng(4)
+    bases = [r.choice(2000, 200).astype(np.uint32) for _ in range(100)]
+    documents = [b for b in bases] + [np.append(b[:195], r.choice(2000, 5)).astype(np.uint32) for b in bases]
+    statistics = packing.Statistics.of(documents)
+    keys = [statistics.leading(d, 10) for d in documents]
+    assert sum(keys[i][0] == keys[i + 100][0] for i in range(100)) > 80
 
 
 def test_all_tokens_of_a_seed_count():
     """Long documents: what is shared beyond the weightiest tokens decides too."""
     r = np.random.default_rng(3)
     documents = [r.choice(300, r.integers(80, 160)).astype(np.uint32) for _ in range(40)]
-    (want,) = by_brute_force(documents, 200)
+    want = by_brute_force(documents, 200)
     assert [doc for doc, start, *_ in packing.pack_shard(documents, 200) if start == 0] == want
 
 
