@@ -33,13 +33,14 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
 
 from .storage import written
 from .tokens import DEFAULT, encoder, vocabulary_path
 
 WINDOW = 1024
 #: Tokens of a shard, its last document aside.
-SHARD_TOKENS = 4 << 20
+SHARD_TOKENS = 2 << 20
 #: Up to so many shards each has a task of its own, beyond that a task packs some of them in turn.
 MANY_TASKS, SHARDS_OF_TASK = 4000, 64
 K1, B = 1.2, 0.75
@@ -50,6 +51,25 @@ LEADING = 3
 DENSE = 4
 
 
+@dataclass
+class Bags:
+    """The distinct tokens of some documents and how often each has them, one document after the other."""
+
+    sizes: np.ndarray  # distinct tokens of each document
+    lengths: np.ndarray  # all tokens of each document
+    terms: np.ndarray
+    tf: np.ndarray
+
+    @classmethod
+    def of(cls, documents: list[np.ndarray]) -> Bags:
+        own = [np.unique(d, return_counts=True) for d in documents]
+        return cls(np.array([len(t) for t, _ in own]), np.array([len(d) for d in documents]), *(np.concatenate(x).astype(np.int64) for x in zip(*own, strict=True)))
+
+    @property
+    def docs(self) -> np.ndarray:
+        return np.repeat(np.arange(len(self.sizes)), self.sizes)
+
+
 @dataclass
 class Statistics:
     """What BM25 needs to know of the whole corpus."""
@@ -60,22 +80,27 @@ class Statistics:
 
     @classmethod
     def of(cls, documents: list[np.ndarray]) -> Statistics:
-        terms = np.concatenate([np.unique(d) for d in documents])
-        return cls(np.bincount(terms).astype(float), len(documents), sum(map(len, documents)) / len(documents))
-
-    def weights(self, document: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """The distinct tokens of a document and their BM25 weights, as whole numbers."""
-        terms, tf = np.unique(document, return_counts=True)
-        idf = np.log1p((self.n - self.df[terms] + 0.5) / (self.df[terms] + 0.5))
-        return terms.astype(np.int64), np.rint(UNIT * idf * tf * (K1 + 1) / (tf + K1 * (1 - B + B * len(document) / self.mean)))
-
-    def leading(self, document: np.ndarray, least: float, k: int = LEADING) -> list[int]:
-        """The tokens of the greatest weights among those in ``least`` documents or more, -1 where there are no more."""
-        terms, weights = self.weights(document)
-        some = self.df[terms] >= least
-        terms, weights = terms[some], weights[some]
-        first = np.lexsort((terms, -weights))[:k]
-        return [*terms[first].tolist(), *[-1] * (k - len(first))]
+        bags = Bags.of(documents)
+        return cls(np.bincount(bags.terms).astype(float), len(documents), float(bags.lengths.mean()))
+
+    def weights(self, bags: Bags) -> np.ndarray:
+        """The BM25 weight of each token in its document, as whole numbers."""
+        idf = np.log1p((self.n - self.df + 0.5) / (self.df + 0.5))
+        norm = K1 * (1 - B + B * bags.lengths / self.mean)
+        return np.rint(UNIT * idf[bags.terms] * bags.tf * (K1 + 1) / (bags.tf + np.repeat(norm, bags.sizes)))
+
+    def leading(self, bags: Bags, least: float) -> np.ndarray:
+        """For each document the tokens of the greatest weights among those in ``least`` documents or more, -1 where there are no more."""
+        weights = np.where(self.df[bags.terms] >= least, self.weights(bags), -1)
+        out = np.full((len(bags.sizes), LEADING), -1, np.int32)
+        starts = np.cumsum(bags.sizes) - bags.sizes
+        for i in range(LEADING):
+            most = np.maximum.reduceat(weights, starts) if len(starts) else weights
+            place = np.flatnonzero((weights == np.repeat(most, bags.sizes)) & (weights >= 0))
+            doc, first = np.unique(bags.docs[place], return_index=True)
+            out[doc, i] = bags.terms[place[first]]
+            weights[place[first]] = -1
+        return out
 
 
 def _ranges(starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
@@ -85,20 +110,19 @@ def _ranges(starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
 
 
 class ShardIndex:
-    """Inverted lists of a shard's documents; those used are taken out when they are half of it."""
-
-    def __init__(self, documents: list[np.ndarray], statistics: Statistics):
-        self.n, self.held = len(documents), len(documents)
-        own = [statistics.weights(d) for d in documents]
-        sizes = np.array([len(t) for t, _ in own])
-        terms, weights = (np.concatenate(x) for x in zip(*own, strict=True))
-        vocabulary, terms = np.unique(terms, return_inverse=True)
-        wanted = (statistics.df[vocabulary] > 1)[terms]  # what no other document has
-        self.queries = np.split(terms, np.cumsum(sizes)[:-1])
-        self.queries = [q[w] for q, w in zip(self.queries, np.split(wanted, np.cumsum(sizes)[:-1]), strict=True)]
+    """Inverted lists of a shard's documents; those used are taken out when they are a quarter of it."""
+
+    def __init__(self, bags: Bags, statistics: Statistics):
+        self.n = len(bags.sizes)
+        held = np.flatnonzero(np.bincount(bags.terms, minlength=len(statistics.df)))
+        self.size = len(held)
+        number = np.zeros(len(statistics.df), np.int64)
+        number[held] = np.arange(self.size)
+        terms, docs = number[bags.terms], bags.docs
+        wanted = statistics.df[bags.terms] > 1  # others are in no other document
+        self.queries = np.split(terms[wanted], np.cumsum(np.bincount(docs[wanted], minlength=self.n))[:-1])
         order = np.argsort(terms, kind="stable")
-        self.size = len(vocabulary)
-        self._lists(terms[order], np.repeat(np.arange(self.n), sizes)[order], weights[order], np.arange(self.n))
+        self._lists(terms[order], docs[order], statistics.weights(bags)[order], np.arange(self.n))
 
     def _lists(self, terms: np.ndarray, docs: np.ndarray, weights: np.ndarray, left: np.ndarray) -> None:
         """``docs`` are places in ``left``."""
@@ -136,7 +160,7 @@ class ShardIndex:
 
     def nearest(self, seed: int, used: np.ndarray, unused: int, k: int) -> tuple[np.ndarray, bool]:
         """The ``k`` nearest unused documents that share a token, nearest first, and whether there are more."""
-        if 2 * unused < len(self.left):
+        if 4 * unused < 3 * len(self.left):
             self._shrink(used)
         turn = 1 << max(1, int(self.n).bit_length())  # beyond all places
         scores = self.scores(seed)
@@ -150,13 +174,13 @@ class ShardIndex:
         return docs[np.argsort(-keys, kind="stable")], cut
 
 
-def pack_shard(documents: list[np.ndarray], window: int, k: int = 64, statistics: Statistics | None = None) -> list[tuple[int, int, int, int, int]]:
+def pack_shard(bags: Bags, window: int, statistics: Statistics, k: int = 64) -> list[tuple[int, int, int, int, int]]:
     """Pieces (document, start, length, window, offset) of the documents of a shard.
 
     A list of ``k`` nearest documents is asked for again when it is at its end and the window is not full.
     """
-    n = len(documents)
-    index = ShardIndex(documents, statistics or Statistics.of(documents))
+    n, sizes = len(bags.lengths), bags.lengths.tolist()
+    index = ShardIndex(bags, statistics)
     used, unused, later = np.zeros(n, bool), n, 0
     pieces: list[tuple[int, int, int, int, int]] = []
     seed, number, fill = -1, 0, 0
@@ -177,7 +201,7 @@ def pack_shard(documents: list[np.ndarray], window: int, k: int = 64, statistics
             doc = later
         used[doc] = True
         unused -= 1
-        size, start = len(documents[doc]), 0
+        size, start = sizes[doc], 0
         new = not fill  # an empty window: this document is its seed
         while start < size:
             take = min(window - fill, size - start)
@@ -202,47 +226,57 @@ def _wide(ids) -> np.ndarray:
     return np.frombuffer(ids, f"<u{ids[0]}", offset=1)
 
 
-def _tokens(vocabulary: str, end: int):
+#: A row for each document; the last rows of a task have no ids, but the task's documents by token.
+TOKENS = "doc_id {}, digest long, size long, ids binary, terms binary, tf binary"
+
+
+def _tokens(vocabulary: str, end: int, kind: pa.DataType):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids = encoder(vocabulary)
+        ids, df = encoder(vocabulary), np.zeros(1 << 16, np.int64)
         for batch in batches:
-            out, sizes, held, at = [], [], 0, 0
-            texts = batch.column("text")
-            for i, own in enumerate(ids((t.as_py() or "") for t in texts)):
-                out.append(_narrow(np.append(own, np.uint32(end))))
-                sizes.append(len(own) + 1)
-                held += len(out[-1])
-                if held > 8 << 20 or i == len(texts) - 1:
-                    rest = [batch.column(c).slice(at, len(out)) for c in ("doc_id", "digest")]
-                    yield pa.RecordBatch.from_arrays([*rest, pa.array(sizes, pa.int64()), pa.array(out, pa.binary())], names=["doc_id", "digest", "size", "ids"])
-                    at, out, sizes, held = i + 1, [], [], 0
+            rows, held, at = [], 0, 0
+            for i, own in enumerate(ids((t.as_py() or "") for t in batch.column("text"))):
+                own = np.append(own, np.uint32(end))
+                terms, tf = np.unique(own, return_counts=True)
+                if terms[-1] >= len(df):
+                    df = np.append(df, np.zeros(int(terms[-1]) + 1, np.int64))
+                df[terms] += 1
+                rows.append((len(own), _narrow(own), _narrow(terms), _narrow(tf)))
+                held += len(own)
+                if held > 2 << 20 or i == len(batch) - 1:
+                    known = [batch.column(c).slice(at, len(rows)) for c in ("doc_id", "digest")]
+                    made = [pa.array(x, k) for x, k in zip(zip(*rows, strict=True), (pa.int64(), *[pa.binary()] * 3), strict=True)]
+                    yield pa.RecordBatch.from_arrays([*known, *made], names=["doc_id", "digest", "size", "ids", "terms", "tf"])
+                    rows, held, at = [], 0, i + 1
+        terms = np.flatnonzero(df)
+        if len(terms):
+            counted = [pa.nulls(1, kind), *(pa.array([x], k) for x, k in ((None, pa.int64()), (None, pa.int64()), (None, pa.binary()), (terms.tobytes(), pa.binary()), (df[terms].tobytes(), pa.binary())))]
+            yield pa.RecordBatch.from_arrays(counted, names=["doc_id", "digest", "size", "ids", "terms", "tf"])
 
     return run
 
 
 def _frequencies(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Documents of a task that hold each token."""
-    df = np.zeros(0, np.int64)
     for batch in batches:
-        for x in batch.column("ids"):
-            terms = np.unique(_wide(x)).astype(np.int64)
-            if terms[-1] >= len(df):
-                df = np.append(df, np.zeros(int(terms[-1]) + 1 - len(df), np.int64))
-            df[terms] += 1
-    held = np.flatnonzero(df)
-    yield pa.RecordBatch.from_arrays([pa.array(held), pa.array(df[held])], names=["token", "df"])
+        for terms, n in zip(batch.column("terms"), batch.column("tf"), strict=True):
+            yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(x.as_buffer(), np.int64)) for x in (terms, n)], names=["token", "df"])
 
 
 def corpus_statistics(tokens: DataFrame) -> Statistics:
-    """Frequencies are summed in each task first; a row a token of the vocabulary comes to the driver."""
-    n, total = tokens.agg(F.count("*"), F.sum("size")).first()
-    found = tokens.select("ids").mapInArrow(_frequencies, "token long, df long").groupBy("token").agg(F.sum("df").alias("df")).toArrow()
+    """Sums of what the tasks have counted; a row a token of the vocabulary comes to the driver."""
+    n, total = tokens.agg(F.count("size"), F.sum("size")).first()
+    found = tokens.where("size is null").select("terms", "tf").mapInArrow(_frequencies, "token long, df long").groupBy("token").agg(F.sum("df").alias("df")).toArrow()
     token = found["token"].to_numpy()
-    df = np.zeros(int(token.max(initial=0)) + 1)
+    df = np.zeros(int(token.max()) + 1 if n else 1)
     df[token] = found["df"].to_numpy()
     return Statistics(df, n, (total or 0) / max(1, n))
 
 
+def _bags(lengths: np.ndarray, terms: list, tf: list) -> Bags:
+    terms, tf = [_wide(x) for x in terms], [_wide(x) for x in tf]
+    return Bags(np.array([len(t) for t in terms], np.int64), lengths, np.concatenate(terms).astype(np.int64), np.concatenate(tf).astype(np.int64))
+
+
 ROUTED = [f"lead{i}" for i in range(LEADING)]
 
 
@@ -250,10 +284,10 @@ def _route(shared, least: float):
     """The leading tokens of each document."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        statistics = shared.value
         for batch in batches:
-            leading = np.array([statistics.leading(_wide(x), least) for x in batch.column("ids")], np.int32).reshape(-1, LEADING)
-            yield pa.RecordBatch.from_arrays([*batch.columns, *(pa.array(np.ascontiguousarray(leading[:, i])) for i in range(LEADING))], names=[*batch.schema.names, *ROUTED])
+            if len(batch):
+                leading = shared.value.leading(_bags(batch.column("size").to_numpy(), batch.column("terms"), batch.column("tf")), least)
+                yield pa.RecordBatch.from_arrays([*batch.columns, *(pa.array(np.ascontiguousarray(leading[:, i])) for i in range(LEADING))], names=[*batch.schema.names, *ROUTED])
 
     return run
 
@@ -263,27 +297,34 @@ def _pack(shared, window: int, shard_tokens: int):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         statistics, first = shared.value, TaskContext.get().partitionId() << 32
-        number, held, ids, documents = 0, 0, [], []
+        held: list[pa.RecordBatch] = []
 
-        def packed() -> pa.RecordBatch:
-            pieces = np.array(pack_shard(documents, window, statistics=statistics), np.int64).reshape(-1, 5)
+        def packed(number: int) -> pa.RecordBatch:
+            rows = pa.Table.from_batches(held).combine_chunks()
+            sizes = rows["size"].to_numpy()
+            pieces = np.array(pack_shard(_bags(sizes, rows["terms"], rows["tf"]), window, statistics), np.int64).reshape(-1, 5)
             doc, start, length, sequence, offset = pieces.T
+            documents = [_wide(x) for x in rows["ids"]]
             cut = [documents[d][s : s + n].astype("<u4").tobytes() for d, s, n in zip(doc.tolist(), start.tolist(), length.tolist(), strict=True)]
-            sizes = np.array([len(d) for d in documents])
-            columns = [pa.concat_arrays(ids).take(pa.array(doc)), *(pa.array(x) for x in (start, length, sizes[doc], first + number + sequence, offset)), pa.array(cut, pa.binary())]
+            columns = [rows["doc_id"].combine_chunks().take(pa.array(doc)), *(pa.array(x) for x in (start, length, sizes[doc], first + number + sequence, offset)), pa.array(cut, pa.binary())]
             return pa.RecordBatch.from_arrays(columns, names=["doc_id", "start", "length", "doc_tokens", "sequence_id", "offset", "ids"])
 
+        number, size = 0, 0
         for batch in batches:
-            for i, x in enumerate(batch.column("ids")):
-                documents.append(_wide(x))
-                ids.append(batch.column("doc_id").slice(i, 1))
-                held += len(documents[-1])
-                if held >= shard_tokens:
-                    yield (out := packed())
-                    number += int(out.column("sequence_id")[len(out) - 1].as_py()) - first - number + 1
-                    held, ids, documents = 0, [], []
-        if documents:
-            yield packed()
+            # a shard ends with the document that fills it
+            ends = size + np.cumsum(batch.column("size").to_numpy())
+            at = 0
+            while at < len(batch):
+                to = min(len(batch), int(np.searchsorted(ends, shard_tokens)) + 1)
+                held.append(batch.slice(at, to - at))
+                size = int(ends[to - 1])
+                if size >= shard_tokens:
+                    yield (out := packed(number))
+                    number = int(out.column("sequence_id")[len(out) - 1].as_py()) - first + 1
+                    ends, held, size = ends - size, [], 0
+                at = to
+        if held:
+            yield packed(number)
 
     return run
 
@@ -293,18 +334,19 @@ def pack(docs: DataFrame, window: int = WINDOW, vocabulary: str | None = None, e
     spark = docs.sparkSession
     source = docs.select(F.col(id).alias("doc_id"), F.col(text).alias("text"))
     kind = dict(source.dtypes)["doc_id"]
-    tokens = source.withColumn("digest", F.xxhash64("doc_id", "text")).mapInArrow(_tokens(vocabulary or vocabulary_path(DEFAULT), end), f"doc_id {kind}, digest long, size long, ids binary")
+    schema = TOKENS.format(kind)
+    arrow = to_arrow_schema(source.select("doc_id").schema).field("doc_id").type
+    tokens = source.withColumn("digest", F.xxhash64("doc_id", "text")).mapInArrow(_tokens(vocabulary or vocabulary_path(DEFAULT), end, arrow), schema)
     tokens = written(tokens.withColumn("row", F.monotonically_increasing_id()), "tokens")
     statistics = corpus_statistics(tokens)
     shared = spark.sparkContext.broadcast(statistics)
-    total = statistics.mean * statistics.n
-    shards = max(1, -(-int(total) // shard_tokens))
+    shards = max(1, -(-int(statistics.mean * statistics.n) // shard_tokens))
     tasks = shards if shards <= MANY_TASKS else max(MANY_TASKS, shards // SHARDS_OF_TASK)
-    routed = tokens.mapInArrow(_route(shared, max(2.0, statistics.n / shards)), f"doc_id {kind}, digest long, size long, ids binary, row long, " + ", ".join(f"{c} int" for c in ROUTED))
+    routed = tokens.where("size is not null").mapInArrow(_route(shared, max(2.0, statistics.n / shards)), f"{schema}, row long, " + ", ".join(f"{c} int" for c in ROUTED))
     order = [*ROUTED, "digest", "row"]
     dealt = routed.repartitionByRange(tasks, *order).sortWithinPartitions(*order)
     schema = f"doc_id {kind}, start long, length long, doc_tokens long, sequence_id long, offset long, ids binary"
-    return dealt.select("doc_id", "ids").mapInArrow(_pack(shared, window, shard_tokens), schema).withColumnRenamed("doc_id", id)
+    return dealt.select("doc_id", "size", "ids", "terms", "tf").mapInArrow(_pack(shared, window, shard_tokens), schema).withColumnRenamed("doc_id", id)
 
 
 def op2(docs: DataFrame) -> DataFrame:

@@ -51,7 +51,7 @@ def test_neighbours_share_words():
     """Two topics, mixed: windows hold documents of one topic."""
     r = np.random.default_rng(0)
     documents = [np.append(r.integers(1 + 500 * (i % 2), 500 + 500 * (i % 2), 100), 0).astype(np.uint32) for i in range(40)]
-    pieces = packing.pack_shard(documents, 505)
+    pieces = packing.pack_shard(packing.Bags.of(documents), 505, packing.Statistics.of(documents))
     topics = {}
     for doc, _, _, number, _ in pieces:
         topics.setdefault(number, set()).add(doc % 2)
@@ -86,7 +86,7 @@ def test_nearest_of_all_documents():
     documents = [r.choice(40, r.integers(1, 15)).astype(np.uint32) for _ in range(60)]
     want = by_brute_force(documents, 30)
     for k in (1, 3, 64):
-        order = [doc for doc, start, *_ in packing.pack_shard(documents, 30, k) if start == 0]
+        order = [doc for doc, start, *_ in packing.pack_shard(packing.Bags.of(documents), 30, packing.Statistics.of(documents), k) if start == 0]
         assert order == want
 
 
@@ -106,9 +106,9 @@ def test_shards_use_the_statistics_of_the_corpus(frame):
         for x in rows:
             shards.setdefault(x["sequence_id"] >> 32, []).append(x["doc_id"])
         assert len(shards) == 1 if size > 120 else len(shards) > 2
-        least = max(2.0, len(ids) / -(-sum(map(len, ids)) // size))
+        leading = statistics.leading(packing.Bags.of(ids), max(2.0, len(ids) / -(-sum(map(len, ids)) // size))).tolist()
         for own in shards.values():
-            order = sorted(own, key=lambda d: (statistics.leading(ids[d], least), digest[d]))
+            order = sorted(own, key=lambda d: (leading[d], digest[d]))
             if sum(len(ids[d]) for d in own) <= size:
                 assert own == [order[i] for i in by_brute_force([ids[d] for d in order], 40, ids)]
 
@@ -119,7 +119,7 @@ def test_copies_are_neighbours():
     bases = [r.choice(2000, 200).astype(np.uint32) for _ in range(100)]
     documents = [b for b in bases] + [np.append(b[:195], r.choice(2000, 5)).astype(np.uint32) for b in bases]
     statistics = packing.Statistics.of(documents)
-    keys = [statistics.leading(d, 10) for d in documents]
+    keys = statistics.leading(packing.Bags.of(documents), 10)
     assert sum(keys[i][0] == keys[i + 100][0] for i in range(100)) > 80
 
 
@@ -128,7 +128,7 @@ def test_all_tokens_of_a_seed_count():
     r = np.random.default_rng(3)
     documents = [r.choice(300, r.integers(80, 160)).astype(np.uint32) for _ in range(40)]
     want = by_brute_force(documents, 200)
-    assert [doc for doc, start, *_ in packing.pack_shard(documents, 200) if start == 0] == want
+    assert [doc for doc, start, *_ in packing.pack_shard(packing.Bags.of(documents), 200, packing.Statistics.of(documents)) if start == 0] == want
 
 
 def test_empty(frame):
