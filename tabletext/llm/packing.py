@@ -277,17 +277,44 @@ def _bags(lengths: np.ndarray, terms: list, tf: list) -> Bags:
     return Bags(np.array([len(t) for t in terms], np.int64), lengths, np.concatenate(terms).astype(np.int64), np.concatenate(tf).astype(np.int64))
 
 
-ROUTED = [f"lead{i}" for i in range(LEADING)]
+#: Keys a border between tasks that are told the driver.
+KEYS_OF_BORDER = 20
+
+
+def _order(batch: pa.RecordBatch, statistics: Statistics, least: float) -> np.ndarray:
+    """The place of each document in the order of leading tokens, then digests, as byte strings."""
+    leading = statistics.leading(_bags(batch.column("size").to_numpy(), batch.column("terms"), batch.column("tf")), least)
+    out = np.empty(len(batch), [("leading", ">u4", LEADING), ("digest", ">u8"), ("row", ">u8")])
+    out["leading"], out["digest"], out["row"] = leading + 1, batch.column("digest").to_numpy().view(np.uint64) ^ np.uint64(1 << 63), batch.column("row").to_numpy()
+    return out.view(f"S{out.itemsize}")
+
+
+def _some_keys(shared, least: float, step: float):
+    """Of each batch, a key about every ``step`` tokens."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if len(batch):
+                keys = _order(batch, shared.value, least)
+                order = np.argsort(keys, kind="stable")
+                at = (np.cumsum(batch.column("size").to_numpy()[order]) + step / 2) // step
+                told = keys[order][np.flatnonzero(np.diff(at, prepend=0.0))]
+                yield pa.RecordBatch.from_arrays([pa.array([x.ljust(keys.itemsize, b"\0") for x in told.tolist()], pa.binary())], names=["key"])
+
+    return run
 
 
 def _route(shared, least: float):
-    """The leading tokens of each document."""
+    """The task that each document goes to, and its key in the order."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        statistics, borders = shared.value
         for batch in batches:
             if len(batch):
-                leading = shared.value.leading(_bags(batch.column("size").to_numpy(), batch.column("terms"), batch.column("tf")), least)
-                yield pa.RecordBatch.from_arrays([*batch.columns, *(pa.array(np.ascontiguousarray(leading[:, i])) for i in range(LEADING))], names=[*batch.schema.names, *ROUTED])
+                keys = _order(batch, statistics, least)
+                part = np.searchsorted(borders, keys, "right")
+                whole = pa.FixedSizeBinaryArray.from_buffers(pa.binary(keys.itemsize), len(keys), [None, pa.py_buffer(keys.tobytes())]).cast(pa.binary())
+                yield pa.RecordBatch.from_arrays([*batch.columns, whole, pa.array(part.astype(np.int32))], names=[*batch.schema.names, "key", "part"])
 
     return run
 
@@ -296,7 +323,7 @@ def _pack(shared, window: int, shard_tokens: int):
     """Packs a task's rows, a shard after the other."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        statistics, first = shared.value, TaskContext.get().partitionId() << 32
+        (statistics, _), first = shared.value, TaskContext.get().partitionId() << 32
         held: list[pa.RecordBatch] = []
 
         def packed(number: int) -> pa.RecordBatch:
@@ -339,14 +366,19 @@ def pack(docs: DataFrame, window: int = WINDOW, vocabulary: str | None = None, e
     tokens = source.withColumn("digest", F.xxhash64("doc_id", "text")).mapInArrow(_tokens(vocabulary or vocabulary_path(DEFAULT), end, arrow), schema)
     tokens = written(tokens.withColumn("row", F.monotonically_increasing_id()), "tokens")
     statistics = corpus_statistics(tokens)
-    shared = spark.sparkContext.broadcast(statistics)
-    shards = max(1, -(-int(statistics.mean * statistics.n) // shard_tokens))
+    total = statistics.mean * statistics.n
+    shards = max(1, -(-int(total) // shard_tokens))
     tasks = shards if shards <= MANY_TASKS else max(MANY_TASKS, shards // SHARDS_OF_TASK)
-    routed = tokens.where("size is not null").mapInArrow(_route(shared, max(2.0, statistics.n / shards)), f"{schema}, row long, " + ", ".join(f"{c} int" for c in ROUTED))
-    order = [*ROUTED, "digest", "row"]
-    dealt = routed.repartitionByRange(tasks, *order).sortWithinPartitions(*order)
+    least, known = max(2.0, statistics.n / shards), tokens.where("size is not null")
+    shared = spark.sparkContext.broadcast(statistics)
+    told = known.select("digest", "size", "terms", "tf", "row").mapInArrow(_some_keys(shared, least, max(1.0, total / (KEYS_OF_BORDER * tasks))), "key binary")
+    keys = np.array(sorted(x["key"] for x in told.collect()) if tasks > 1 else [], f"S{4 * LEADING + 16}")
+    borders = keys[[len(keys) * i // tasks for i in range(1, tasks)]] if len(keys) else keys
+    both = spark.sparkContext.broadcast((statistics, borders))
+    routed = known.select("doc_id", "digest", "size", "ids", "terms", "tf", "row").mapInArrow(_route(both, least), f"{schema}, row long, key binary, part int")
+    dealt = routed.repartitionById(tasks, "part").sortWithinPartitions("key")
     schema = f"doc_id {kind}, start long, length long, doc_tokens long, sequence_id long, offset long, ids binary"
-    return dealt.select("doc_id", "size", "ids", "terms", "tf").mapInArrow(_pack(shared, window, shard_tokens), schema).withColumnRenamed("doc_id", id)
+    return dealt.select("doc_id", "size", "ids", "terms", "tf").mapInArrow(_pack(both, window, shard_tokens), schema).withColumnRenamed("doc_id", id)
 
 
 def op2(docs: DataFrame) -> DataFrame:
