@@ -44,11 +44,13 @@ SHARD_TOKENS = 2 << 20
 #: Up to so many shards each has a task of its own, beyond that a task packs some of them in turn.
 MANY_TASKS, SHARDS_OF_TASK = 4000, 64
 K1, B = 1.2, 0.75
-UNIT = float(1 << 20)
+#: Scores are counted in units small enough to order documents and large enough for sums of 32 bits: a score is
+#: under 50 times the mean length of documents, whatever the document's length.
+UNIT = float(1 << 10)
 #: Leading tokens that documents are ordered by.
 LEADING = 3
 #: Tokens in more than a share of 1 / ``DENSE`` of a shard's documents are scored as rows of a matrix.
-DENSE = 4
+DENSE = 12
 
 
 @dataclass
@@ -119,10 +121,12 @@ class ShardIndex:
         number = np.zeros(len(statistics.df), np.int64)
         number[held] = np.arange(self.size)
         terms, docs = number[bags.terms], bags.docs
-        wanted = statistics.df[bags.terms] > 1  # others are in no other document
-        self.queries = np.split(terms[wanted], np.cumsum(np.bincount(docs[wanted], minlength=self.n))[:-1])
+        weights = statistics.weights(bags)
+        wanted = (statistics.df[bags.terms] > 1) & (weights > 0)  # others add nothing to the score of another document
+        terms, docs, weights = terms[wanted], docs[wanted], weights[wanted]
+        self.queries = np.split(terms, np.cumsum(np.bincount(docs, minlength=self.n))[:-1])
         order = np.argsort(terms, kind="stable")
-        self._lists(terms[order], docs[order], statistics.weights(bags)[order], np.arange(self.n))
+        self._lists(terms[order], docs[order], weights[order], np.arange(self.n))
 
     def _lists(self, terms: np.ndarray, docs: np.ndarray, weights: np.ndarray, left: np.ndarray) -> None:
         """``docs`` are places in ``left``."""
@@ -131,7 +135,7 @@ class ShardIndex:
         many = df > max(1, len(left) // DENSE)
         self.row = np.where(many, np.cumsum(many) - 1, -1)
         own = many[terms]
-        self.dense = np.zeros((int(many.sum()), len(left)))
+        self.dense = np.zeros((int(many.sum()), len(left)), np.int32)
         self.dense[self.row[terms[own]], docs[own]] = weights[own]
         self.terms, self.docs, self.weights = terms[~own], docs[~own], weights[~own]
         self.starts = np.append(0, np.cumsum(np.where(many, 0, df)))
@@ -151,11 +155,11 @@ class ShardIndex:
         """Exact scores of the documents in ``left``."""
         terms = self.queries[seed]
         rows = self.row[terms]
-        out = self.dense[rows[rows >= 0]].sum(axis=0)
+        out = np.add.reduce(self.dense[rows[rows >= 0]], axis=0, dtype=np.int32)
         terms = terms[rows < 0]
         at = _ranges(self.starts[terms], self.starts[terms + 1] - self.starts[terms])
         if len(at):
-            out += np.bincount(self.docs[at], weights=self.weights[at], minlength=len(self.left))
+            out += np.bincount(self.docs[at], weights=self.weights[at], minlength=len(self.left)).astype(np.int32)
         return out
 
     def nearest(self, seed: int, used: np.ndarray, unused: int, k: int) -> tuple[np.ndarray, bool]:

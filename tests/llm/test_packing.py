@@ -64,7 +64,7 @@ def by_brute_force(documents, window, corpus=None):
     n, mean = len(corpus), np.mean([len(d) for d in corpus])
     bag = lambda d: dict(zip(*(x.tolist() for x in np.unique(d, return_counts=True)), strict=True))
     df = Counter(t for d in corpus for t in bag(d))
-    weights = [{t: np.rint(2**20 * np.log1p((n - df[t] + 0.5) / (df[t] + 0.5)) * tf * 2.2 / (tf + 1.2 * (0.25 + 0.75 * len(d) / mean))) for t, tf in bag(d).items()} for d in documents]
+    weights = [{t: np.rint(packing.UNIT * np.log1p((n - df[t] + 0.5) / (df[t] + 0.5)) * tf * 2.2 / (tf + 1.2 * (0.25 + 0.75 * len(d) / mean))) for t, tf in bag(d).items()} for d in documents]
     turn = 1 << max(1, len(documents).bit_length())
     unused, order, fill, seed = set(range(len(documents))), [], 0, None
     while unused:
