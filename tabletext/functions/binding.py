@@ -18,6 +18,12 @@ def let(*values_and_body) -> Column:
     return _bind(list(values), [], body)
 
 
+def surplus(found: Column, seen: Column) -> Column:
+    """``found`` without as many of each value as ``seen`` has: a difference of bags, in order."""
+    count = lambda values, x: F.size(F.filter(values, lambda y: y == x))
+    return let(found, seen, lambda found, seen: F.filter(found, lambda x, i: count(F.slice(found, 1, i + 1), x) > count(seen, x)))
+
+
 def _bind(values: list[Column], bound: list[Column], body: Callable[..., Column]) -> Column:
     if not values:
         return body(*bound)

@@ -6,7 +6,7 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 from . import temporal
-from .binding import let
+from .binding import let, surplus
 
 #: Identifiers with digits, codes that start with a digit, addresses of machines, phone and card shapes.
 IDENTIFIERS = (
@@ -49,12 +49,13 @@ def normalise_number(s: Column, context: Column | None = None) -> Column:
 def parse_numbers(text: Column, masked: bool = False, tagger: Column | None = None) -> Column:
     """All number mentions of a text in order.
 
-    ``tagger`` holds surfaces that a trained recogniser found; those that the patterns miss join in.
+    ``tagger`` holds surfaces that a trained recogniser found; those that the patterns miss join in, counted as
+    bags: what both found once is there once, what the tagger found once more is there once more.
     """
     source = text if masked else mask_non_numeric(text)
     surfaces = F.regexp_extract_all(source, F.lit(PATTERN), F.lit(0))
     if tagger is not None:
-        surfaces = F.concat(surfaces, F.array_except(tagger, surfaces))
+        surfaces = let(surfaces, tagger, lambda own, more: F.concat(own, surplus(more, own)))
     found = F.filter(F.transform(surfaces, lambda s: normalise_number(s)), lambda m: m["value"].isNotNull())
     return F.coalesce(found, F.expr(f"cast(array() as {MENTIONS})"))
 

@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-from .binding import let
+from .binding import let, surplus
 
 MONTH = r"(?:January|February|March|April|May|June|July|August|September|October|November|December)"
 #: Longest first.  A bare year counts only after a word that says it is one.
@@ -76,9 +76,8 @@ def parse_dates(text: Column, primary: Column | None = None, anchor: Column | No
         found = F.filter(F.transform(surfaces, normalise_date), lambda m: m["value"].isNotNull())
     else:
         resolved = F.transform(primary, lambda m: let(normalise_date(m["text"]), lambda n: F.struct(F.coalesce(m["value"], n["value"]).alias("value"), F.coalesce(m["type"], n["type"]).alias("type"), m["text"].alias("text"))))
-        # what the primary parser did not see at all comes from the rules
-        seen = F.transform(primary, lambda m: m["text"])
-        rest = F.transform(F.filter(surfaces, lambda s: ~F.array_contains(seen, s)), normalise_date)
+        # what the primary parser did not see, or saw less often, comes from the rules
+        rest = F.transform(surplus(surfaces, F.transform(primary, lambda m: m["text"])), normalise_date)
         found = F.filter(F.concat(resolved, rest), lambda m: m["value"].isNotNull())
     if anchor is not None:
         phrases = F.regexp_extract_all(text, F.lit(FOLLOWING), F.lit(0))

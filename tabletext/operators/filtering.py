@@ -3,9 +3,9 @@
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ..storage import written
 from .validation import METRICS
 
 TAUS = ("1.00", "0.95", "0.90", "0.85", "0.80", "0.75", "0.70")
@@ -40,7 +40,11 @@ def filter_reports(v: DataFrame, kind: str, tau: str | float, on: str = "either"
 
 
 def filter_weakest(v: DataFrame, tau: str | float, by: str = "dataset", on: str = "either", undefined: str = "pass") -> DataFrame:
-    """Each dataset is filtered on its own weakest metric; the choice is a row a dataset."""
+    """Each dataset is filtered on its own weakest metric; the choice is a row a dataset.
+
+    The scores are read twice, for the choice and for the filter, so they are written before.
+    """
+    v = written(v, "scores")
     weakest = weakest_metric(v, by).select(F.col(by).alias("__by"), F.split("metric", "_")[0].alias("__kind"))
     joined = v.join(F.broadcast(weakest), F.col(by) == F.col("__by"), "left")
     score = F.when(F.col("__kind") == "numeric", score_of("numeric", on, undefined)).otherwise(score_of("temporal", on, undefined))
@@ -56,22 +60,13 @@ def reweigh(v: DataFrame, by: str = "dataset") -> DataFrame:
 def tau_sweep(v: DataFrame, kind: str = "temporal", taus: tuple[str, ...] = TAUS, by: str = "dataset", on: str = "either", undefined: str = "pass", include_unfiltered: bool = True) -> DataFrame:
     """by, tau, n_reports, retained_share and the mean of each metric on what each threshold keeps.
 
-    One scan: each report goes to the highest threshold that it passes, sums are taken there, and a
-    window of as many rows as there are thresholds adds them up.
+    One scan and one aggregation: counts and sums of every threshold side by side, a row a dataset.
     """
     score = score_of(kind, on, undefined).cast("decimal(9,6)")
-    ladder = [F.lit(t).cast("decimal(9,6)") for t in taus]
-    place = F.lit(len(taus))
-    for i in range(len(taus) - 1, -1, -1):
-        place = F.when(score >= ladder[i], F.lit(i)).otherwise(place)
-    sums = v.groupBy(by, place.alias("place")).agg(F.count("*").alias("n"), *(e for m in METRICS for e in (F.sum(m).alias(f"s_{m}"), F.count(m).alias(f"n_{m}"))))
-    # each dataset gets a row for every threshold, also where no report stops there
-    steps = v.sparkSession.range(len(taus) + 1).select(F.col("id").cast("int").alias("place"))
-    grid = sums.select(by).distinct().crossJoin(F.broadcast(steps))
-    full = grid.join(sums, [by, "place"], "left")
-    up, all_ = W.partitionBy(by).orderBy("place"), W.partitionBy(by)
-    kept = F.coalesce(F.sum("n").over(up), F.lit(0))
-    rows = full.select(by, "place", kept.alias("n_reports"), F.try_divide(kept.cast("double"), F.sum("n").over(all_).cast("double")).alias("retained_share"), *(F.try_divide(F.sum(f"s_{m}").over(up), F.sum(f"n_{m}").over(up)).alias(f"avg_{m}") for m in METRICS))
-    tau = F.element_at(F.array(*(F.lit(t).cast("decimal(3,2)") for t in (*taus, "0.00"))), F.col("place") + 1)
-    rows = rows if include_unfiltered else rows.where(F.col("place") < len(taus))
-    return rows.select(by, tau.alias("tau"), "n_reports", "retained_share", *(f"avg_{m}" for m in METRICS))
+    steps = [(t, score >= F.lit(t).cast("decimal(9,6)")) for t in taus] + ([("0.00", F.lit(True))] if include_unfiltered else [])
+    rows = []
+    for t, passed in steps:
+        n = F.count_if(passed)
+        means = [F.avg(F.when(passed, F.col(m))).alias(f"avg_{m}") for m in METRICS]
+        rows.append(F.struct(F.lit(t).cast("decimal(3,2)").alias("tau"), n.alias("n_reports"), F.try_divide(n.cast("double"), F.count("*").cast("double")).alias("retained_share"), *means))
+    return v.groupBy(by).agg(F.array(*rows).alias("rows")).select(by, F.inline("rows"))

@@ -105,8 +105,16 @@ def passage(row_id: Column, kind: ReportType, fields: dict[str, T.StructField],
     return F.concat_ws(" ", opening, *sentences)
 
 
-def generate(df: DataFrame, plan: Plan, style: RenderStyle = RenderStyle(), dataset: str | None = None) -> DataFrame:
-    """dataset, table_name, report_type, row_id, cells, text: a row for each row and report type, one scan."""
+def generate(df: DataFrame, plan: Plan, style: RenderStyle = RenderStyle(), dataset: str | None = None, backend=None) -> DataFrame:
+    """dataset, table_name, report_type, row_id, cells, text: a row for each row and report type, one scan.
+
+    With a backend (``CachedCalls``) a model writes the texts, from the planned cells of one row alone;
+    a report that it failed to write is left out.
+    """
+    if backend is not None:
+        from ..plans import roles
+
+        return roles.write_texts(generate(df, plan, style, dataset).drop("text"), backend).where("text is not null").select("dataset", "table_name", "report_type", "row_id", "cells", "text")
     fields = {f.name: f for f in df.schema.fields}
     reports = [
         F.struct(F.lit(t.name).alias("report_type"), F.array(*(cell(fields[c.name], style) for c in t.columns)).alias("cells"), passage(F.col("row_id"), t, fields, style).alias("text"))
@@ -157,9 +165,28 @@ def _like(subject: Column, value: Column) -> Column:
     return F.when(subject["kind"] == "ratio", F.concat(F.format_number(F.round(value * 100, 2), 2), F.lit("%"))).otherwise(plain)
 
 
+FURTHER = {5: "repeat", 6: "near", 7: "shuffle"}
+
+
+def corrupt_further(reports: DataFrame, code: Column) -> DataFrame:
+    """``corrupt`` with three more kinds, by a number modulo 8: the first sentence repeated at the end, an estimate
+    within the tolerance of the true number added beside it, or the sentences put in another order.  Ways of
+    counting (with repetitions or not, one to one or not) and coherence differ on these."""
+    subject = F.try_element_at(F.filter("cells", lambda c: c["num"].isNotNull() & c["kind"].isin("money", "quantity", "ratio")), F.lit(1))
+    out = corrupt(reports, code)
+    kind = F.when(code == 5, "repeat").when((code == 6) & subject.isNotNull(), "near").when(code == 7, "shuffle").otherwise(F.col("damage"))
+    again = F.concat_ws(" ", "text", F.element_at(sentences(F.col("text")), 1))
+    near = F.concat(F.col("text"), F.lit(" An estimate is "), _like(subject, subject["num"] * F.lit(1.0005).cast("decimal(6,4)")), F.lit("."))
+    return out.withColumn("damage", kind).withColumn("text", F.when(F.col("damage") == "repeat", again).when(F.col("damage") == "near", near).when(F.col("damage") == "shuffle", _shuffled(F.col("text"))).otherwise(F.col("text")))
+
+
+def _shuffled(text: Column) -> Column:
+    return F.array_join(F.transform(F.array_sort(F.transform(sentences(text), lambda s: F.struct(F.md5(s).alias("k"), s.alias("s")))), lambda x: x["s"]), " ")
+
+
 def shuffle_sentences(reports: DataFrame) -> DataFrame:
     """Sentences in the order of their digests: nothing but coherence suffers."""
-    return reports.withColumn("text", F.array_join(F.transform(F.array_sort(F.transform(sentences(F.col("text")), lambda s: F.struct(F.md5(s).alias("k"), s.alias("s")))), lambda x: x["s"]), " "))
+    return reports.withColumn("text", _shuffled(F.col("text")))
 
 
 def mix_rows(reports: DataFrame, every: int = 2) -> DataFrame:

@@ -49,9 +49,9 @@ def _label(name: Column) -> Column:
 
 
 def claims(text: Column, cells: Column) -> Column:
-    """Structs pos, text, supported, contradicted, ungrounded, reason: a sentence each."""
+    """Structs pos, text, supported, contradicted, ungrounded, reason, numbers, dates (the mentions): a sentence each."""
 
-    def judged(s, i, numbers, dates, known, days):
+    def verdict(s, i, n, d, numbers, dates, known, days):
         loose = F.exists(numbers, lambda n: ~F.exists(known, lambda c: fidelity.within(c, n))) | F.exists(dates, lambda d: ~F.array_contains(days, d))
         loose = loose & ~s.rlike(ATTRIBUTION)
         named = lambda c: s.contains(F.concat(F.lit(" "), _label(c["name"]), F.lit(" ")))
@@ -63,17 +63,17 @@ def claims(text: Column, cells: Column) -> Column:
             .otherwise(F.lit(False)),
         )
         reason = lambda wrong, loose: F.when(wrong, "a named cell has another value").when(loose, "a mention is in no cell").otherwise("all mentions are in cells")
-        return let(wrong, loose, lambda w, x: F.struct(i.alias("pos"), s.alias("text"), (~x & ~w).alias("supported"), w.alias("contradicted"), x.alias("ungrounded"), reason(w, x).alias("reason")))
+        return let(wrong, loose, lambda w, x: F.struct(i.alias("pos"), s.alias("text"), (~x & ~w).alias("supported"), w.alias("contradicted"), x.alias("ungrounded"), reason(w, x).alias("reason"), n.alias("numbers"), d.alias("dates")))
 
     def one(s: Column, i: Column, known: Column, days: Column) -> Column:
-        return let(numeric.values(numeric.parse_numbers(s)), temporal.values(temporal.parse_dates(s)), lambda n, d: judged(s, i, n, d, known, days))
+        return let(numeric.parse_numbers(s), temporal.parse_dates(s), lambda n, d: let(numeric.values(n), temporal.values(d), lambda ns, ds: verdict(s, i, n, d, ns, ds, known, days)))
 
     return let(numeric.truth_numbers(cells), temporal.truth_dates(cells), lambda known, days: F.transform(sentences(text), lambda s, i: one(s, i, known, days)))
 
 
 def claim_table(reports: DataFrame) -> DataFrame:
     keys = [c for c in reports.columns if c not in ("cells", "text")]
-    return reports.select(*keys, F.inline(claims(F.col("text"), F.col("cells"))).alias("pos", "claim", "supported", "contradicted", "ungrounded", "reason"))
+    return reports.select(*keys, F.inline(claims(F.col("text"), F.col("cells"))).alias("pos", "claim", "supported", "contradicted", "ungrounded", "reason", "numbers", "dates")).drop("numbers", "dates")
 
 
 def _share(claims: Column, bad: str) -> Column:
@@ -97,12 +97,10 @@ def judge_hallucination(text: Column, cells: Column) -> Column:
     return rubric_level(_share(claims(text, cells), "ungrounded"))
 
 
-def judge_factuality(text: Column, cells: Column, grounding: str = "source", backend=None) -> Column:
-    """Against the source row; judging by general knowledge needs a model."""
-    if grounding == "world":
-        if backend is None:
-            raise ValueError("judging by general knowledge needs a model backend")
-        return backend.judge_column("factuality", text)
+def judge_factuality(text: Column, cells: Column, grounding: str = "source") -> Column:
+    """Against the source row; judging by general knowledge needs a model (``plans.roles.judge_texts``)."""
+    if grounding != "source":
+        raise ValueError("judging by general knowledge needs a model backend")
     return rubric_level(_share(claims(text, cells), "contradicted"))
 
 
@@ -111,14 +109,19 @@ def judge_coherence(text: Column, cells: Column) -> Column:
 
 
 def judge(text: Column, cells: Column) -> Column:
-    """All three scores with their shares, the claims, the overall mean and the self-consistency flag."""
+    """All three scores, the overall mean, the supported share of claims and the self-consistency flag."""
+    return judged(claims(text, cells), text, cells)
+
+
+def judged(found: Column, text: Column, cells: Column) -> Column:
+    """``judge`` from the claims of the text."""
 
     def scored(found):
         supported = F.size(F.filter(found, lambda x: x["supported"])) / F.size(found)
         levels = (rubric_level(_share(found, "contradicted")), rubric_level(_share(found, "ungrounded")), judge_coherence(text, cells), supported)
         return let(*levels, lambda f, h, c, s: F.struct(f.alias("factuality"), h.alias("hallucination"), c.alias("coherence"), text_quality(f, h, c).alias("overall"), s.alias("supported_share"), self_consistency(F.least(f, h), s).alias("consistent")))
 
-    return let(claims(text, cells), scored)
+    return let(found, scored)
 
 
 def text_quality(factuality: Column, hallucination: Column, coherence: Column) -> Column:

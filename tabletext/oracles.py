@@ -37,7 +37,8 @@ ORDER_FACTS = f"""select o_orderkey as order_key, c_name as customer, c_mktsegme
  o_orderstatus as status, o_orderpriority as priority, cast(o_orderkey as varchar) as row_id from orders join customer on o_custkey = c_custkey"""
 ORDER_NULLS = f"select * replace (case when order_key % 7 <> 0 then total_price end as total_price, case when order_key % 11 <> 0 then order_date end as order_date) from ({ORDER_FACTS})"
 PART_CATALOG = f"select p_partkey as part_key, p_name as part_name, p_brand as brand, p_type as type, p_size as size, cast(p_retailprice + 0.0 as {D}) as retail_price, cast(p_partkey as varchar) as row_id from part"
-_LINE_ID = "md5(concat_ws('|', l_orderkey, l_partkey, l_suppkey, l_linenumber, cast(l_quantity + 0.0 as {0}), cast(l_extendedprice + 0.0 as {0}), cast(l_discount + 0.0 as {0}), cast(l_tax + 0.0 as {0}), l_returnflag, l_linestatus, strftime(l_shipdate, '%Y-%m-%d %H:%M:%S')))".format(D)
+_LINE = ("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus")
+_LINE_ID = "md5(" + " || ".join(f"length(cast({c} as varchar)) || ':' || cast({c} as varchar)" for c in _LINE) + " || '26:' || strftime(l_shipdate, '%Y-%m-%d %H:%M:%S.%f'))"
 LINE_IDS = f"select *, case when row_number() over (partition by digest) = 1 then digest else digest || '-' || row_number() over (partition by digest) end as row_id from (select *, {_LINE_ID} as digest from lineitem)"
 LINE_FACTS = f"""select l_orderkey as order_key, l_partkey as part_key, cast(l_quantity + 0.0 as {D}) as quantity, cast(l_extendedprice + 0.0 as {D}) as extended_price, cast(l_discount + 0.0 as {D}) as discount,
  cast(l_tax + 0.0 as {D}) as tax, cast(l_shipdate as date) as ship_date, p_brand as brand, row_id from ({LINE_IDS}) join part on l_partkey = p_partkey"""
@@ -250,10 +251,10 @@ def build() -> dict[str, str]:
     out["reports_lines"] = f"select row_id, {text_of(DECLARED['line_facts'].types[0])} as text from ({LINE_FACTS})"
     price = surface("total_price")
     altered = lambda by: f"replace(text, ' ' || {price}, ' $' || format('{{:,.2f}}', cast(cast(floor(({by}) * 100 + 0.5) as decimal(20,0)) / 100 as double)))"
-    out["reports_corrupted"] = f"""select row_id, damage, case damage when 'stray_year' then text || ' These figures close the fiscal year 2024.'
+    out["reports_corrupted"] = f"""select report_type, row_id, damage, case damage when 'stray_year' then text || ' These figures close the fiscal year 2024.'
  when 'drop' then regexp_replace(text, ' Its total price [^$]*\\$[0-9,]+\\.[0-9][0-9]\\.', '')
  when 'beyond' then {altered('total_price * 1.01 + 1')} when 'within' then {altered('total_price * 1.0005')} else text end as text
- from ({DAMAGED}) join (select row_id, total_price from ({ORDER_FACTS})) using (row_id) where report_type = 'order_value'"""
+ from ({DAMAGED}) join (select row_id, total_price from ({ORDER_FACTS})) using (row_id)"""
     none = f"cast(null as {D})"
     cells = [("pricing", "part_key", "integer", f"cast(part_key as {D})"), ("pricing", "part_name", "text", none), ("pricing", "retail_price", "money", "retail_price"), ("pricing", "size", "integer", f"cast(size as {D})"), ("description", "part_key", "integer", f"cast(part_key as {D})"), ("description", "part_name", "text", none), ("description", "brand", "text", none), ("description", "type", "text", none)]
     out["report_cells"] = " union all ".join(f"select '{t}' as report_type, row_id, '{c}' as name, '{k}' as kind, {surface(c)} as surface, {n} as num from ({PART_CATALOG})" for t, c, k, n in cells)
@@ -300,8 +301,9 @@ def build() -> dict[str, str]:
     out["retention_window"] = f"{scored}, t as ({_sweep('least(numeric_p, numeric_r)', False)}) select dataset, tau, n_reports, n_reports - coalesce(lag(n_reports) over (order by tau desc), 0) as added, cast(rank() over (order by tau desc) as integer) as step from t"
 
     out["inferred_columns"] = "select * from (values ('order_value', 'customer'), ('order_value', 'order_key'), ('order_value', 'total_price'), ('order_value', 'order_date'), ('order_handling', 'customer'), ('order_handling', 'order_key'), ('order_handling', 'status'), ('order_handling', 'priority'), ('order_handling', 'segment'), ('order_handling', 'order_date')) as v(report_type, \"column\")"
-    out["extracted_values"] = f"select row_id, cast(order_key as varchar) as order_key, customer, {price} as total_price, {surface('order_date')} as order_date from ({ORDER_FACTS})"
-    out["extracted_oracle_schema"] = f"select row_id, cast(order_key as varchar) as order_key, customer, status, priority, segment from ({ORDER_FACTS})"
+    both = lambda c, value, types: f"case when report_type in ({types}) then {value} end as {c}"
+    named = ", ".join(both(c, v, t) for c, v, t in (("total_price", price, "'order_value'"), ("order_date", surface("order_date"), "'order_value', 'order_handling'"), ("status", "status", "'order_handling'"), ("priority", "priority", "'order_handling'"), ("segment", "segment", "'order_handling'")))
+    out["extracted_values"] = out["extracted_oracle_schema"] = f"select report_type, row_id, cast(order_key as varchar) as order_key, customer, {named} from ({ORDER_FACTS}), (values ('order_value'), ('order_handling')) as t(report_type)"
     out["extraction_malformed"] = f"select id, a, id not in (1, 6) as is_corrupt from {_rows([(i, a) for i, _, a in MALFORMED], 'id, a')}"
     sim = "case when lower(truth) = lower(pred) then 1 else 1 - levenshtein(lower(truth), lower(pred)) / greatest(length(truth), length(pred)) end"
     pairs = f"(select t as truth, p as pred from {_rows([(x,) for x in TRUTH_NAMES], 't')}, (select * from {_rows([(x,) for x in PRED_NAMES], 'p')}))"
@@ -316,8 +318,8 @@ def build() -> dict[str, str]:
     out["column_matching_greedy"] = f"select solver, cast(total as {R}) as total from (values ('greedy', 1.0), ('exact', 1.6)) as v(solver, total)"
     out["best_candidates"] = f"select truth, cast(rank as integer) as rank, pred from (select truth, pred, row_number() over (partition by truth order by {sim} desc, pred) as rank from {pairs}) where rank <= 2"
     out["value_scores"] = f"select report_type, row_id, case when report_type = 'order_value' then 4 else 6 end as n_truth, case when report_type = 'order_value' then 4 else 6 end as n_pred, cast(1 as {R}) as p, cast(1 as {R}) as r, cast(1 as {R}) as f1 from ({reports(ORDER_FACTS, ORDERS)})"
-    out["embedding_token_match"] = """with u as (select label, vec_id, row_number() over (partition by label order by vec_id) as turn, list_transform(embedding, lambda x: cast(x as double)) as e from embeddings),
- v as (select label, vec_id, list_transform(e, lambda x: x / sqrt(list_sum(list_transform(e, lambda y: y * y)))) as e from u where turn <= 8),
+    out["embedding_token_match"] = """with u as (select label, vec_id, list_transform(embedding, lambda x: cast(x as double)) as e from embeddings),
+ v as (select label, vec_id, list_transform(e, lambda x: x / sqrt(list_sum(list_transform(e, lambda y: y * y)))) as e from u),
  c as (select a.label as label_a, b.label as label_b, a.vec_id as va, b.vec_id as vb, list_dot_product(a.e, b.e) as cosine from v a join v b on a.label < b.label),
  p as (select label_a, label_b, avg(best) as p from (select label_a, label_b, va, max(cosine) as best from c group by 1, 2, 3) group by 1, 2),
  r as (select label_a, label_b, avg(best) as r from (select label_a, label_b, vb, max(cosine) as best from c group by 1, 2, 3) group by 1, 2)
@@ -338,16 +340,23 @@ def build() -> dict[str, str]:
     out["model_grid"] = " union all ".join(f"select '{b}' as backend_id, {one} as numeric_p, {one} as numeric_r, {late if b == 'short_dates' else one} as temporal_p, {late if b == 'short_dates' else one} as temporal_r, 2 * count(*) as n from orders" for b in ("long_dates", "short_dates", "iso_fixed", "magnitudes"))
 
     out["text_as_table"] = f"select customer, cast(sum(total_price) as decimal(24,2)) as total, count(*) as n_orders from ({ORDER_FACTS}) group by customer"
-    out["keyword_vs_table"] = f"select row_id from ({ORDER_FACTS}) where segment = 'BUILDING' and priority = '1-URGENT'"
+    out["keyword_vs_table"] = f"select 'order_handling' as report_type, row_id from ({ORDER_FACTS}) where segment = 'BUILDING' and priority = '1-URGENT'"
     counted = lambda i, t: f"select cast({i} as varchar) as id, len(list_filter({surfaces_in(t)}, lambda s: try_cast(replace(regexp_extract(s, {_q(numeric._DIGITS)}), ',', '') as {D}) is not null)) as n_numbers, len(regexp_extract_all({t}, {_q(temporal.PATTERN)})) as n_dates"
     out["html_mentions"] = f"{counted('page_id', 't')} from (select page_id, {strip_html('html')} as t from pages)"
     out["conversation_mentions"] = f"{counted('i', 't')} from (select conv_id || '-' || turn as i, text as t from conversations)"
     out["orders_without_items"] = "select o_orderkey from orders where o_orderkey not in (select l_orderkey from lineitem)"
-    out["tolerance_join"] = f"""with a as (select o_orderkey as a, cast(o_totalprice as {D}) as x from orders where o_orderkey % 10 = 0), b as (select l_orderkey as b, cast(max(l_extendedprice) as {D}) as y from lineitem where l_orderkey % 10 = 1 group by 1)
- select a, count(*) as n, min(b) as least from a join b on abs(x - y) <= abs(x) * 0.001 group by a"""
+    out["tolerance_join"] = f"""with a as (select o_orderkey as a, cast(o_totalprice as {D}) as x from orders), b as (select l_orderkey as b, cast(max(l_extendedprice) as {D}) as y from lineitem group by 1)
+ select a, count(*) as n, min(b) as least from a join b on y >= x - abs(x) * 0.001 and y <= x + abs(x) * 0.001 group by a"""
+    out["text_and_keyword"] = f"select customer, cast(2 * count(*) as bigint) as n_by_value, cast(2 * count(*) as bigint) as n_by_keyword from ({ORDER_FACTS}) group by customer"
     out["sketch_profile"] = "select * from (values ('order_key', true), ('total_price', true)) as v(\"column\", \"any\")"
     out["stream_reports"] = "select 'pricing' as report_type, cast(p_partkey as varchar) as row_id, 3 as numeric_tp, 0 as numeric_fp, 0 as numeric_fn from part union all select 'description', cast(p_partkey as varchar), 1, 0, 0 from part"
     out["windowed_fidelity"] = "select date_trunc('day', ts)::timestamp as start, count(*) as n, cast(2 * count(*) as bigint) as tp, cast(0 as bigint) as fp, cast(0 as bigint) as fn from events group by 1"
     out["session_fidelity"] = "with g as (select user_id, ts, case when ts - lag(ts) over (partition by user_id order by ts) < interval 6 hours then 0 else 1 end as fresh from events) select user_id as entity, cast(sum(fresh) as bigint) as sessions, count(*) as n from g group by 1"
+    sample = f"select * from ({PART_CATALOG}) order by md5(row_id), row_id limit 10"
+    texts = ", ".join(f"('{c}', {i}, (select count(distinct {c}) >= 0.95 * count(*) from s), 'attribute')" for i, c in enumerate(("part_name", "brand", "type"), 2))
+    out["plans_enumerated"] = f"""with s as ({sample}), c as (select * from (values ('part_key', 1, true, ''), ('size', 5, false, 'metric'), ('retail_price', 6, false, 'metric'), {texts}) as v("column", nth, is_id, role)),
+ i as (select "column", row_number() over (order by nth) as position from c where is_id)
+ select t."column" as report_type, cast(i.position as integer) as position, i."column", 'identifier' as role from c t, i where not t.is_id
+ union all select "column", cast((select count(*) + 1 from i) as integer), "column", role from c where not is_id"""
     out["plans_single_type"] = _plan_rows([("all", i + 1, c, r) for i, (c, r) in enumerate(single)], names)
     return out

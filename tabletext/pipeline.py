@@ -7,10 +7,10 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, SparkSession
 
 from .operators import extraction, filtering, generation, matching, scoring
-from .operators.validation import validate
+from .operators.validation import validate, validate_with
 from .plans.planning import Plan
 from .sources import sinks, tables
-from .workloads import plan_for, truth_columns
+from .workloads import plan_for
 
 
 @dataclass
@@ -23,22 +23,25 @@ class Benchmark:
     values: DataFrame
 
 
-def benchmark_table(spark: SparkSession, df: DataFrame, name: str, plan: Plan | None = None, tau: str = "0.90", style: generation.RenderStyle = generation.RenderStyle(), path: str | None = None) -> Benchmark:
-    """With a path, reports and validation are written between the stages and read again."""
+def benchmark_table(spark: SparkSession, df: DataFrame, name: str, plan: Plan | None = None, tau: str = "0.90", style: generation.RenderStyle = generation.RenderStyle(), path: str | None = None, backend=None, grounding: str = "source") -> Benchmark:
+    """With a path, reports and validation are written between the stages and read again.
+
+    With a backend (``CachedCalls``) a model plans, writes, judges, reads dates, names columns and extracts.
+    """
     if "row_id" not in df.columns:
         df = tables.with_row_id(df)
-    plan = plan or plan_for(df, name)
-    reports = generation.generate(df, plan, style)
+    plan = plan or plan_for(df, name, backend.backend if backend else None)
+    reports = generation.generate(df, plan, style, backend=backend)
     if path:
         sinks.write_reports(reports, f"{path}/reports")
         reports = spark.read.schema(reports.schema).parquet(f"{path}/reports").select(*reports.columns)
-    v = validate(reports)
+    v = validate(reports) if backend is None else validate_with(reports, backend, grounding)
     if path:
         v.write.mode("overwrite").parquet(f"{path}/validation")
         v = spark.read.schema(v.schema).parquet(f"{path}/validation")
     retained = filtering.filter_weakest(v, tau)
     kept = reports.join(retained.select(*scoring.KEYS, "row_id"), [*scoring.KEYS, "row_id"], "left_semi")
-    schema = extraction.infer_schema(extraction.sample_reports(kept))
-    truth = truth_columns(kept)
+    schema = extraction.infer_schema(extraction.sample_reports(kept), backend=backend)
+    truth = extraction.oracle_schema(kept) if "table_name" in df.columns else extraction.planned_schema(spark, plan)
     mapping = matching.match_columns(matching.name_matrix(truth, schema))
-    return Benchmark(plan, reports, v, retained, scoring.score_columns(mapping, truth, schema), scoring.score_values(extraction.extract(kept, schema), mapping))
+    return Benchmark(plan, reports, v, retained, scoring.score_columns(mapping, truth, schema), scoring.score_values(extraction.extract(kept, schema, backend), mapping))

@@ -1,13 +1,12 @@
 """Language models behind one interface, with a cache of answers.
 
 Every role of a model (plan, generate, judge, dates, schema, extract) is a request, which is JSON, and
-an answer.  ``CachedCalls`` looks requests up by digest, asks for each distinct miss once, stores the
+an answer, which is JSON as well (``plans/roles.py`` has the requests and reads the answers).  ``CachedCalls`` looks requests up by digest, asks for each distinct miss once, stores the
 answers before anything uses them, and joins them back: a retried task or a second run asks nothing.
 """
 
 from __future__ import annotations
 
-import hashlib
 import json
 import time
 from collections.abc import Callable, Iterator
@@ -17,12 +16,18 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..storage import written
+
 CACHE = "key string, role string, backend_id string, request string, response string, error string"
 
 
 @dataclass
 class CallableBackend:
-    """A model as a function from role and request to an answer.  Decoding is deterministic: temperature 0."""
+    """A model as a function from role and request to an answer.
+
+    Decoding is deterministic at temperature 0; the temperature is part of every request's key, so answers
+    of one setting are never taken for those of another.
+    """
 
     backend_id: str
     call: Callable[[str, str], str]
@@ -60,7 +65,7 @@ class CallableBackend:
                             error = None
                             break
                         except Exception as e:  # a model's failure is a row's, not the job's
-                            error = f"{type(e).__name__}: {e}"
+                            answer, error = None, f"{type(e).__name__}: {e}"
                             time.sleep(wait * 2**turn)
                     answers.append(answer)
                     errors.append(error)
@@ -69,11 +74,16 @@ class CallableBackend:
         return run
 
 
-def cache_key(role, backend_id, request):
-    return F.md5(F.concat_ws("\u0001", role, backend_id, request))
+def cache_key(role, backend_id, temperature, request):
+    return F.md5(F.to_json(F.struct(role.alias("role"), backend_id.alias("backend"), temperature.alias("temperature"), request.alias("request"))))
 
 
 class CachedCalls:
+    """Answers for a column of requests: those that the cache has, and one call for each distinct other.
+
+    An answer is kept for good; a failure is kept as a record alone and asked for again by the next run.
+    """
+
     def __init__(self, spark: SparkSession, backend: CallableBackend, path: str, partitions: int | None = None):
         self.spark, self.backend, self.path, self.partitions = spark, backend, path, partitions
 
@@ -86,20 +96,22 @@ class CachedCalls:
     def answers(self, df: DataFrame, role: str, request) -> DataFrame:
         """``df`` with ``response``, ``error`` and ``cached``."""
         b = self.backend
-        keyed = df.withColumn("__request", request).withColumn("__key", cache_key(F.lit(role), F.lit(b.backend_id), F.col("__request")))
-        known = self.cache().select("key").distinct()
-        misses = keyed.select(F.col("__key").alias("key"), F.col("__request").alias("request")).join(known, "key", "left_anti").dropDuplicates(["key"])
+        key = cache_key(F.lit(role), F.lit(b.backend_id), F.lit(float(b.temperature)), F.col("__request"))
+        keyed = df.withColumn("__request", request).withColumn("__key", key)
+        known = written(self.cache().where("error is null").select(F.col("key").alias("__old")).distinct(), "known-answers")
+        wanted = keyed.select(F.col("__key").alias("key"), F.col("__request").alias("request"))
+        misses = wanted.join(known, F.col("key") == F.col("__old"), "left_anti").dropDuplicates(["key"])
         if self.partitions:
             misses = misses.repartition(self.partitions, "key")
         asked = misses.withColumn("role", F.lit(role)).withColumn("backend_id", F.lit(b.backend_id)).select("key", "role", "backend_id", "request")
         asked.mapInPandas(b.map_batches(role), CACHE).write.mode("append").parquet(self.path)
-        fresh = known.select(F.col("key").alias("__old"))
-        stored = self.cache().groupBy("key").agg(F.first("response").alias("response"), F.first("error").alias("error"))
-        return keyed.join(stored, F.col("__key") == F.col("key"), "left").join(fresh, F.col("__key") == F.col("__old"), "left").withColumn("cached", F.col("__old").isNotNull()).drop("__request", "__key", "key", "__old")
-
-
-def request_digest(role: str, backend_id: str, request: dict) -> str:
-    return hashlib.md5("\u0001".join((role, backend_id, json.dumps(request, sort_keys=True))).encode()).hexdigest()
+        # an answer before a failure, and of several answers always the same.  Written, because scans of one path
+        # count as equal in a plan whatever files they list: a later call's answers would be taken for these
+        stored = self.cache().join(wanted.select("key").distinct(), "key", "left_semi").groupBy("key").agg(F.min(F.struct(F.col("error").isNotNull().alias("failed"), "response", "error")).alias("__a"))
+        stored = written(stored, "answers")
+        joined = keyed.join(stored, F.col("__key") == F.col("key"), "left").join(known, F.col("__key") == F.col("__old"), "left")
+        out = joined.withColumn("response", F.when(~F.col("__a.failed"), F.col("__a.response"))).withColumn("error", F.col("__a.error")).withColumn("cached", F.col("__old").isNotNull())
+        return out.drop("__request", "__key", "key", "__old", "__a")
 
 
 def run_grid(spark: SparkSession, backends: dict[str, Callable[[], DataFrame]]) -> DataFrame:

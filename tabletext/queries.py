@@ -45,6 +45,11 @@ def damaged_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
     return generation.corrupt(orders(spark, sf_dir), F.pmod(F.col("row_id").cast("long"), F.lit(5)))
 
 
+def damaged_further(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Order reports with all kinds of damage, by their key modulo 8."""
+    return generation.corrupt_further(orders(spark, sf_dir), F.pmod(F.col("row_id").cast("long"), F.lit(8)))
+
+
 def scored_orders(spark: SparkSession, sf_dir: str, judges: bool = False) -> DataFrame:
     return validate(damaged_orders(spark, sf_dir), judges)
 
@@ -153,7 +158,7 @@ def q_plans_enumerated(spark, sf_dir):
 
 @query
 def q_plan_stability(spark, sf_dir):
-    return planning.plan_stability(tables.order_facts(spark, sf_dir), "order_facts", (5, 10, 20))
+    return wl.wl_plan_ablation(spark, sf_dir).withColumn("similarity", exact("similarity"))
 
 
 @query
@@ -196,7 +201,7 @@ def q_reports_template(spark, sf_dir):
 
 @query
 def q_reports_corrupted(spark, sf_dir):
-    return damaged_orders(spark, sf_dir).where("report_type = 'order_value'").select("row_id", "damage", "text")
+    return damaged_orders(spark, sf_dir).select("report_type", "row_id", "damage", "text")
 
 
 @query
@@ -225,7 +230,7 @@ def q_numbers_masked(spark, sf_dir):
 
 
 def _numeric(spark, sf_dir, mode):
-    r = damaged_orders(spark, sf_dir)
+    r = damaged_further(spark, sf_dir)
     found = fidelity.match_numbers(numeric.truth_numbers(F.col("cells")), numeric.values(numeric.parse_numbers(F.col("text"))), mode)
     return flat(r.select("report_type", "row_id", found.alias("m")), "m", "report_type", "row_id")
 
@@ -319,7 +324,7 @@ def q_dates_primary_fallback(spark, sf_dir):
 
 @query
 def q_temporal_fidelity(spark, sf_dir):
-    return flat(scored_orders(spark, sf_dir), "temporal", "report_type", "row_id")
+    return flat(validate(damaged_further(spark, sf_dir), judges=False), "temporal", "report_type", "row_id")
 
 
 @query
@@ -339,13 +344,13 @@ def q_temporal_granular(spark, sf_dir):
 
 @query
 def q_claims_supported(spark, sf_dir):
-    c = judging.claim_table(damaged_orders(spark, sf_dir))
+    c = judging.claim_table(damaged_further(spark, sf_dir))
     return c.groupBy("report_type", "row_id").agg(F.count("*").alias("n_claims"), F.count_if("supported").alias("n_supported"), F.count_if("contradicted").alias("n_contradicted"), F.count_if("ungrounded").alias("n_ungrounded"))
 
 
 @query
 def q_judge_scores(spark, sf_dir):
-    v = scored_orders(spark, sf_dir, judges=True)
+    v = validate(damaged_further(spark, sf_dir))
     return v.select("report_type", "row_id", "judge.factuality", "judge.hallucination", "judge.coherence", exact("judge.overall").alias("overall"), "judge.consistent")
 
 
@@ -372,7 +377,7 @@ def q_claims_in_documents(spark, sf_dir):
 
 @query
 def q_judge_table_domains(spark, sf_dir):
-    return wl.wl_judge_table(spark, sf_dir)
+    return wl.wl_judge_table(spark, sf_dir).select("domain", *(exact(c).alias(c) for c in (*judging.DIMENSIONS, "overall")), "n")
 
 
 # --- filter ---
@@ -405,6 +410,19 @@ def q_tau_sweep_temporal(spark, sf_dir):
     return t.select("dataset", "tau", "n_reports", *(exact(c).alias(c) for c in ("retained_share", *(f"avg_{m}" for m in METRICS))))
 
 
+@query
+def q_tau_sweep_domains(spark, sf_dir):
+    t = wl.wl_tau_sweep(spark, sf_dir)
+    return t.select("domain", "tau", "n_reports", *(exact(c).alias(c) for c in ("retained_share", *(f"avg_{m}" for m in METRICS))))
+
+
+@query
+def q_averages_brands(spark, sf_dir):
+    """Averages over many small tables, a brand each, of damaged reports: sizes differ, so weights matter."""
+    a = wl.wl_brand_averages(spark, sf_dir)
+    return a.select("kind", "averaging", *(exact(c).alias(c) for c in ("p", "r", "f1")), "n", "n_undefined")
+
+
 @query
 def q_reweighed_averages(spark, sf_dir):
     kept = filtering.filter_reports(scored_orders(spark, sf_dir), "numeric", "0.90")
@@ -423,15 +441,14 @@ def q_inferred_columns(spark, sf_dir):
 
 @query
 def q_extracted_values(spark, sf_dir):
-    e = extraction.run_baseline(orders(spark, sf_dir)).where("report_type = 'order_value'")
-    return e.select("row_id", *(F.col("values")[c].alias(c) for c in ("order_key", "customer", "total_price", "order_date")))
+    e = extraction.run_baseline(orders(spark, sf_dir))
+    return e.select("report_type", "row_id", *(F.col("values")[c].alias(c) for c in ("order_key", "customer", "total_price", "order_date", "status", "priority", "segment")))
 
 
 @query
 def q_extracted_oracle_schema(spark, sf_dir):
-    r = orders(spark, sf_dir)
-    e = extraction.extract(r, extraction.oracle_schema(r)).where("report_type = 'order_handling'")
-    return e.select("row_id", *(F.col("values")[c].alias(c) for c in ("order_key", "customer", "status", "priority", "segment")))
+    e = extraction.extract(orders(spark, sf_dir), wl.planned(spark, ("order_facts",)))
+    return e.select("report_type", "row_id", *(F.col("values")[c].alias(c) for c in ("order_key", "customer", "total_price", "order_date", "status", "priority", "segment")))
 
 
 @query
@@ -481,27 +498,26 @@ def q_column_scores(spark, sf_dir):
 
 @query
 def q_column_table(spark, sf_dir):
-    return wl.wl_column_table(spark, sf_dir)
+    return wl.wl_column_table(spark, sf_dir).select("dataset", "report_type", *(exact(c).alias(c) for c in ("p", "r", "f1")))
 
 
 @query
 def q_value_scores(spark, sf_dir):
     """Clean text, the true schema: whatever is written is found again."""
-    r = orders(spark, sf_dir)
-    pred = extraction.oracle_schema(r)
-    mapping = matching.match_columns(matching.name_matrix(wl.truth_columns(r), pred))
-    v = scoring.score_values(extraction.extract(r, pred), mapping)
+    pred = wl.planned(spark, ("order_facts",))
+    mapping = matching.match_columns(matching.name_matrix(pred, pred))
+    v = scoring.score_values(extraction.extract(orders(spark, sf_dir), pred), mapping)
     return v.select("report_type", "row_id", "n_truth", "n_pred", exact("p").alias("p"), exact("r").alias("r"), exact("f1").alias("f1"))
 
 
 @query
 def q_value_table(spark, sf_dir):
-    return wl.wl_value_table(spark, sf_dir)
+    return wl.wl_value_table(spark, sf_dir).select("dataset", "report_type", *(exact(c).alias(c) for c in ("p", "r", "f1", "f1_of_means")), "n")
 
 
 @query
 def q_value_table_exact(spark, sf_dir):
-    return wl.wl_value_table(spark, sf_dir, weighting="exact")
+    return wl.wl_value_table(spark, sf_dir, weighting="exact").select("dataset", "report_type", *(exact(c).alias(c) for c in ("p", "r", "f1", "f1_of_means")), "n")
 
 
 @query
@@ -515,11 +531,7 @@ def q_embedding_token_match(spark, sf_dir):
 @query
 def q_macro_micro_size(spark, sf_dir):
     v = scored_orders(spark, sf_dir).withColumn("dataset", F.col("report_type")).withColumn("all", F.lit("orders"))
-    out = None
-    for how in ("macro", "micro", "size_weighted", "dataset_mean"):
-        a = scoring.average(v, ["all"], how, "numeric").select(F.lit(how).alias("averaging"), *(exact(c).alias(c) for c in ("p", "r", "f1")), "n", "n_undefined")
-        out = a if out is None else out.union(a)
-    return out
+    return scoring.all_averages(v, "all").where("kind = 'numeric'").select("averaging", *(exact(c).alias(c) for c in ("p", "r", "f1")), "n", "n_undefined")
 
 
 @query
@@ -536,22 +548,23 @@ def q_score_cube(spark, sf_dir):
 
 @query
 def q_numeric_table_domains(spark, sf_dir):
-    return wl.wl_numeric_table(spark, sf_dir)
+    return wl.wl_numeric_table(spark, sf_dir).select("domain", *(exact(c).alias(c) for c in ("p", "r", "f1", "f1_of_means")), "n", "n_undefined")
 
 
 @query
 def q_temporal_table_domains(spark, sf_dir):
-    return wl.wl_temporal_table(spark, sf_dir)
+    return wl.wl_temporal_table(spark, sf_dir).select("domain", *(exact(c).alias(c) for c in ("p", "r", "f1", "f1_of_means")), "n", "n_undefined")
 
 
 @query
 def q_averages_domains(spark, sf_dir):
-    return wl.wl_weighted(spark, sf_dir)
+    return wl.wl_weighted(spark, sf_dir).select("domain", "kind", "averaging", *(exact(c).alias(c) for c in ("p", "r", "f1")), "n", "n_undefined")
 
 
 @query
 def q_final_scores(spark, sf_dir):
-    return wl.wl_final_scores(spark, sf_dir)
+    f = wl.wl_final_scores(spark, sf_dir)
+    return f.select("dataset", *(exact(c).alias(c) for c in ("text_quality", "column_f1", "value_f1", "information_fidelity")))
 
 
 @query
@@ -562,10 +575,8 @@ def q_model_grid(spark, sf_dir):
 
 @query
 def q_asymmetry_gap(spark, sf_dir):
-    r = wl.wl_reports(spark, sf_dir, ("order_facts", "part_catalog"), generation.RenderStyle(wording="paraphrased"))
-    schema, truth = extraction.infer_schema(extraction.sample_reports(r)), wl.truth_columns(r)
-    mapping = matching.match_columns(matching.name_matrix(truth, schema))
-    return scoring.asymmetry_gap(validate(r, judges=False), scoring.score_values(extraction.extract(r, schema), mapping))
+    gap = wl.wl_asymmetry(spark, sf_dir)
+    return gap.select("dataset", *(exact(c).alias(c) for c in ("fidelity", "extraction", "incomplete_share", "gap")))
 
 
 @query
@@ -582,10 +593,15 @@ def q_text_as_table(spark, sf_dir):
     return wl.wl_text_as_table(spark, sf_dir)
 
 
+@query
+def q_text_and_keyword(spark, sf_dir):
+    """The same question by both ways: orders of a customer from extracted values, and passages that have the customer's name."""
+    return wl.wl_text_and_keyword(spark, sf_dir)
+
+
 @query
 def q_keyword_vs_table(spark, sf_dir):
-    r = orders(spark, sf_dir).where("report_type = 'order_handling'")
-    return extraction.keyword_search(r, ["BUILDING", "1-URGENT"]).select("row_id")
+    return extraction.keyword_search(orders(spark, sf_dir), ["BUILDING", "1-URGENT"]).select("report_type", "row_id")
 
 
 @query
@@ -683,4 +699,6 @@ def queries() -> dict[str, Query]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return oracles.build()
+    from . import experiment_sql
+
+    return oracles.build() | experiment_sql.build()

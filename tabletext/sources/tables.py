@@ -45,15 +45,19 @@ def load_texts(spark: SparkSession, sf_dir: str, kind: str) -> DataFrame:
 
 
 def canonical(df: DataFrame) -> list:
-    """Each column as text that does not depend on how an engine prints doubles."""
+    """Each column as text with its length before it, so that no two rows read alike; null is a dash.
+
+    Nothing is rounded; negative zero is zero, and times have microseconds.
+    """
     out = []
     for f in df.schema.fields:
         c = F.col(f"`{f.name}`")
-        if isinstance(f.dataType, (T.DoubleType, T.FloatType, T.DecimalType)):
-            c = (c + F.lit(0.0)).cast("decimal(24,6)")
+        if isinstance(f.dataType, (T.DoubleType, T.FloatType)):
+            c = c + F.lit(0.0).cast(f.dataType)
         elif isinstance(f.dataType, (T.TimestampType, T.TimestampNTZType)):
-            c = F.date_format(c, "yyyy-MM-dd HH:mm:ss")
-        out.append(F.coalesce(c.cast("string"), F.lit("")))
+            c = F.date_format(c, "yyyy-MM-dd HH:mm:ss.SSSSSS")
+        c = F.to_json(F.struct(c.alias("v"))) if isinstance(f.dataType, (T.ArrayType, T.MapType, T.StructType)) else F.base64(c) if isinstance(f.dataType, T.BinaryType) else c.cast("string")
+        out.append(F.coalesce(F.concat(F.length(c).cast("string"), F.lit(":"), c), F.lit("-")))
     return out
 
 
@@ -61,9 +65,13 @@ def with_row_id(df: DataFrame, keys: list[str] | None = None) -> DataFrame:
     """A key for each row: from its key columns, else a digest of the row, numbered where rows are equal."""
     if keys:
         return df.withColumn("row_id", F.concat_ws("-", *keys))
-    digest = F.md5(F.concat_ws("|", *canonical(df)))
-    numbered = df.withColumn("__digest", digest).withColumn("__n", F.row_number().over(W.partitionBy("__digest").orderBy("__digest")))
-    return numbered.withColumn("row_id", F.when(F.col("__n") == 1, F.col("__digest")).otherwise(F.concat_ws("-", "__digest", "__n"))).drop("__digest", "__n")
+    marked = df.withColumn("row_id", F.md5(F.concat(*canonical(df))))
+    # digests alone are exchanged; only rows that others equal are moved to be numbered, and are alike in all columns
+    repeated = marked.groupBy("row_id").agg(F.count("*").alias("__n")).where("__n > 1").select("row_id")
+    turn = F.row_number().over(W.partitionBy("row_id").orderBy("row_id"))
+    again = marked.join(repeated, "row_id", "left_semi").withColumn("__n", turn)
+    again = again.withColumn("row_id", F.when(F.col("__n") == 1, F.col("row_id")).otherwise(F.concat_ws("-", "row_id", "__n"))).drop("__n")
+    return marked.join(repeated, "row_id", "left_anti").select(*df.columns, "row_id").unionByName(again.select(*df.columns, "row_id"))
 
 
 # --- facts over time ---
@@ -89,8 +97,15 @@ def canonical_concepts(facts: DataFrame, aliases: dict[str, str]) -> DataFrame:
 
 
 def latest_facts(facts: DataFrame, keys: list[str], order: str = "ts", fields: tuple[str, ...] = ("value", "period", "filing_date", "unit")) -> DataFrame:
-    """The newest fact of each key: one aggregation, no window."""
-    return facts.groupBy(*keys).agg(*(F.max_by(c, order).alias(c) for c in fields), F.max(order).alias(order))
+    """The newest fact of each key: one aggregation, no window.  All fields are those of one fact; of facts of one
+    time it is the greatest by its fields in turn, so the choice does not depend on the order of rows."""
+    newest = F.max(F.when(F.col(order).isNotNull(), F.struct(order, *fields))).alias("__newest")
+    return facts.groupBy(*keys).agg(newest).select(*keys, *(F.col(f"__newest.{c}").alias(c) for c in (*fields, order)))
+
+
+def of_form(facts: DataFrame, forms: tuple[str, ...], column: str = "form") -> DataFrame:
+    """Facts from filings of the given forms, such as the yearly and the quarterly one."""
+    return facts.where(F.upper(F.trim(column)).isin(*(f.upper() for f in forms)))
 
 
 def periodize(facts: DataFrame, kind: str) -> DataFrame:
@@ -102,13 +117,11 @@ def periodize(facts: DataFrame, kind: str) -> DataFrame:
 def facts_to_wide(facts: DataFrame, concepts: tuple[str, ...] = CONCEPTS, key: str = "entity", concept: str = "concept", order: str = "ts") -> DataFrame:
     """A row for each entity with value, period, filing date and unit of the newest fact of each concept.
 
-    Conditional aggregates instead of a pivot after a group: one exchange.
+    Conditional aggregates instead of a pivot after a group: one exchange.  Ties go as in ``latest_facts``.
     """
-    columns = []
-    for c in concepts:
-        at = F.when(F.col(concept) == c, F.col(order))
-        columns += [F.max_by(field, at).alias(f"{c}_{field}") for field in ("value", "period", "filing_date", "unit")]
-    return facts.groupBy(key).agg(*columns)
+    fields = ("value", "period", "filing_date", "unit")
+    newest = [F.max(F.when((F.col(concept) == c) & F.col(order).isNotNull(), F.struct(order, *fields))).alias(f"__{c}") for c in concepts]
+    return facts.groupBy(key).agg(*newest).select(key, *(F.col(f"__{c}.{f}").alias(f"{c}_{f}") for c in concepts for f in fields))
 
 
 def coalesce_aliases(wide: DataFrame, spec: dict[str, list[str]]) -> DataFrame:

@@ -14,6 +14,7 @@ from .operators.validation import validate, with_mentions
 from .plans import planning
 from .plans.planning import DECLARED, Plan
 from .sources import tables
+from .storage import written
 
 Maker = Callable[[SparkSession, str], DataFrame]
 
@@ -59,8 +60,11 @@ def wl_reports(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = tuple(
 
 def damaged(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = tuple(SOURCES)) -> DataFrame:
     """Reports with controlled damage, by a digest of their row modulo 5."""
-    code = F.pmod(F.conv(F.substring(F.md5("row_id"), 1, 6), 16, 10).cast("int"), F.lit(5))
-    return generation.corrupt(wl_reports(spark, sf_dir, names), code)
+    return generation.corrupt(wl_reports(spark, sf_dir, names), damage_code())
+
+
+def damage_code():
+    return F.pmod(F.conv(F.substring(F.md5("row_id"), 1, 6), 16, 10).cast("int"), F.lit(5))
 
 
 def validated(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = tuple(SOURCES), judges: bool = False) -> DataFrame:
@@ -93,20 +97,26 @@ def wl_stray_year(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def wl_tau_sweep(spark: SparkSession, sf_dir: str, on: str = "precision") -> DataFrame:
-    return filtering.tau_sweep(validated(spark, sf_dir, ("order_facts", "part_catalog")), "temporal", on=on)
+    """The sweep over all sources of both domains; where a report has no dates, its precision is undefined and passes."""
+    return filtering.tau_sweep(validated(spark, sf_dir).withColumn("domain", domain()), "temporal", by="domain", on=on)
+
 
+def planned(spark: SparkSession, names: tuple[str, ...]) -> DataFrame:
+    """The planned column names of each report type of some sources."""
+    return reduce(DataFrame.union, [extraction.planned_schema(spark, DECLARED[n]) for n in names])
 
-def truth_columns(reports: DataFrame) -> DataFrame:
-    """The planned column names of each report type."""
-    names = F.transform("cells", lambda c: F.regexp_replace(c["name"], "_value$", ""))
-    return reports.groupBy(*matching.KEYS).agg(F.first(names).alias("columns"))
+
+def sampled(spark: SparkSession, sf_dir: str, names: tuple[str, ...], style: generation.RenderStyle, n: int = 10) -> DataFrame:
+    """Reports of ten rows of each source: the rows are chosen before anything is written of them."""
+    return reduce(DataFrame.union, [generation.generate(planning.sample_rows(SOURCES[x](spark, sf_dir), n), DECLARED[x], style) for x in names])
 
 
 def extracted(spark: SparkSession, sf_dir: str, names: tuple[str, ...], oracle: bool = False, wording: str = "paraphrased") -> tuple[DataFrame, DataFrame, DataFrame]:
     """Reports with extracted values, true columns, inferred columns."""
-    reports = wl_reports(spark, sf_dir, names, generation.RenderStyle(wording=wording))
-    schema = extraction.oracle_schema(reports) if oracle else extraction.infer_schema(extraction.sample_reports(reports))
-    return extraction.extract(reports, schema), truth_columns(reports), schema
+    style = generation.RenderStyle(wording=wording)
+    reports, truth = wl_reports(spark, sf_dir, names, style), planned(spark, names)
+    schema = truth if oracle else written(extraction.infer_schema(sampled(spark, sf_dir, names, style)), "schema")
+    return extraction.extract(reports, schema), truth, schema
 
 
 def wl_column_table(spark: SparkSession, sf_dir: str, sim: str = "edit", solver: str = "exact") -> DataFrame:
@@ -131,15 +141,30 @@ def wl_final_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     names = tuple(SOURCES)
     v = validated(spark, sf_dir, names, judges=True).groupBy("dataset").agg(F.avg("judge.overall").alias("text_quality"))
     found, truth, pred = extracted(spark, sf_dir, names)
-    mapping = matching.match_columns(matching.name_matrix(truth, pred))
+    mapping = written(matching.match_columns(matching.name_matrix(truth, pred)), "mapping")
     columns = scoring.score_columns(mapping, truth, pred).groupBy("dataset").agg(F.avg("f1").alias("column_f1"))
     values = scoring.score_values(found, mapping).groupBy("dataset").agg(F.avg("f1").alias("value_f1"))
     out = v.join(columns, "dataset").join(values, "dataset")
     return out.withColumn("information_fidelity", scoring.information_fidelity(F.col("column_f1"), F.col("value_f1")))
 
 
+def wl_brand_averages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All averages of fidelity over the brand slices, each a dataset of its own."""
+    reports = generation.generate(tables.brand_slices(spark, sf_dir), DECLARED["line_facts"])
+    v = validate(generation.corrupt(reports, damage_code()), judges=False)
+    return scoring.all_averages(v.withColumn("dataset", F.col("table_name")).withColumn("all", F.lit("brands")), "all")
+
+
+def wl_asymmetry(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """How much harder extraction is than validation, on the same paraphrased passages of every source."""
+    names, style = tuple(SOURCES), generation.RenderStyle(wording="paraphrased")
+    found, truth, schema = extracted(spark, sf_dir, names)
+    mapping = matching.match_columns(matching.name_matrix(truth, schema))
+    return scoring.asymmetry_gap(validate(wl_reports(spark, sf_dir, names, style), judges=False), scoring.score_values(found, mapping))
+
+
 def wl_plan_ablation(spark: SparkSession, sf_dir: str, sizes: tuple[int, ...] = (5, 10, 20, 50)) -> DataFrame:
-    return reduce(DataFrame.union, [planning.plan_stability(SOURCES[n](spark, sf_dir), n, sizes) for n in ("order_facts", "part_catalog")])
+    return reduce(DataFrame.union, [planning.plan_stability(SOURCES[n](spark, sf_dir), n, sizes) for n in SOURCES])
 
 
 def wl_model_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -181,17 +206,26 @@ def wl_embedding_match(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def wl_text_as_table(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Total price by customer, from values extracted out of texts, beside keyword hits for the customer."""
+    """Total price by customer, from values extracted out of texts."""
     found, _, _ = extracted(spark, sf_dir, ("order_facts",), oracle=True, wording="varied")
     rows = found.where("report_type = 'order_value'").select(F.col("values")["customer"].alias("customer"), numeric.normalise_number(F.col("values")["total_price"])["value"].alias("price"))
     return rows.groupBy("customer").agg(F.sum("price").cast("decimal(24,2)").alias("total"), F.count("*").alias("n_orders"))
 
 
+def wl_text_and_keyword(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """customer, n_by_value, n_by_keyword: extracted values with that customer, beside passages with the words of its name."""
+    found, _, _ = extracted(spark, sf_dir, ("order_facts",), oracle=True, wording="varied")
+    named = F.regexp_extract("text", r"\bcustomer (Customer#[0-9]+)", 1)
+    both = found.select(F.col("values")["customer"].alias("value"), F.when(named != "", named).alias("word"))
+    long = both.select(F.explode(F.array(F.struct(F.col("value").alias("customer"), F.lit(1).alias("v"), F.lit(0).alias("w")), F.struct(F.col("word").alias("customer"), F.lit(0).alias("v"), F.lit(1).alias("w")))).alias("x"))
+    return long.select("x.*").where("customer is not null").groupBy("customer").agg(F.sum("v").alias("n_by_value"), F.sum("w").alias("n_by_keyword"))
+
+
 def wl_corpus_summary(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tables.corpus_summary(tables.corpus_stats({t: tables.load_table(spark, sf_dir, t) for t in tables.TABLES}))
 
 
-def plan_for(df: DataFrame, table: str) -> Plan:
-    """What the planner makes of any table, from ten of its rows."""
+def plan_for(df: DataFrame, table: str, backend=None) -> Plan:
+    """What the planner (rules, or a model) makes of any table, from ten of its rows."""
     sample = planning.sample_rows(df)
-    return planning.validate_plan(planning.plan_reports(planning.profile_columns(sample, table, exact=True), sample), df.columns)
+    return planning.validate_plan(planning.plan_reports(planning.profile_columns(sample, table, exact=True), sample, backend), df.columns)
