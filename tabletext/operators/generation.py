@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..plans.planning import Plan, PlanColumn, ReportType
+from ..sources.tables import spread
 
 CELL = "struct<name:string,kind:string,surface:string,num:decimal(24,6),day:date>"
 VERBS = ("is", "was recorded as", "stands at", "came to")
@@ -116,6 +117,7 @@ def generate(df: DataFrame, plan: Plan, style: RenderStyle = RenderStyle(), data
 
         return roles.write_texts(generate(df, plan, style, dataset).drop("text"), backend).where("text is not null").select("dataset", "table_name", "report_type", "row_id", "cells", "text")
     fields = {f.name: f for f in df.schema.fields}
+    df = spread(df)
     reports = [
         F.struct(F.lit(t.name).alias("report_type"), F.array(*(cell(fields[c.name], style) for c in t.columns)).alias("cells"), passage(F.col("row_id"), t, fields, style).alias("text"))
         for t in plan.types

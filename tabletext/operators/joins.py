@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from ..functions.fidelity import TOLERANCE, within
 from ..shipping import ship
+from ..sources.tables import spread
 
 #: Bytes of the item side of a containment join that may be broadcast.
 MAX_ITEM_BYTES = 8 << 20
@@ -85,6 +86,7 @@ def contains_join(docs: DataFrame, items: DataFrame, max_bytes: int = MAX_ITEM_B
 
     Beyond the bound they are sent in parts of about that size, one pass over the documents each, with the same test.
     """
+    docs = spread(docs)
     size, count = items.agg(F.coalesce(F.sum(F.octet_length("item_text")), F.lit(0)), F.count("*")).first()
     n = max(1, min(-(-size // max_bytes), count))
     part = F.pmod(F.xxhash64(*items.columns), F.lit(n))

@@ -220,7 +220,7 @@ def q_numbers_in_reports(spark, sf_dir):
 
 @query
 def q_numbers_in_documents(spark, sf_dir):
-    d = tables.load_table(spark, sf_dir, "documents")
+    d = tables.spread(tables.load_table(spark, sf_dir, "documents"))
     return d.select("doc_id", F.size(numeric.parse_numbers(F.col("text"))).alias("n_numbers"))
 
 

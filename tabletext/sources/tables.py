@@ -16,6 +16,17 @@ def load_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """Rows of fewer files than there are cores, dealt to all cores; any larger table as it is, without an exchange.
+
+    Reading and writing texts is costly for its bytes, and a small file is one task.
+    """
+    if df.isStreaming:
+        return df
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if 0 < len(df.inputFiles()) < cores else df
+
+
 def load_any(spark: SparkSession, uri: str, format: str = "parquet", schema=None, **options) -> DataFrame:
     """Any table: parquet, csv, json, jdbc, or ``table`` for one of the catalog."""
     if format == "table":
@@ -36,7 +47,7 @@ def strip_html(html):
 
 def load_texts(spark: SparkSession, sf_dir: str, kind: str) -> DataFrame:
     """id, text of documents, pages (tags stripped), conversations or benchmark items."""
-    df = load_table(spark, sf_dir, kind)
+    df = spread(load_table(spark, sf_dir, kind))
     if kind == "pages":
         return df.select(F.col("page_id").alias("id"), strip_html(F.col("html")).alias("text"))
     if kind == "conversations":
