@@ -44,7 +44,20 @@ select d.doc_id, len(ws) as n_words, coalesce(words.n, 0) as n_hit, coalesce(ite
 from d left join words using (doc_id) left join items using (doc_id)
 """
 
+#: BM25 in whole multiples of 2 ** -20, as the operator counts it; every twentieth document against all.
+SEARCH = f"""
+with d as (select doc_id, text is not null as known, coalesce(regexp_extract_all({AZ}, {ALNUM}), []) as ws from documents),
+size as (select count(*) as n, sum(len(ws)) / count(*) as mean from d),
+tf as (select doc_id, w, count(*) as tf from (select doc_id, unnest(ws) as w from d) group by all),
+idf as (select w, ln(1 + (any_value(n) - count(*) + 0.5) / (count(*) + 0.5)) as idf from tf, size group by w),
+weights as (select tf.doc_id, w, round(1048576 * idf * tf * 2.2 / (tf + 1.2 * (1 - 0.75 + 0.75 * len(ws) / mean))) as weight from tf join idf using (w) join d on d.doc_id = tf.doc_id, size),
+points as (select q.doc_id as query_id, x.doc_id, sum(q.tf * x.weight) as points from tf q join weights x using (w) where q.doc_id % 20 = 0 group by 1, 2),
+ranked as (select *, row_number() over (partition by query_id order by points desc, doc_id) as rank from points where points > 0)
+select query_id, cast(rank as integer) as rank, doc_id, points / 1048576 as score from ranked where rank <= 10
+"""
+
 SQL = {
+    "op4_block_max_search": SEARCH,
     "op3_temporal_url_lists": url_filter.SQL,
     "op7_fm_index": REPEATED_WORDS,
     "op8_minhash_star_components": NEAR_COPIES,
