@@ -85,6 +85,11 @@ def anchors(block: Block, units: Units) -> tuple[np.ndarray, np.ndarray, np.ndar
     return text, places - offsets[text], hashed[places].view(np.int64), digest.view(np.int64)
 
 
+def plainly_named(docs: DataFrame) -> DataFrame:
+    """The documents with columns, other than id and text, under names that nothing here uses."""
+    return docs.toDF(*(c if c in ("doc_id", "text") else f"column_{i}" for i, c in enumerate(docs.columns)))
+
+
 def keys_of(docs: DataFrame) -> tuple[DataFrame, list[str]]:
     """The documents with columns that tell rows apart by what they are, and the names of these columns.
 

@@ -17,8 +17,8 @@ A pair at similarity 0.8 shares no bucket with a probability of (1 - 0.8 ** 4) *
 The signature test drops a pair below ``threshold - SLACK``, over five standard deviations off.
 
 Odd input: null texts and texts without words have an empty set and link with nothing; repeated rows
-are copies of each other; among equal least ids every row with it is kept; an empty table gives an
-empty result.
+are copies of each other; among equal least ids every row with it is kept; a null id is never the least
+one of a component that has another, and is kept where all are null; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .storage import written
+from .storage import partitions_for, written
 from .textblocks import PLAIN_WORDS, Block, Words, blocks, digests, grams, mix
 
 BANDS, ROWS = 32, 4
@@ -287,12 +287,14 @@ def joining_links(buckets: DataFrame, labels: DataFrame, classes: DataFrame, doc
     mixed = tagged.groupBy("bucket").agg(F.count("*").alias("size"), F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y and size > 2")
     members = tagged.join(mixed.select("bucket"), "bucket", "left_semi")
     members = written(members.join(classes.select("node", "signature"), "node"), "mixed-buckets")
-    nodes = _blocks(members, "signature").groupBy("bucket", "i", "j").applyInPandas(_nodes_to_test(least), "node long")
+    parts = partitions_for(docs.sparkSession, members.count(), BLOCK)
+    dealt = lambda blocks: blocks.repartition(parts, "bucket", "i", "j").groupBy("bucket", "i", "j")
+    nodes = dealt(_blocks(members, "signature")).applyInPandas(_nodes_to_test(least), "node long")
     nodes = written(nodes.distinct(), "nodes-to-test")
     if not nodes.limit(1).count():
         return None
     sets = full_sets(nodes, classes, docs, k)
-    return _blocks(members.join(sets, "node"), "signature", "shingles").groupBy("bucket", "i", "j").applyInPandas(_joining_links(least, percent), "a long, b long")
+    return dealt(_blocks(members.join(sets, "node"), "signature", "shingles")).applyInPandas(_joining_links(least, percent), "a long, b long")
 
 
 def near_duplicate_classes(docs: DataFrame, words: int = 5, threshold: float = 0.8, id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -333,12 +335,13 @@ def drop_near_duplicates(docs: DataFrame, words: int = 5, threshold: float = 0.8
     Rows that repeat an id with other content stay if one of them is kept; a row with a null id stays.
     """
     found = near_duplicate_classes(docs, words, threshold, id, text)
-    gone = written(found.where(F.col(id) != F.col("component_id")).select(F.col(id).alias("__gone")).distinct(), "copies")
+    name = "__gone" + "_" * max(map(len, docs.columns))  # a name that no column has
+    gone = written(found.where(F.col(id) != F.col("component_id")).select(F.col(id).alias(name)).distinct(), "copies")
     if gone.count() <= BROADCAST_IDS:  # then the texts stay where they are
         gone = F.broadcast(gone)
-    return docs.join(gone, F.col(id) == F.col("__gone"), "left_anti")
+    return docs.join(gone, F.col(id) == F.col(name), "left_anti")
 
 
 def op8(docs: DataFrame) -> DataFrame:
     found = near_duplicate_classes(docs, words=2)
-    return found.select("doc_id", "n_shingles", "component_id", (F.col("doc_id") == F.col("component_id")).alias("kept"))
+    return found.select("doc_id", "n_shingles", "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"))

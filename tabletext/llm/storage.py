@@ -1,46 +1,5 @@
-"""Intermediate tables in the folder that driver and executors share.
+"""Intermediate tables of the operators: the library's own, see ``tabletext.storage``."""
 
-``spark.checkpoint.dir`` names that folder.  Only where it is unset, as in tests, a folder of the
-local machine takes its place.  A written table cuts the lineage: a lost executor costs a re-read,
-not a recomputation.
-"""
+from ..storage import mark, partitions_for, release, shared_folder, written
 
-from __future__ import annotations
-
-import atexit
-import shutil
-import tempfile
-import uuid
-
-from pyspark.sql import DataFrame, SparkSession
-
-_own: dict[str, str] = {}
-
-
-def shared_folder(spark: SparkSession) -> str:
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if named:
-        return named.rstrip("/")
-    if "dir" not in _own:
-        _own["dir"] = tempfile.mkdtemp(prefix="tabletext-")
-        atexit.register(shutil.rmtree, _own["dir"], True)
-    return "file://" + _own["dir"]
-
-
-def _delete_at_exit(spark: SparkSession, path: str) -> None:
-    at = spark._jvm.org.apache.hadoop.fs.Path(path)
-    at.getFileSystem(spark._jsc.hadoopConfiguration()).deleteOnExit(at)
-
-
-def written(df: DataFrame, name: str) -> DataFrame:
-    """Write a table and read it again, with the schema known beforehand."""
-    spark = df.sparkSession
-    path = f"{shared_folder(spark)}/tabletext/{name}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
-    _delete_at_exit(spark, path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def partitions_for(spark: SparkSession, rows: float, each: int) -> int:
-    """Enough partitions that none gets far more than ``each`` rows, and at least the session's number."""
-    return int(max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-rows // each), 1))
+__all__ = ["mark", "partitions_for", "release", "shared_folder", "written"]

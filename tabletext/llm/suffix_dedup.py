@@ -13,7 +13,9 @@ each other; an empty table gives an empty result.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from functools import partial
+from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
@@ -21,7 +23,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .anchors import Units, apply_spans, keys_of, repeat_spans
+from .anchors import SHARD_ROWS, Units, anchor_table, apply_spans, keys_of, plainly_named, regions, repeat_spans, repeated
+from .storage import partitions_for, written
 
 LENGTH = 200
 #: Interval members whose left contexts are compared at once.
@@ -125,15 +128,18 @@ def removal_report(docs: DataFrame, length: int = LENGTH) -> DataFrame:
 
 
 def remove_repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
-    """The documents without repeated windows; a character that a cut splits goes as a whole; n_chars is counted anew."""
-    marked, keys, u, spans = _spans(docs, length)
-    out = apply_spans(marked, spans, keys, u, keep_text=True)
+    """The documents without repeated windows; a character that a cut splits goes as a whole; n_chars is counted anew.
+
+    Other columns may have any names.
+    """
+    marked, keys, u, spans = _spans(plainly_named(docs), length)
+    out = apply_spans(marked, spans, keys, u, keep_text=True).toDF(*docs.columns)
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.char_length("text").cast(dict(docs.dtypes)["n_chars"]))
-    return out.select(*docs.columns)
+    return out.select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
-def repeat_groups(docs: DataFrame, length: int = LENGTH) -> DataFrame:
+def removed_runs(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     """doc_id, start, stop of every maximal removed run."""
     marked, keys, _, spans = _spans(docs.select("doc_id", "text"), length)
     pieces = marked.select("doc_id", *keys).join(spans, keys).select("doc_id", *keys, F.explode(F.arrays_zip("__starts", "__stops")).alias("s"))
@@ -144,5 +150,70 @@ def repeat_groups(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     return pieces.groupBy("doc_id", *keys, "run").agg(F.min("start").alias("start"), F.max("stop").alias("stop")).select("doc_id", "start", "stop")
 
 
+GROUPS = "gram long, region long, group string, start int, stop int"
+
+
+def _groups(length: int, gram: int):
+    """Maximal repeats of a shard: members, and where the repeat lies around each member's anchor.
+
+    An interval of the tree is as deep as its members agree to the right.  Its members in the order of their
+    left contexts form a tree of the same kind: each interval of that one is a group that agrees so far to the
+    left and no further, so it cannot be extended for all.  A group whose members lie in one child of the first
+    interval agrees further to the right and is reported there.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = [b for b in batches if len(b)]
+        if not held:
+            return
+        table = pa.Table.from_batches(held)
+        before, after = table["before"].to_pylist(), table["after"].to_pylist()
+        node, member, extension, depth, _ = repeats(before, after, length, gram)
+        grams, regions = table["gram"].to_numpy(), table["region"].to_numpy()
+        cuts = np.flatnonzero(np.append(True, node[1:] != node[:-1])) if len(node) else np.zeros(0, np.int64)
+        out: dict[tuple, tuple[int, int, list[int]]] = {}
+        for a, b in zip(cuts.tolist(), [*cuts[1:].tolist(), len(node)], strict=True):
+            own, deep = member[a:b].tolist(), int(depth[a])
+            lefts = [before[m][::-1] for m in own]
+            shared = [_agree(x, y) for x, y in zip(lefts, lefts[1:])]
+            for first, last, back in [*intervals(shared, max(1, length - deep)), *([(0, len(own), 0)] if deep >= length and min(shared) == 0 else [])]:
+                some = own[first:last]
+                if len({after[m][deep : deep + 1] for m in some}) > 1 or any(len(after[m]) == deep for m in some):
+                    text = before[some[0]][len(before[some[0]]) - back :] + after[some[0]][:deep]
+                    out[blake2b(text, digest_size=16).hexdigest(), int(grams[some[0]])] = (back, deep, some)
+        rows = [(int(grams[m]), int(regions[m]), g, -back, deep) for (g, _), (back, deep, some) in out.items() for m in some]
+        if rows:
+            yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(zip(*rows), (pa.int64(), pa.int64(), pa.string(), pa.int32(), pa.int32()))], names=["gram", "region", "group", "start", "stop"])
+
+    return run
+
+
+def _agree(x: bytes, y: bytes) -> int:
+    n = min(len(x), len(y))
+    return next((i for i in range(n) if x[i] != y[i]), n)
+
+
+def repeat_groups(docs: DataFrame, length: int = LENGTH) -> DataFrame:
+    """group, doc_id, start, stop: the maximal repeats of ``length`` bytes or more with all their occurrences.
+
+    Repeats are seen in a region of one anchor, ``length`` bytes to each side; a longer one is a chain of groups,
+    one for each anchor in it.  Regions that are equal as a whole are a group as well.
+    """
+    marked, keys = keys_of(docs.select("doc_id", "text"))
+    u = units(length)
+    rows = written(repeated(written(anchor_table(marked, u, keys), "all-anchors"), keys, False), "anchors")
+    found = written(regions(rows.where("several and chosen"), marked, u, keys), "regions")
+    grouped = found.repartition(partitions_for(docs.sparkSession, found.count(), SHARD_ROWS), "gram").mapInArrow(_groups(length, u.gram), GROUPS)
+    members = rows.where(F.col("several")).join(grouped, ["gram", "region"])
+    size = marked.select(*keys, F.octet_length(F.coalesce("text", F.lit(""))).alias("n"))
+    back, ahead = F.greatest(F.col("place") + F.lit(u.gram - length), F.lit(0)) - F.col("place"), F.least(F.col("place") + F.lit(length), F.col("n")) - F.col("place")
+    alike = rows.where("covered").join(size, keys).where(F.col("chosen") | F.lit(True))
+    name = F.concat_ws("-", F.lit("region"), F.hex("gram"), F.hex("region"))
+    whole = alike.select(name.alias("group"), *keys, (F.col("place") + back).alias("start"), (F.col("place") + ahead).alias("stop"))
+    parts = members.select("group", *keys, (F.col("place") + F.col("start")).alias("start"), (F.col("place") + F.col("stop")).alias("stop"))
+    ids = marked.select("doc_id", *keys).distinct()
+    return whole.unionByName(parts).distinct().join(ids, keys).select("group", "doc_id", F.col("start").cast("long").alias("start"), F.col("stop").cast("long").alias("stop"))
+
+
 def op6(docs: DataFrame) -> DataFrame:
     return removal_report(docs)

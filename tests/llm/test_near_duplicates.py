@@ -73,3 +73,30 @@ def test_odd_rows(spark, frame):
     assert [rows[i]["component_id"] for i in range(5)] == [0, 1, 2, 2, 2]
     docs = frame([(4, "a b c d e f g"), (2, "a b c d e f g"), (9, None)])
     assert {r["doc_id"] for r in nd.drop_near_duplicates(docs).collect()} == {2, 9}
+
+
+def test_null_ids_and_column_names(frame):
+    """A null id stays beside others; columns may have any names."""
+    text = "one two three four five six seven eight nine ten eleven twelve"
+    docs = frame([(None, text), (5, text), (3, text + " thirteen"), (None, "alone"), (9, None)]).selectExpr("*", "1 as __gone", "2 as node", "3 as component_id")
+    got = {(r["doc_id"], r["component_id"], r["kept"]) for r in nd.op8(docs).collect()}
+    assert got == {(None, 3, False), (5, 3, False), (3, 3, True), (None, None, True), (9, 9, True)}
+    kept = nd.drop_near_duplicates(docs, words=2)
+    assert kept.columns == docs.columns and sorted(str(r["doc_id"]) for r in kept.collect()) == ["3", "9", "None", "None"]
+
+
+def test_minima_estimate_similarity():
+    """Shares of equal minima are near the similarity of the sets, as for hashes drawn from a universal family."""
+    import numpy as np
+
+    r = np.random.default_rng(0)
+    pool = r.integers(0, 1 << 64, 3000, dtype=np.uint64)
+    for share in (0.2, 0.5, 0.8):
+        own = int(1000 * share)
+        seen = []
+        for i in range(20):
+            p = r.permutation(pool)
+            a, b = np.sort(p[:1000]), np.sort(np.concatenate([p[:own], p[1000 : 2000 - own]]))
+            x, y = nd.signatures([a, b])
+            seen.append((x == y).mean())
+        assert abs(np.mean(seen) - own / (2000 - own)) < 0.03
