@@ -7,7 +7,9 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 from tabletext.llm import decontamination, language, near_duplicates, packing, suffix_dedup
-from tabletext.llm.storage import shared_folder
+from tabletext.llm.storage import mark, release, shared_folder
+from tabletext.sources.tables import spread
+from tabletext.storage import delete
 from tabletext.shipping import ship
 
 
@@ -54,12 +56,19 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages in turn, each written and read again as the next one's documents."""
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    """All stages in turn, each written and read again as the next one's documents.
+
+    When a stage is written, its intermediate tables and the stage before it are deleted.
+    """
+    docs = spread(spark.read.parquet(f"{sf_dir}/documents.parquet"))
     folder = f"{shared_folder(spark)}/tabletext/pipeline-{uuid.uuid4().hex}"
     for i, (_, stage) in enumerate(STAGES):
+        before = mark()
         out = stage(spark, docs, sf_dir)
         out.write.parquet(f"{folder}/{i}")
+        release(spark, before)
+        if i:
+            delete(spark, f"{folder}/{i - 1}")
         docs = spark.read.schema(out.schema).parquet(f"{folder}/{i}")
     return docs
 
