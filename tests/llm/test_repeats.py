@@ -113,7 +113,8 @@ def test_index_finds_the_string_of_each_suffix():
 def test_groups_hold_all_occurrences(frame, seed):
     """Members of a group are equal; every repeated window is in groups that hold all places it is at."""
     length = 40
-    rows = [(i, t) for i, t in enumerate(corpus(seed, 30))]
+    # periodic texts shorter: each place in them is in a group of all others
+    rows = [(i, t if len(set(t or "")) > 4 else (t or "")[:140]) for i, t in enumerate(corpus(seed, 30))]
     texts = {i: (t or "").encode() for i, t in rows}
     groups = {}
     for g in suffix_dedup.repeat_groups(frame(rows), length).collect():
