@@ -118,3 +118,15 @@ def test_sinks(spark, orders, tmp_path):
     assert row["truth"]["order_key"] == "5" and row["text"].startswith("This report")
     sinks.manifest(spark, f"{tmp_path}/m", "run", tau=0.9)
     assert spark.read.parquet(f"{tmp_path}/m").first()["value"] == "0.9"
+
+
+def test_one_scan_of_each_table(spark, sf):
+    """Sweep and averages read each table once, and need one exchange besides the dealing of small inputs."""
+    from tabletext import queries
+
+    for name in ("tau_sweep", "macro_micro_size"):
+        text = plan_text(queries.queries()[name](spark, sf))
+        assert text.count("FileScan") == 2 and text.count("hashpartitioning") <= 2
+    files = spark.read.parquet(f"{sf}/orders.parquet")
+    cores = spark.sparkContext.defaultParallelism
+    assert tables.spread(files).rdd.getNumPartitions() == cores and tables.spread(spark.range(5)).count() == 5
