@@ -94,5 +94,15 @@ def contains_join(docs: DataFrame, items: DataFrame, max_bytes: int = MAX_ITEM_B
     return reduce(DataFrame.union, [docs.join(F.broadcast(p), F.col("text").contains(F.col("item_text"))) for p in parts])
 
 
+def bag_difference(sides: DataFrame, keys: list[str], side: str = "in_truth") -> DataFrame:
+    """keys, n_shared, n_missing, n_extra of rows marked as of the truth or not: repeats count.
+
+    What ``intersectAll`` and two ``exceptAll`` give, from one aggregation instead of three.
+    """
+    counts = sides.groupBy(*keys).agg(F.count_if(F.col(side)).alias("__t"), F.count_if(~F.col(side)).alias("__f"))
+    more = lambda a, b: F.greatest(F.col(a) - F.col(b), F.lit(0)).cast("long")
+    return counts.select(*keys, F.least("__t", "__f").alias("n_shared"), more("__t", "__f").alias("n_missing"), more("__f", "__t").alias("n_extra"))
+
+
 def to_long(wide: DataFrame, keys: list[str], columns: list[str]) -> DataFrame:
     return wide.unpivot(keys, columns, "name", "value")

@@ -33,6 +33,11 @@ RUBRICS = (
     ("coherence", 1, 0.0, "no order to be seen"),
 )
 DIMENSIONS = ("factuality", "hallucination", "coherence")
+#: What a domain asks instead of the general rubric: dimension, level, least share of good claims
+DOMAIN_RUBRICS = {
+    "finance": (("factuality", 4, 0.95), ("factuality", 3, 0.85), ("factuality", 2, 0.6), ("hallucination", 4, 0.95), ("hallucination", 3, 0.85)),
+    "narrative": (("coherence", 4, 0.8), ("coherence", 3, 0.5), ("coherence", 2, 0.25)),
+}
 ATTRIBUTION = r"(?i)according to|as stated in|as reported by"
 
 
@@ -40,6 +45,15 @@ def rubric_table(spark: SparkSession) -> DataFrame:
     return spark.createDataFrame(list(RUBRICS), "dimension string, level int, least_share double, meaning string")
 
 
+def domain_rubric_table(spark: SparkSession, domains: dict = DOMAIN_RUBRICS) -> DataFrame:
+    """domain, dimension, level, least_share: all fifteen steps of each domain, its own in place of the general ones."""
+    rows = []
+    for name, own in domains.items():
+        steps = {(d, level): share for d, level, share, _ in RUBRICS} | {(d, level): share for d, level, share in own}
+        rows += [(name, d, level, share) for (d, level), share in steps.items()]
+    return spark.createDataFrame(rows, "domain string, dimension string, level int, least_share double")
+
+
 def rubric_level(share: Column) -> Column:
     return let(share, lambda share: F.when(share >= 1, 5).when(share >= 0.9, 4).when(share >= 0.7, 3).when(share >= 0.4, 2).otherwise(1))
 
@@ -124,6 +138,23 @@ def judged(found: Column, text: Column, cells: Column) -> Column:
     return let(found, scored)
 
 
+def judge_in_domain(reports: DataFrame, rubrics: DataFrame, domain: str = "domain") -> DataFrame:
+    """The three scores by the rubric of each report's domain; a domain without a rubric has the general one.
+
+    Rubrics are declared, fifteen steps a domain, so they are broadcast.
+    """
+    steps = rubrics.groupBy(F.col("domain").alias("__domain")).agg(F.collect_list(F.struct("dimension", "level", "least_share")).alias("__steps"))
+    shares = let(claims(F.col("text"), F.col("cells")), lambda c: F.struct(_share(c, "contradicted").alias("factuality"), _share(c, "ungrounded").alias("hallucination"), coherence_share(F.col("text"), F.col("cells")).alias("coherence")))
+
+    def level(d: str) -> Column:
+        share = F.col("__shares")[d]
+        passed = F.filter("__steps", lambda s: (s["dimension"] == d) & (share >= s["least_share"]))
+        return F.coalesce(F.array_max(F.transform(passed, lambda s: s["level"])), rubric_level(share)).alias(d)
+
+    judged = reports.withColumn("__shares", shares).join(F.broadcast(steps), F.col(domain) == F.col("__domain"), "left")
+    return judged.select("*", *(level(d) for d in DIMENSIONS)).drop("__shares", "__steps", "__domain")
+
+
 def text_quality(factuality: Column, hallucination: Column, coherence: Column) -> Column:
     return (factuality + hallucination + coherence) / 3.0
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from .functions import numeric, temporal
+from .operators.validation import METRICS
 from .plans.planning import DECLARED, Plan
 from .sources.tables import ALIASES, CONCEPTS, PII_NAMES, PII_VALUES, TABLES
 
@@ -358,5 +359,17 @@ def build() -> dict[str, str]:
  i as (select "column", row_number() over (order by nth) as position from c where is_id)
  select t."column" as report_type, cast(i.position as integer) as position, i."column", 'identifier' as role from c t, i where not t.is_id
  union all select "column", cast((select count(*) + 1 from i) as integer), "column", role from c where not is_id"""
+    out["lateral_candidates"] = f"select truth, pred, cast(sim as {R}) as sim from (select truth, pred, {sim} as sim, row_number() over (partition by truth order by {sim} desc, pred) as rank from {pairs}) where rank <= 2"
+    out["fact_history"] = f"""with e as (select user_id as entity, event_type as alias, ts, cast(value as {D}) as v, date_diff('day', date '1970-01-01', cast(ts as date)) as d from events)
+ select entity, alias, cast(ts as timestamp) as ts, cast(ntile(4) over own as integer) as quarter, cast(lag(v) over own as {R}) as previous, cast(lead(v) over own as {R}) as following, cast(first_value(v) over own as {R}) as first,
+ cast(nth_value(v, 2) over (partition by entity, alias order by ts rows between unbounded preceding and unbounded following) as {R}) as second, cast(percent_rank() over own as {R}) as place,
+ cast(sum(v) over (partition by entity, alias order by d range between 30 preceding and current row) as {R}) as recent from e window own as (partition by entity, alias order by ts)"""
+    quartiles = ", ".join(f"cast(quantile_cont(cast(o_totalprice as double), {x}) as {R}) as {n}" for x, n in ((0.25, "q1"), (0.5, "median"), (0.75, "q3")))
+    out["order_statistics"] = f"select o_orderpriority, {quartiles}, string_agg(distinct o_orderstatus, ',' order by o_orderstatus) as statuses, count(*) filter (where o_orderstatus = 'O') as n_open, arg_max(o_orderkey, (o_totalprice, o_orderkey)) as dearest from orders group by 1"
+    top = " union all ".join(f"select '{c}' as \"column\", {c} as value, count(*) as n from ({ORDER_FACTS}) group by {c}" for c in ("segment", "status", "priority", "customer"))
+    out["profile_top"] = f"select \"column\", value, n, cast(rank as integer) as rank from (select *, row_number() over (partition by \"column\" order by n desc, value) as rank from ({top})) where rank <= 3"
+    out["sample_by_segment"] = f"select row_id, segment from ({ORDER_FACTS}) where cast('0x' || substr(md5(row_id), 1, 8) as bigint) / 4294967296.0 < case segment when 'BUILDING' then 0.5 when 'MACHINERY' then 0.1 else 0 end"
+    out["scores_long"] = f"{scored}, m as (select report_type, {', '.join(f'cast(avg({m}) as {R}) as {m}' for m in METRICS)} from s group by 1) " + " union all ".join(f"select report_type, '{m}' as metric, {m} as value from m" for m in METRICS)
+    out["sliding_fidelity"] = "select start, count(*) as n, cast(2 * count(*) as bigint) as tp, cast(0 as bigint) as fp, cast(0 as bigint) as fn from (select time_bucket(interval 6 hours, ts::timestamp, timestamp '1970-01-01') - k * interval 6 hours as start from events, range(4) as t(k)) group by 1"
     out["plans_single_type"] = _plan_rows([("all", i + 1, c, r) for i, (c, r) in enumerate(single)], names)
     return out

@@ -56,6 +56,26 @@ def sample_rows(df: DataFrame, n: int = 10, method: str = "hash", key: str = "ro
     return df.withColumn("__turn", turn).where(F.col("__turn") <= n).orderBy("__turn", code, key).limit(n).drop("__turn")
 
 
+def sample_fraction(df: DataFrame, fractions: dict[str, float], strata: str, key: str = "row_id", seed: str = "") -> DataFrame:
+    """Of each stratum its share, chosen by a digest of the key, so the same rows however the table is cut.
+
+    A stratum that is not named has none.
+    """
+    share = F.coalesce(*(F.when(F.col(strata) == s, F.lit(float(x))) for s, x in fractions.items()), F.lit(0.0))
+    place = F.conv(F.substring(F.md5(F.concat(F.lit(seed), F.col(key).cast("string"))), 1, 8), 16, 10).cast("double") / F.lit(float(1 << 32))
+    return df.where(place < share)
+
+
+def profile_top(df: DataFrame, columns: list[str], k: int = 10) -> DataFrame:
+    """column, value, n, rank of the k commonest values, equal counts in order of value: counted in tasks before the
+    exchange, and each task keeps no more than k values a column for the ranking."""
+    cells = F.array(*(F.struct(F.lit(c).alias("column"), F.col(f"`{c}`").cast("string").alias("value")) for c in columns))
+    long = df.select(F.inline(cells)).where("value is not null")
+    counts = long.groupBy("column", "value").agg(F.count("*").alias("n"))
+    turn = F.row_number().over(W.partitionBy("column").orderBy(F.desc("n"), "value"))
+    return counts.withColumn("rank", turn).where(F.col("rank") <= k)
+
+
 def kind_of(f: T.StructField) -> str:
     if isinstance(f.dataType, (T.DateType, T.TimestampType, T.TimestampNTZType)):
         return "temporal"

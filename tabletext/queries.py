@@ -365,6 +365,13 @@ def q_judge_rubrics(spark, sf_dir):
     return judging.rubric_table(spark).select("dimension", "level", exact("least_share").alias("least_share"))
 
 
+@query
+def q_judge_domain_rubrics(spark, sf_dir):
+    """Damaged order reports by the rubric of a context: values as finance, handling by the general rubric."""
+    r = damaged_further(spark, sf_dir).withColumn("domain", F.when(F.col("report_type") == "order_value", "finance").otherwise("operations"))
+    return judging.judge_in_domain(r, judging.domain_rubric_table(spark)).select("report_type", "row_id", *judging.DIMENSIONS)
+
+
 @query
 def q_judge_vs_labels(spark, sf_dir):
     return wl.wl_judge_vs_labels(spark, sf_dir).select("n", *(exact(c).alias(c) for c in ("exact_share", "mean_gap", "kappa")))
@@ -652,6 +659,57 @@ def q_sketch_profile(spark, sf_dir):
     return planning.profile_sketches(tables.order_facts(spark, sf_dir), ["order_key", "total_price"]).select("column", (F.col("n_distinct") > 0).alias("any"))
 
 
+@query
+def q_lateral_candidates(spark, sf_dir):
+    truth, pred = _names(spark)
+    names = truth.select("dataset", "table_name", "report_type", F.explode("columns").alias("truth"))
+    return matching.lateral_candidates(names, matching.name_matrix(truth, pred), 2).select("truth", "pred", exact("sim").alias("sim"))
+
+
+@query
+def q_fact_history(spark, sf_dir):
+    h = tables.fact_history(tables.facts_long(tables.load_table(spark, sf_dir, "events")), ["entity", "alias"])
+    return h.select("entity", "alias", F.col("ts").cast("timestamp_ntz").alias("ts"), "quarter", *(exact(c).alias(c) for c in ("previous", "following", "first", "second", "place", "recent")))
+
+
+@query
+def q_order_statistics(spark, sf_dir):
+    """Exact quartiles, values in order, and conditional counts by priority."""
+    o = tables.load_table(spark, sf_dir, "orders").withColumn("o_totalprice", F.col("o_totalprice").cast("decimal(18,2)"))
+    quartile = lambda q: exact(F.percentile("o_totalprice", q))
+    return o.groupBy("o_orderpriority").agg(
+        quartile(0.25).alias("q1"), quartile(0.5).alias("median"), quartile(0.75).alias("q3"), F.expr("listagg(distinct o_orderstatus, ',') within group (order by o_orderstatus)").alias("statuses"),
+        F.expr("count(*) filter (where o_orderstatus = 'O')").alias("n_open"), F.max_by("o_orderkey", F.struct("o_totalprice", "o_orderkey")).alias("dearest"),
+    )
+
+
+@query
+def q_profile_top(spark, sf_dir):
+    return planning.profile_top(tables.order_facts(spark, sf_dir), ["segment", "status", "priority", "customer"], 3)
+
+
+@query
+def q_sample_by_segment(spark, sf_dir):
+    """Stratified fractions: half of one segment, a tenth of another."""
+    return planning.sample_fraction(tables.order_facts(spark, sf_dir), {"BUILDING": 0.5, "MACHINERY": 0.1}, "segment").select("row_id", "segment")
+
+
+@query
+def q_mention_bags(spark, sf_dir):
+    """Dates of cells and passages as two bags of rows: what the array form counts per report, summed by report type."""
+    side = lambda days, own: F.transform(days, lambda d: F.struct(F.lit(own).alias("in_truth"), d.alias("day")))
+    both = F.concat(side(temporal.truth_dates(F.col("cells")), True), side(temporal.values(temporal.parse_dates(F.col("text"))), False))
+    bags = joins.bag_difference(damaged_further(spark, sf_dir).select("report_type", "row_id", F.inline(both)), ["report_type", "row_id", "day"])
+    return bags.groupBy("report_type").agg(F.sum("n_shared").alias("tp"), F.sum("n_extra").alias("fp"), F.sum("n_missing").alias("fn"))
+
+
+@query
+def q_scores_long(spark, sf_dir):
+    """Means by report type with a row for each metric."""
+    v = scored_orders(spark, sf_dir).groupBy("report_type").agg(*(exact(F.avg(m)).alias(m) for m in METRICS))
+    return joins.to_long(v, ["report_type"], list(METRICS)).withColumnRenamed("name", "metric")
+
+
 # --- streams ---
 
 
@@ -677,6 +735,14 @@ def q_windowed_fidelity(spark, sf_dir):
     return streams.stream_fidelity(_event_scores(spark, sf_dir), "tumbling", "1 day").select("start", "n", "tp", "fp", "fn")
 
 
+@query
+def q_sliding_fidelity(spark, sf_dir):
+    """Windows of a day that start every six hours."""
+    from .streaming import streams
+
+    return streams.stream_fidelity(_event_scores(spark, sf_dir), "sliding", "1 day", "6 hours").select("start", "n", "tp", "fp", "fn")
+
+
 @query
 def q_session_fidelity(spark, sf_dir):
     from .streaming import streams

@@ -27,11 +27,17 @@ def spread(df: DataFrame) -> DataFrame:
     return df.repartition(cores) if 0 < len(df.inputFiles()) < cores else df
 
 
-def load_any(spark: SparkSession, uri: str, format: str = "parquet", schema=None, **options) -> DataFrame:
-    """Any table: parquet, csv, json, jdbc, or ``table`` for one of the catalog."""
+def load_any(spark: SparkSession, uri: str, format: str = "parquet", schema=None, bounds: tuple | None = None, **options) -> DataFrame:
+    """Any table: parquet, csv, json, jdbc, or ``table`` for one of the catalog.
+
+    ``bounds`` (column, least, greatest, number) has a database read in that many ranges of a column at
+    once; without it one task reads all of it.
+    """
     if format == "table":
         return spark.table(uri)
     reader = spark.read.format(format).options(**options)
+    if bounds is not None:
+        reader = reader.options(**dict(zip(("partitionColumn", "lowerBound", "upperBound", "numPartitions"), map(str, bounds), strict=True)))
     if schema is not None:
         reader = reader.schema(schema)
     return reader.load() if format == "jdbc" else reader.load(uri)
@@ -149,6 +155,19 @@ def asof_facts(facts: DataFrame, at: DataFrame, keys: list[str], order: str = "t
     return filled.where("asked = 1").select(*keys, F.col(order).alias(when), "value")
 
 
+def fact_history(facts: DataFrame, keys: list[str], days: int = 30, order: str = "ts") -> DataFrame:
+    """Each fact among those of its key: the value before and after it, the first and the second, its quarter and
+    place in time, and the sum of the given days up to it.  All frames share one exchange by key.
+    """
+    own = W.partitionBy(*keys).orderBy(order)
+    whole = own.rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
+    recent = W.partitionBy(*keys).orderBy(F.datediff(F.col(order).cast("date"), F.lit("1970-01-01").cast("date"))).rangeBetween(-days, 0)
+    return facts.select(
+        "*", F.lag("value").over(own).alias("previous"), F.lead("value").over(own).alias("following"), F.first_value("value").over(whole).alias("first"), F.nth_value("value", 2).over(whole).alias("second"),
+        F.ntile(4).over(own).alias("quarter"), F.percent_rank().over(own).alias("place"), F.sum("value").over(recent).alias("recent"),
+    )
+
+
 # --- personal data, statistics, nulls ---
 
 PII_NAMES = r"(?i)(^|_)(name|phone|email|address|contact)($|_)"

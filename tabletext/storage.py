@@ -34,6 +34,16 @@ def _path(spark: SparkSession, path: str):
     return at.getFileSystem(spark._jsc.hadoopConfiguration()), at
 
 
+def folder(spark: SparkSession, name: str) -> str:
+    """A new empty folder for intermediate data, which goes as written tables go."""
+    path = f"{shared_folder(spark)}/tabletext/{name}-{uuid.uuid4().hex}"
+    files, at = _path(spark, path)
+    files.mkdirs(at)
+    files.deleteOnExit(at)
+    _written.append(path)
+    return path
+
+
 def written(df: DataFrame, name: str) -> DataFrame:
     """Write a table and read it again, with the schema known beforehand."""
     spark = df.sparkSession

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from ..operators.generation import RenderStyle, generate
 from ..operators.validation import validate
 from ..plans.planning import Plan
+from ..storage import folder
 
 
 def stream_table(spark: SparkSession, path: str, schema, files_per_trigger: int = 1) -> DataFrame:
@@ -64,8 +65,18 @@ def stream_sink(sdf: DataFrame, path: str, checkpoint: str, once: bool = True):
     return (writer.trigger(availableNow=True) if once else writer).start()
 
 
+def late_rows(query) -> int:
+    """Rows that a finished or running stream left out because they came after the watermark."""
+    return sum(int(o["numRowsDroppedByWatermark"]) for p in query.recentProgress for o in p["stateOperators"])
+
+
 def run_available(spark: SparkSession, sdf: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Runs a stream over what there is, into a table in memory; for tests and small results."""
-    query = sdf.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+    """Runs a stream over what there is, into a table in the shared folder; in complete mode the last result replaces the others."""
+    rows, checkpoint = folder(spark, name), folder(spark, f"{name}-checkpoint")
+
+    def put(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{rows}/batch={0 if mode == 'complete' else batch_id}")
+
+    query = sdf.writeStream.foreachBatch(put).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     query.awaitTermination()
-    return spark.table(name)
+    return spark.read.schema(sdf.schema).parquet(rows).select(*sdf.columns)

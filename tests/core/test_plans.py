@@ -37,6 +37,26 @@ def test_samples(spark, sf):
     assert spread == df.select("segment").distinct().count() and planning.sample_rows(df, 3, "head").count() == 3
 
 
+def test_fractions_and_top_values(spark, sf):
+    df = tables.order_facts(spark, sf)
+    shares = {"BUILDING": 1.0, "MACHINERY": 0.5}
+    keys = [sorted(r["row_id"] for r in planning.sample_fraction(df.repartition(n), shares, "segment").collect()) for n in (1, 5)]
+    n = {r["segment"]: r["count"] for r in df.groupBy("segment").count().collect()}
+    assert keys[0] == keys[1] and n["BUILDING"] < len(keys[0]) < n["BUILDING"] + n["MACHINERY"]
+    odd = spark.createDataFrame([("x", None), ("x", 1), ("y", 1), (None, 2)], "`a.b` string, c int")
+    top = [tuple(r) for r in planning.profile_top(odd, ["a.b", "c"], 1).orderBy("column").collect()]
+    assert top == [("a.b", "x", 2, 1), ("c", "1", 2, 1)]
+    assert planning.profile_top(odd.limit(0), ["c"]).collect() == []
+
+
+def test_bounds_of_a_database_read(spark, tmp_path):
+    url = f"jdbc:derby:{tmp_path}/db;create=true"
+    options = {"url": url, "driver": "org.apache.derby.iapi.jdbc.AutoloadedDriver", "dbtable": "numbers"}
+    spark.range(100).write.format("jdbc").options(**options).save()
+    df = tables.load_any(spark, "numbers", "jdbc", bounds=("ID", 0, 100, 4), **options)
+    assert df.rdd.getNumPartitions() == 4 and df.count() == 100
+
+
 def test_row_ids_of_equal_rows(spark):
     df = tables.with_row_id(spark.createDataFrame([(1, -0.0), (1, 0.0), (2, 1.5)], "a int, b double"))
     ids = [r["row_id"] for r in df.collect()]

@@ -130,3 +130,17 @@ def test_one_scan_of_each_table(spark, sf):
     files = spark.read.parquet(f"{sf}/orders.parquet")
     cores = spark.sparkContext.defaultParallelism
     assert tables.spread(files).rdd.getNumPartitions() == cores and tables.spread(spark.range(5)).count() == 5
+
+
+def test_rubrics_of_a_domain(spark, orders):
+    r = orders.withColumn("domain", F.when(F.col("report_type") == "order_value", "finance"))
+    bad = generation.corrupt_further(r, F.pmod(F.col("row_id").cast("long"), F.lit(8)))
+    both = judging.judge_in_domain(bad, judging.domain_rubric_table(spark)).withColumn("plain", judging.judge(F.col("text"), F.col("cells")))
+    got = both.drop("cells").collect()
+    for x in got:
+        for d in judging.DIMENSIONS:
+            if x["domain"] is None or d == "coherence":
+                assert x[d] == x["plain"][d]
+            else:
+                assert x[d] <= x["plain"][d]
+    assert any(x[d] < x["plain"][d] for x in got for d in ("factuality", "hallucination"))

@@ -1,4 +1,5 @@
 import datetime as dt
+import os
 
 from pyspark.sql import functions as F
 
@@ -53,3 +54,25 @@ def test_facts(spark, sf):
     assert wide.count() == facts.select("entity").distinct().count() and len(wide.columns) == 18
     late = tables.asof_facts(facts, facts.select("entity").distinct().withColumn("at", F.lit("1999-01-01").cast("timestamp_ntz")), ["entity"])
     assert late.where("value is not null").count() == 0
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    t = lambda h: dt.datetime(2024, 1, 1, h)
+    for i, hour in enumerate((10, 20, 1, 21)):
+        spark.createDataFrame([("a", float(i), t(hour))], "k string, value double, ts timestamp").coalesce(1).write.parquet(f"{tmp_path}/in/{i}")
+    schema = spark.read.parquet(f"{tmp_path}/in/0").schema
+    for i in range(4):  # files are read in the order of their times
+        for f in (tmp_path / "in" / str(i)).glob("*.parquet"):
+            os.utime(f, (1_700_000_000 + i, 1_700_000_000 + i))
+    source = streams.with_lateness(streams.stream_table(spark, f"{tmp_path}/in/*", schema), "1 hour")
+    counts = source.groupBy(streams.windowed("sliding", "2 hours", "1 hour").alias("w")).agg(F.count("*").alias("n")).select("w.start", "n")
+    query = counts.writeStream.format("parquet").option("checkpointLocation", f"{tmp_path}/cp").outputMode("append").trigger(availableNow=True).start(f"{tmp_path}/out")
+    query.awaitTermination()
+    assert streams.late_rows(query) == 2  # the row of 1 o'clock, in its two windows
+    assert spark.read.parquet(f"{tmp_path}/out").where(F.hour("start") < 5).count() == 0
+
+
+def test_a_stream_without_rows(spark, tmp_path):
+    empty = spark.createDataFrame([], "k string, value double, ts timestamp")
+    empty.coalesce(1).write.parquet(f"{tmp_path}/in")
+    assert streams.run_available(spark, streams.stream_table(spark, f"{tmp_path}/in", empty.schema), "s5").collect() == []
