@@ -144,3 +144,15 @@ def test_rubrics_of_a_domain(spark, orders):
             else:
                 assert x[d] <= x["plain"][d]
     assert any(x[d] < x["plain"][d] for x in got for d in ("factuality", "hallucination"))
+
+
+def test_reports_are_made_once_and_out_of_the_whole_stage(spark, sf):
+    """No filter makes them a second time, and no compiled method holds all of them."""
+    plan = generation.generate(tables.part_catalog(spark, sf), DECLARED["part_catalog"])._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("This report covers") == len(DECLARED["part_catalog"].types)
+    assert not any("Generate" in line and "*(" in line for line in plan.splitlines())
+
+
+def test_row_ids_take_one_scan(spark, sf):
+    plan = tables.with_row_id(tables.load_table(spark, sf, "lineitem"))._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("FileScan") == 1 and plan.count("Exchange") == 1
