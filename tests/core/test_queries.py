@@ -34,3 +34,8 @@ def test_query(spark, sf, con, name):
 
 def test_every_key_has_a_query():
     assert set(q.oracle_sql()) <= set(q.queries())
+
+
+@pytest.mark.parametrize("name", ["best_candidates", "column_matching", "column_matching_exact_name", "column_matching_greedy", "column_scores", "lateral_candidates", "name_similarity_matrix"])
+def test_names_come_from_a_table(spark, sf, name):
+    assert any("part.parquet" in f for f in q.queries()[name](spark, sf).inputFiles())
