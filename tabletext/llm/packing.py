@@ -36,11 +36,14 @@ from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 
 from .storage import written
-from .tokens import DEFAULT, encoder, vocabulary_path
+from .textblocks import blocks
+from .tokens import DEFAULT, columns, vocabulary_path
 
 WINDOW = 1024
 #: Tokens of a shard, its last document aside.
 SHARD_TOKENS = 2 << 20
+#: Bytes of text that are cut into tokens at once.
+TEXT_BYTES = 4 << 20
 #: Up to so many shards each has a task of its own, beyond that a task packs some of them in turn.
 MANY_TASKS, SHARDS_OF_TASK = 4000, 64
 K1, B = 1.2, 0.75
@@ -220,9 +223,16 @@ def pack_shard(bags: Bags, window: int, statistics: Statistics, k: int = 64) ->
     return pieces
 
 
-def _narrow(ids: np.ndarray) -> bytes:
-    """Two bytes an id where all of a document's fit, after a byte that says so."""
-    return b"\2" + ids.astype("<u2").tobytes() if ids.max(initial=0) < 1 << 16 else b"\4" + ids.astype("<u4").tobytes()
+def _narrow(values: np.ndarray, offsets: np.ndarray) -> pa.Array:
+    """The numbers of each document, two bytes each where all fit, after a byte that says so."""
+    width = 2 if values.max(initial=0) < 1 << 16 else 4
+    ends = offsets * width + np.arange(len(offsets))
+    if ends[-1] >= 1 << 31:  # more than such an array holds
+        return pa.array([bytes([width]) + values[a:b].astype(f"<u{width}").tobytes() for a, b in zip(offsets[:-1], offsets[1:])], pa.binary())
+    data, rest = np.empty(ends[-1], np.uint8), np.ones(ends[-1], bool)
+    data[ends[:-1]], rest[ends[:-1]] = width, False
+    data[rest] = values.astype(f"<u{width}").view(np.uint8)
+    return pa.Array.from_buffers(pa.binary(), len(offsets) - 1, [None, pa.py_buffer(ends.astype(np.int32)), pa.py_buffer(data)])
 
 
 def _wide(ids) -> np.ndarray:
@@ -236,22 +246,27 @@ TOKENS = "doc_id {}, digest long, size long, ids binary, terms binary, tf binary
 
 def _tokens(vocabulary: str, end: int, kind: pa.DataType):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, df = encoder(vocabulary), np.zeros(1 << 16, np.int64)
+        ids, df = columns(vocabulary), np.zeros(1 << 16, np.int64)
         for batch in batches:
-            rows, held, at = [], 0, 0
-            for i, own in enumerate(ids((t.as_py() or "") for t in batch.column("text"))):
-                own = np.append(own, np.uint32(end))
-                terms, tf = np.unique(own, return_counts=True)
-                if terms[-1] >= len(df):
-                    df = np.append(df, np.zeros(int(terms[-1]) + 1, np.int64))
-                df[terms] += 1
-                rows.append((len(own), _narrow(own), _narrow(terms), _narrow(tf)))
-                held += len(own)
-                if held > 2 << 20 or i == len(batch) - 1:
-                    known = [batch.column(c).slice(at, len(rows)) for c in ("doc_id", "digest")]
-                    made = [pa.array(x, k) for x, k in zip(zip(*rows, strict=True), (pa.int64(), *[pa.binary()] * 3), strict=True)]
-                    yield pa.RecordBatch.from_arrays([*known, *made], names=["doc_id", "digest", "size", "ids", "terms", "tf"])
-                    rows, held, at = [], 0, i + 1
+            for block in blocks(batch.column("text"), TEXT_BYTES):
+                own, offsets = ids(block)
+                n = len(block)
+                size, offsets = np.diff(offsets) + 1, offsets + np.arange(n + 1)
+                owner = np.repeat(np.arange(n), size)
+                every = np.full(offsets[-1], end, np.uint32)
+                every[np.arange(len(own)) + np.repeat(np.arange(n), size - 1)] = own
+                # the distinct ids of each document and how often it has them
+                turn = int(every.max()) + 1
+                pairs = np.sort(owner * turn + every)
+                first = np.flatnonzero(np.append(True, pairs[1:] != pairs[:-1]))
+                tf = np.diff(np.append(first, len(pairs)))
+                document, terms = np.divmod(pairs[first], turn)
+                if turn > len(df):
+                    df = np.append(df, np.zeros(turn, np.int64))
+                df += np.bincount(terms, minlength=len(df))
+                held = np.searchsorted(document, np.arange(n + 1))
+                known = [batch.column(c).slice(block.first, n) for c in ("doc_id", "digest")]
+                yield pa.RecordBatch.from_arrays([*known, pa.array(size), _narrow(every, offsets), _narrow(terms, held), _narrow(tf, held)], names=["doc_id", "digest", "size", "ids", "terms", "tf"])
         terms = np.flatnonzero(df)
         if len(terms):
             counted = [pa.nulls(1, kind), *(pa.array([x], k) for x, k in ((None, pa.int64()), (None, pa.int64()), (None, pa.binary()), (terms.tobytes(), pa.binary()), (df[terms].tobytes(), pa.binary())))]

@@ -133,3 +133,34 @@ def test_all_tokens_of_a_seed_count():
 
 def test_empty(frame):
     assert packing.op2(frame([])).count() == 0
+
+
+def test_ids_of_a_block():
+    """Texts that are encoded together, each run of characters once, have the ids that the library gives; so have their rows."""
+    import random
+
+    import pyarrow as pa
+
+    from tabletext.llm.textblocks import blocks
+
+    r = random.Random(3)
+    parts = ["a", "Bé", "ß", "日本", " ", " ", " ", "　", " ", "\u0085", "\n", ".", ",", "'s", "1", "\t", "\r\n", "\x1c", "\x00", "😀", "the", "̀", "÷"]
+    texts = [None, "", " ", "\n", " a", "a ", "a. b, c.\nd", "x <|endoftext|> y"] + ["".join(r.choice(parts) for _ in range(r.randint(0, 40))) for _ in range(600)]
+    library, path = Tokenizer.from_file(tokens.vocabulary_path()), tokens.vocabulary_path()
+    want = [library.encode(t or "", add_special_tokens=False).ids for t in texts]
+    encode = tokens.columns(path)
+    for some in (texts, texts[:7] + texts[8:]):  # a special string sends its block the plain way
+        for target in (60, 1 << 20):
+            got = []
+            for block in blocks(pa.array(some, pa.string()), target):
+                ids, offsets = encode(block)
+                got += [ids[a:b].tolist() for a, b in zip(offsets[:-1], offsets[1:], strict=True)]
+            assert got == (want if some is texts else want[:7] + want[8:])
+    batch = pa.RecordBatch.from_arrays([pa.array(range(len(texts))), pa.array(texts), pa.array(range(len(texts)))], names=["doc_id", "text", "digest"])
+    rows = [x for b in packing._tokens(path, 0, pa.int64())([batch]) for x in b.to_pylist()]
+    assert [packing._wide(pa.scalar(x["ids"])).tolist() for x in rows[:-1]] == [[*w, 0] for w in want]
+    for x, w in zip(rows[:-1], want, strict=True):
+        assert x["size"] == len(w) + 1
+        assert dict(zip(*(packing._wide(pa.scalar(x[c])).tolist() for c in ("terms", "tf")), strict=True)) == Counter([*w, 0])
+    df = Counter(t for w in want for t in {*w, 0})
+    assert dict(zip(*(np.frombuffer(rows[-1][c], np.int64).tolist() for c in ("terms", "tf")), strict=True)) == df
